@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: query -> module of this subpackage that holds it
 _HOMES = {
+    "op2_ngram_jaccard": "ngram_join",
     "op7_hilbert_sharding": "sharding",
     "op8_url_filter": "url_filter",
     "op9_scaled_sketch": "sketch",
