@@ -6,7 +6,9 @@ from importlib import import_module
 
 #: query -> module of this subpackage that holds it
 _HOMES = {
+    "op1_embedding_neardup": "embedding_dedup",
     "op2_ngram_jaccard": "ngram_join",
+    "op4_line_winnowing": "line_dedup",
     "op7_hilbert_sharding": "sharding",
     "op8_url_filter": "url_filter",
     "op9_scaled_sketch": "sketch",
