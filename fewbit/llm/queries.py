@@ -8,7 +8,9 @@ from importlib import import_module
 _HOMES = {
     "op1_embedding_neardup": "embedding_dedup",
     "op2_ngram_jaccard": "ngram_join",
+    "op3_best_two_fit": "packing",
     "op4_line_winnowing": "line_dedup",
+    "op5_two_tier_bpe": "byte_bpe",
     "op7_hilbert_sharding": "sharding",
     "op8_url_filter": "url_filter",
     "op9_scaled_sketch": "sketch",
