@@ -11,6 +11,7 @@ _HOMES = {
     "op3_best_two_fit": "packing",
     "op4_line_winnowing": "line_dedup",
     "op5_two_tier_bpe": "byte_bpe",
+    "op6_attention_quality": "quality",
     "op7_hilbert_sharding": "sharding",
     "op8_url_filter": "url_filter",
     "op9_scaled_sketch": "sketch",
