@@ -13,6 +13,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from fewbit.llm._store import table
 
@@ -197,7 +198,7 @@ def score_quality(docs: DataFrame, model: AttentionModel, text_col: str = "text"
             texts = [t if t is not None else b"" for t in batch.column(at).cast(pa.binary()).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.score(texts))], [*kept, "score"])
 
-    schema = base.schema.add("score", "double")
+    schema = T.StructType([*base.schema.fields, T.StructField("score", T.DoubleType())])
     return base.mapInArrow(run, schema)
 
 
