@@ -5,10 +5,12 @@ from __future__ import annotations
 from collections.abc import Iterator, Sequence
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
-_CHUNK = 1 << 20
+_CHUNK = 1 << 18
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -57,6 +59,20 @@ class WordHasher:
         return mix((total[end] - total[begin]) * self.down[begin] + (end - begin).astype(U)), begin
 
 
+def text_stretches(column: pa.Array, most: int = 4 << 20) -> Iterator[tuple[int, list[bytes]]]:
+    """(first row, texts as bytes) of successive rows of a text column, `most` bytes together unless one text is longer."""
+    column = column.cast(pa.large_binary())
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
+    lo = 0
+    while lo < len(column):
+        hi, held = lo + 1, int(sizes[lo])
+        while hi < len(column) and held + sizes[hi] <= most:
+            held += int(sizes[hi])
+            hi += 1
+        yield lo, [t if t is not None else b"" for t in column.slice(lo, hi - lo).to_pylist()]
+        lo = hi
+
+
 def word_hashes(texts: Sequence[bytes], hasher: WordHasher) -> Iterator[np.ndarray]:
     """The word hashes of each text, in order; texts are joined so that numpy sees large arrays."""
     lo = 0

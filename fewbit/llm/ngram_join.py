@@ -26,14 +26,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fewbit.llm._components import components, spanning_forest
-from fewbit.llm._shingles import WordHasher, U, mix, shingle_set, word_hashes
+from fewbit.llm._shingles import U, WordHasher, mix, shingle_set, text_stretches, word_hashes
 from fewbit.llm._store import Stored, table
 
 WORDS, PERCENT = 5, 80
 #: Shingles that one block of a family holds, about.
 BLOCK = 1_000_000
 #: For the cost estimate: chance that a shingle is shared with some other document of the band; cost of a candidate in keys.
-SHARED, CANDIDATE = 0.15, 2.0
+SHARED, CANDIDATE = 0.05, 2.0
 
 
 @dataclass(frozen=True)
@@ -137,9 +137,9 @@ def _key_rows(words: int, starts: list[int], plans: list[Allocation]):
         hasher = WordHasher()
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
-            texts = [b if b is not None else b"" for b in batch.column(1).cast(pa.binary()).to_pylist()]
             key, doc, n, held = [], [], [], 0
-            for i, hashes in zip(ids, word_hashes(texts, hasher), strict=True):
+            every = (h for _, texts in text_stretches(batch.column(1)) for h in word_hashes(texts, hasher))
+            for i, hashes in zip(ids, every, strict=True):
                 found = shingle_set(hashes, words)
                 own = [np.array([np.add.reduce(mix(found), dtype=U)], U)]
                 if len(found):
@@ -193,12 +193,11 @@ def _sets(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = WordHasher()
         for batch in batches:
-            texts = [b if b is not None else b"" for b in batch.column(3).cast(pa.binary()).to_pylist()]
             made, lo, held = [], 0, 0
-            for hashes in word_hashes(texts, hasher):
+            for hashes in (h for _, texts in text_stretches(batch.column(3)) for h in word_hashes(texts, hasher)):
                 made.append(shingle_set(hashes, words).tobytes())
                 held += len(made[-1])
-                if held > 8 << 20:
+                if held > 4 << 20:
                     yield pa.RecordBatch.from_arrays([*(c.slice(lo, len(made)) for c in batch.columns[:3]), pa.array(made, pa.binary())], ["doc", "family", "blocks", "shingles"])
                     lo, made, held = lo + len(made), [], 0
             if made:
