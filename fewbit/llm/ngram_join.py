@@ -58,36 +58,30 @@ def largest_difference(percent: int, last: int) -> int:
     return (100 - percent) * (last + last * 100 // percent) // (100 + percent)
 
 
-def slack(m: int, size: float) -> int:
-    """Smallest k for which a set expects at most 0.02 subsets of k + 1 void segments (as of a Poisson number of them)."""
-    log_mean, k = math.log(m) - size / m, 0
-    while (k + 1) * log_mean - math.lgamma(k + 2) > math.log(0.02):
-        k += 1
-    return k
+def _cost(m: int, q: int, k: int, size: float, rows: float) -> float:
+    """Keys that a set of `size` shingles emits, plus the candidates it meets among `rows` sets, each as CANDIDATE keys."""
+    each = size / m
+    # expected subsets of k + 1 void segments, in one set and in both of a pair
+    subsets = math.lgamma(m + 1) - math.lgamma(k + 2) - math.lgamma(m - k) if m > k else -math.inf
+    one, both = (math.exp(min(subsets - i * (k + 1) * each, 50.0)) for i in (1, 2))
+    shared = (m - q) * SHARED**each + q * (1 + each) * SHARED ** max(each - 1, 1)
+    return m + q * each + one + CANDIDATE * rows * (shared + both)
 
 
 def allocate(percent: int, first: int, last: int, rows: float) -> Allocation:
-    """The cheapest partition of a band: keys that a set emits, plus candidates expected from `rows` sets of that size."""
+    """The cheapest partition of a band, for its smallest sets."""
     h = largest_difference(percent, last)
     if h == 0:
         return Allocation(1)
     best, least = None, math.inf
-    for share in (0.0, 0.25, 0.5, 1.0):
-        m, k = h + 1, 0
-        for _ in range(8):
-            if share == 0:
-                k = slack(m, first)
-                m = h + 1 + k
-            else:
-                m = max(1, math.ceil((h + 1 + 2 * k) / (1 + share)))
-                k = slack(m, first)
-        q = 0 if share == 0 else min(m, max(h + 1 + 2 * k - m, k))
-        while (m + q - 2 * k if q >= k else m - k) < h + 1:
-            m += 1
-        each = (first + last) / 2 / m
-        cost = m + q * each + CANDIDATE * rows * ((m - q) * SHARED**each + q * (1 + each) * SHARED ** max(each - 1, 1))
-        if cost < least:
-            best, least = Allocation(m, q, k), cost
+    for k in sorted({*range(9), *(h * i // 32 for i in range(1, 17))}):
+        options = {(h + 1 + k, 0)}
+        for share in (0.25, 0.5, 1.0):
+            m = max(math.ceil((h + 1 + 2 * k) / (1 + share)), k)
+            options.add((m, min(m, max(h + 1 + 2 * k - m, k))))
+        for m, q in options:
+            if (m + q - 2 * k if q >= k else m - k) >= h + 1 and (cost := _cost(m, q, k, first, rows)) < least:
+                best, least = Allocation(m, q, k), cost
     return best
 
 
