@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+from functools import lru_cache
 
 import numpy as np
 
@@ -14,8 +15,12 @@ def uniform(seed: int, stream: str, k: int, t: int, coord: int = 0) -> float:
     return int(hashlib.md5(f"{seed}|{stream}|{k}|{t}|{coord}".encode()).hexdigest()[:13], 16) / _SCALE
 
 
+@lru_cache(maxsize=4096)
 def uniforms(seed: int, stream: str, k: int, t: int, d: int) -> np.ndarray:
-    return np.fromiter((uniform(seed, stream, k, t, i) for i in range(d)), float, d)
+    """One draw per coordinate; the runs of a batch share them."""
+    out = np.fromiter((uniform(seed, stream, k, t, i) for i in range(d)), float, d)
+    out.flags.writeable = False
+    return out
 
 
 def worker(seed: int, k: int, t: int, workers: int) -> int:

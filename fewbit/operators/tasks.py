@@ -64,7 +64,7 @@ def charge(spark: SparkSession, sf_dir: str, workers: int = 10) -> DataFrame:
 def _vectors(spark, sf_dir, cls: Column, workers: int) -> DataFrame:
     return load(spark, sf_dir, "embeddings").select(
         F.col("vec_id").cast("string").alias("row_id"),
-        F.pmod("vec_id", F.lit(workers)).cast("int").alias("worker_id"),
+        F.pmod(F.expr("vec_id div 5"), F.lit(workers)).cast("int").alias("worker_id"),  # ids' residues by 5 tell the split
         F.when(F.col("vec_id") % 5 == 0, "test").otherwise("train").alias("split"),
         cls.cast("int").alias("cls"),
         F.col("embedding").cast("array<double>").alias("x"),

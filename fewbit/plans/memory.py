@@ -6,6 +6,8 @@ from dataclasses import dataclass
 
 import numpy as np
 
+TIE = 1e-12
+
 
 @dataclass(frozen=True)
 class Anchor:
@@ -19,7 +21,10 @@ class Anchor:
 
 
 def step(kept: Anchor | None, candidate: Anchor) -> tuple[Anchor, bool]:
-    """The anchor to go on from, and whether it is the candidate. A norm that isn't larger is accepted."""
-    if kept is None or candidate.norm <= kept.norm:
+    """The anchor to go on from, and whether it is the candidate. A norm that isn't larger is accepted.
+
+    The same anchor measured again may differ in its last digits, by the order of sums; TIE takes that for equal.
+    """
+    if kept is None or candidate.norm <= kept.norm * (1 + TIE):
         return candidate, True
     return kept, False
