@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import base64
 import heapq
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,7 +22,7 @@ from pyspark.sql import functions as F
 
 from fewbit.llm._store import table
 
-CACHE = 400_000
+CACHE = 200_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -35,7 +36,7 @@ class PerfectHash:
 
     def __init__(self, keys: list[bytes]):
         n = self.n = max(1, len(keys))
-        self.buckets = max(1, n // 4)
+        self.buckets = max(1, n // 2)
         groups: list[list[int]] = [[] for _ in range(self.buckets)]
         digests = [xxhash.xxh3_64_intdigest(k) for k in keys]
         for i, d in enumerate(digests):
@@ -74,30 +75,34 @@ class PerfectHash:
 
 
 def merge_bytes(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """Ids of a pre-token: the pair of lowest rank, of equals the leftmost, is merged until no pair has a rank."""
+    """Ids of a pre-token: the pair of lowest rank, of equals the leftmost, is merged until no pair has a rank.
+
+    ends[i] is where the part that begins at byte i ends, so it is also where the next part begins; starts[j] is where the
+    part that ends at byte j begins. A heap entry is stale if its two parts have changed since.
+    """
     n = len(piece)
-    ahead, back = list(range(1, n + 1)), list(range(-1, n - 1))
-    ends = list(range(1, n + 1))
-    heap = [(r, i, i + 2) for i in range(n - 1) if (r := ranks.get(piece[i : i + 2])) is not None]
+    rank = ranks.get
+    ends, starts = list(range(1, n + 1)), list(range(-1, n))
+    # an entry is rank, first byte and end as one number, in that order of weight
+    bits = n.bit_length() + 1
+    heap = [((r << bits) + i << bits) + i + 2 for i in range(n - 1) if (r := rank(piece[i : i + 2])) is not None]
     heapq.heapify(heap)
-    alive = [True] * n
+    push, pop, low = heapq.heappush, heapq.heappop, (1 << bits) - 1
     while heap:
-        _, i, end = heapq.heappop(heap)
-        if not alive[i] or ahead[i] >= n or ends[ahead[i]] != end:
+        entry = pop(heap)
+        i, end = entry >> bits & low, entry & low
+        mid = ends[i]
+        if mid < 0 or mid >= n or ends[mid] != end:
             continue
-        j = ahead[i]
-        alive[j] = False
-        ends[i], ahead[i] = end, ahead[j]
-        if ahead[i] < n:
-            back[ahead[i]] = i
-            if (r := ranks.get(piece[i : ends[ahead[i]]])) is not None:
-                heapq.heappush(heap, (r, i, ends[ahead[i]]))
-        if back[i] >= 0 and (r := ranks.get(piece[back[i] : end])) is not None:
-            heapq.heappush(heap, (r, back[i], end))
+        ends[i], ends[mid], starts[end] = end, -1, i
+        if end < n and (r := rank(piece[i : ends[end]])) is not None:
+            push(heap, ((r << bits) + i << bits) + ends[end])
+        if i and (r := rank(piece[(b := starts[i]) : end])) is not None:
+            push(heap, ((r << bits) + b << bits) + end)
     out, i = [], 0
     while i < n:
         out.append(ranks[piece[i : ends[i]]])
-        i = ahead[i]
+        i = ends[i]
     return out
 
 
@@ -113,30 +118,60 @@ class Encoder:
         self.pieces = regex.compile(own).findall
         self.odd = regex.compile(f" {space}|{space} ").search
         self.seen: dict[str, bytes] = {}
+        self.seen_old: dict[str, bytes] = {}
+        self.merged: dict[str, list[int]] = {}
+        self.merged_old: dict[str, list[int]] = {}
 
-    def piece(self, piece: bytes) -> list[int]:
-        at = self.whole(piece)
-        return [self.ids[at]] if self.keys[at] == piece else merge_bytes(piece, self.ranks)
+    def piece(self, piece: str) -> list[int]:
+        """Ids of a pre-token. Each cache has a young and an old half: what is used again survives a full one."""
+        found = self.merged.get(piece)
+        if found is None:
+            found = self.merged_old.get(piece)
+            if found is None:
+                raw = piece.encode()
+                at = self.whole(raw)
+                found = [self.ids[at]] if self.keys[at] == raw else merge_bytes(raw, self.ranks)
+            if len(self.merged) >= self.limit:
+                self.merged_old, self.merged = self.merged, {}
+            self.merged[piece] = found
+        return found
 
-    def chunk(self, chunk: str) -> bytes:
-        """Ids, as unsigned 32-bit words, of a stretch of text that no pre-token crosses."""
-        found = self.seen.get(chunk)
+    def spaced(self, chunk: str) -> bytes:
+        """Ids, as unsigned 32-bit words, of a chunk after a single space; no pre-token crosses its ends."""
+        found = self.seen_old.get(chunk)
         if found is None:
-            ids = [i for p in self.pieces(chunk) for i in self.piece(p.encode())]
-            found = np.array(ids, "<u4").tobytes()
-            if len(self.seen) >= self.limit:
-                self.seen.clear()
-            self.seen[chunk] = found
+            found = self.plain(" " + chunk)
+        if len(self.seen) >= self.limit:
+            self.seen_old, self.seen = self.seen, {}
+        self.seen[chunk] = found
         return found
 
+    def plain(self, text: str) -> bytes:
+        return array("I", [i for p in self.pieces(text) for i in self.piece(p)]).tobytes()
+
     def encode(self, text: str) -> bytes:
         if not text:
             return b""
         if self.odd(text):
-            return b"".join(map(self.chunk, self.pieces(text)))
+            return self.plain(text)
         first, *rest = text.split(" ")
-        seen, chunk = self.seen.get, self.chunk
-        return b"".join([chunk(first), *[seen(" " + r) or chunk(" " + r) for r in rest]])
+        made = [self.plain(first)]
+        for chunk in rest:
+            found = self.seen.get(chunk)
+            made.append(self.spaced(chunk) if found is None else found)
+        return b"".join(made)
+
+
+_ENCODERS: dict[tuple, Encoder] = {}
+
+
+def encoder_of(ranks: dict[bytes, int], pattern: str, path: str) -> Encoder:
+    """This process's encoder: workers serve many tasks, and what one has encoded serves the next."""
+    key = (path, pattern, len(ranks))
+    if key not in _ENCODERS:
+        _ENCODERS.clear()
+        _ENCODERS[key] = Encoder(ranks, pattern)
+    return _ENCODERS[key]
 
 
 def encode_bpe(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATTERN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -149,7 +184,7 @@ def encode_bpe(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATT
     shared = docs.sparkSession.sparkContext.broadcast(read_ranks(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(shared.value, pattern)
+        encoder = encoder_of(shared.value, pattern, path)
         for batch in batches:
             made, held, lo = [], 0, 0
             for text in batch.column(1).cast(pa.binary()):
