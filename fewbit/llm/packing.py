@@ -8,6 +8,7 @@ from the sequence length alone, and the pieces find their places by their rank a
 
 from __future__ import annotations
 
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -23,7 +24,7 @@ from fewbit.llm._store import stored, table
 
 LENGTH = 4096
 END = 1
-CACHE = 400_000
+CACHE = 250_000
 #: Rows that one window task ranks, about.
 SHARE = 100_000
 
@@ -104,7 +105,9 @@ class ChunkTokenizer:
         from tokenizers import Tokenizer
 
         self.inner = Tokenizer.from_str(path_or_json)
+        # two generations: what is used again survives when the younger one is full
         self.seen: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
         self.limit = cache
 
     def encode(self, texts: list[bytes]) -> Iterator[bytes]:
@@ -112,16 +115,29 @@ class ChunkTokenizer:
         for lo in range(0, len(texts), 256):
             parts = [t.split() for t in texts[lo : lo + 256]]
             if len(self.seen) > self.limit:
-                self.seen.clear()
-            new = list({w for p in parts for w in p if w not in self.seen})
+                self.old, self.seen = self.seen, {}
+            words = set().union(*parts).difference(self.seen)
+            self.seen.update((w, self.old[w]) for w in words & self.old.keys())
+            new = list(words.difference(self.old))
             for at in range(0, len(new), 20_000):
                 some = new[at : at + 20_000]
                 found = self.inner.encode_batch_fast([w.decode("utf-8", "replace") for w in some], add_special_tokens=False)
-                self.seen.update(zip(some, (np.array(e.ids, "<u4").tobytes() for e in found), strict=True))
+                self.seen.update(zip(some, (array("I", e.ids).tobytes() for e in found), strict=True))
             for p in parts:
                 yield b"".join(map(self.seen.__getitem__, p))
 
 
+_TOKENIZERS: dict[str, ChunkTokenizer] = {}
+
+
+def tokenizer_of(text: str) -> ChunkTokenizer:
+    """This process's tokenizer: workers serve many tasks, and what one has encoded serves the next."""
+    if text not in _TOKENIZERS:
+        _TOKENIZERS.clear()
+        _TOKENIZERS[text] = ChunkTokenizer(text)
+    return _TOKENIZERS[text]
+
+
 def _cut(tokenizer: str, length: int, end: int):
     """Pieces (row, doc, piece, start, length, ids) of each document; row tells stored pieces apart."""
 
@@ -129,7 +145,7 @@ def _cut(tokenizer: str, length: int, end: int):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder, last = ChunkTokenizer(tokenizer), np.array([end], "<u4").tobytes()
+        encoder, last = tokenizer_of(tokenizer), np.array([end], "<u4").tobytes()
         row = TaskContext.get().partitionId() << 33
         names = ["row", "doc_id", "piece", "start", "length", "ids"]
         for batch in batches:
