@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _LOCAL: dict[str, str] = {}
 
@@ -41,3 +42,19 @@ class Stored:
 
 def stored(df: DataFrame) -> DataFrame:
     return Stored(df).df
+
+
+def sifted(rows: DataFrame, ids: DataFrame, key: str, bits: int = 23) -> DataFrame:
+    """rows with `__maybe boolean`: false where key is certainly not among ids (a one-column table).
+
+    ids become a bitmap of hashes, 2**bits bits in all whatever their number, so broadcasting it is safe (1 MB). Where ids
+    outgrow it, more rows pass and the exact join behind it does all the work; the answer is the same.
+    """
+    spot = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << bits))
+    bitmap = ids.select(spot(F.col(ids.columns[0])).alias("h")).groupBy(F.expr("h div 32768").alias("__bucket")).agg(
+        F.bitmap_construct_agg(F.col("h") % 32768).alias("__bitmap")
+    )
+    at = rows.withColumn("__h", spot(F.col(key))).withColumn("__bucket", F.expr("__h div 32768"))
+    byte = "CAST(conv(hex(substring(__bitmap, CAST(__h % 32768 div 8 AS INT) + 1, 1)), 16, 10) AS INT)"
+    bit = F.expr(f"coalesce(shiftright({byte}, CAST(__h % 8 AS INT)) % 2 = 1, false)")
+    return at.join(F.broadcast(bitmap), "__bucket", "left").withColumn("__maybe", bit).drop("__h", "__bucket", "__bitmap")

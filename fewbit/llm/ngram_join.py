@@ -27,13 +27,13 @@ from pyspark.sql import functions as F
 
 from fewbit.llm._components import components, spanning_forest
 from fewbit.llm._shingles import U, WordHasher, mix, shingle_set, text_stretches, word_hashes
-from fewbit.llm._store import Stored, table
+from fewbit.llm._store import Stored, sifted, table
 
 WORDS, PERCENT = 5, 80
 #: Shingles that one block of a family holds, about.
 BLOCK = 1_000_000
 #: For the cost estimate: chance that a shingle is shared with some other document of the band; cost of a candidate in keys.
-SHARED, CANDIDATE = 0.05, 2.0
+SHARED, CANDIDATE = 0.02, 1.0
 
 
 @dataclass(frozen=True)
@@ -281,8 +281,9 @@ def ngram_groups(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bl
     copies = members.groupBy("family", "sig", "n").agg(F.min("doc").alias("doc"), F.count("*").alias("c"))
     same = members.join(copies.where("c > 1").withColumnRenamed("doc", "first"), ["family", "sig", "n"]).select(F.col("doc").alias("a"), F.col("first").alias("b"))
     blocks = copies.groupBy("family").agg(F.count("*").alias("docs"), F.ceil(F.sum("n") / block).cast("int").alias("blocks")).where("docs > 1")
-    chosen = copies.join(blocks, "family").select("doc", "family", "blocks")
-    sets = own.join(chosen, "doc").select("doc", "family", "blocks", "text").mapInArrow(_sets(words), "doc long, family long, blocks int, shingles binary")
+    chosen = Stored(copies.join(blocks, "family").select("doc", "family", "blocks")).df
+    near_texts = sifted(own, chosen.select("doc"), "doc").where("__maybe").drop("__maybe")
+    sets = near_texts.join(chosen, "doc").select("doc", "family", "blocks", "text").mapInArrow(_sets(words), "doc long, family long, blocks int, shingles binary")
     mine = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
     pairs = sets.withColumn("mine", mine).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
     pairs = pairs.select("family", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "doc", "mine", "shingles")
@@ -297,8 +298,10 @@ def ngram_groups(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bl
 
 def keep_one(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """docs without those that a smaller doc_id of their component stands for; rows without doc_id stay."""
-    gone = ngram_groups(docs, words, percent).where("component_id <> doc_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    gone = Stored(ngram_groups(docs, words, percent).where("component_id <> doc_id").select("doc_id").distinct()).df
+    flagged = sifted(docs, gone, "doc_id")
+    certain = flagged.where("NOT __maybe").select(*docs.columns)
+    return certain.unionByName(flagged.where("__maybe").join(gone, "doc_id", "left_anti").select(*docs.columns))
 
 
 def op2_ngram_jaccard(spark, sf_dir):
