@@ -59,7 +59,7 @@ class WordHasher:
         return mix((total[end] - total[begin]) * self.down[begin] + (end - begin).astype(U)), begin
 
 
-def text_stretches(column: pa.Array, most: int = 4 << 20) -> Iterator[tuple[int, list[bytes]]]:
+def text_stretches(column: pa.Array, most: int = 2 << 20) -> Iterator[tuple[int, list[bytes]]]:
     """(first row, texts as bytes) of successive rows of a text column, `most` bytes together unless one text is longer."""
     column = column.cast(pa.large_binary())
     sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)

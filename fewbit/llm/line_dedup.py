@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fewbit.llm._shingles import U, mix
+from fewbit.llm._shingles import U, mix, text_stretches
 from fewbit.llm._store import Stored, table
 from fewbit.llm.pii import let
 
@@ -54,8 +54,8 @@ def _fingerprints(min_words: int):
         kind = pa.list_(pa.struct([("fp", pa.int64()), ("at", pa.int64()), ("lo", pa.int64()), ("hi", pa.int64())]))
         for batch in batches:
             raw, windows = [], []
-            for text in batch.column(1).cast(pa.binary()):
-                parts = (text.as_py() or b"").split(b"\n")
+            for text in (t for _, texts in text_stretches(batch.column(1)) for t in texts):
+                parts = text.split(b"\n")
                 hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, parts), U, len(parts))
                 words = np.fromiter((len(p.split()) for p in parts), np.int64, len(parts))
                 raw.append(hashes.tobytes())

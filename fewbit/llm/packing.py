@@ -20,11 +20,12 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from fewbit.llm._shingles import text_stretches
 from fewbit.llm._store import stored, table
 
 LENGTH = 4096
 END = 1
-CACHE = 250_000
+CACHE = 120_000
 #: Rows that one window task ranks, about.
 SHARE = 100_000
 
@@ -119,8 +120,8 @@ class ChunkTokenizer:
             words = set().union(*parts).difference(self.seen)
             self.seen.update((w, self.old[w]) for w in words & self.old.keys())
             new = list(words.difference(self.old))
-            for at in range(0, len(new), 20_000):
-                some = new[at : at + 20_000]
+            for at in range(0, len(new), 4_000):
+                some = new[at : at + 4_000]
                 found = self.inner.encode_batch_fast([w.decode("utf-8", "replace") for w in some], add_special_tokens=False)
                 self.seen.update(zip(some, (array("I", e.ids).tobytes() for e in found), strict=True))
             for p in parts:
@@ -149,7 +150,7 @@ def _cut(tokenizer: str, length: int, end: int):
         row = TaskContext.get().partitionId() << 33
         names = ["row", "doc_id", "piece", "start", "length", "ids"]
         for batch in batches:
-            texts = [t if t is not None else b"" for t in batch.column(1).cast(pa.binary()).to_pylist()]
+            every = (raw for _, texts in text_stretches(batch.column(1)) for raw in encoder.encode(texts))
             doc, piece, start, ids, held = [], [], [], [], 0
 
             def rows():
@@ -158,7 +159,7 @@ def _cut(tokenizer: str, length: int, end: int):
                 of = pa.array(doc, batch.schema[0].type)
                 return pa.RecordBatch.from_arrays([pa.array(number), of, pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(size), pa.array(ids, pa.binary())], names)
 
-            for i, raw in zip(batch.column(0).to_pylist(), encoder.encode(texts), strict=True):
+            for i, raw in zip(batch.column(0).to_pylist(), every, strict=True):
                 raw += last
                 for n, at in enumerate(range(0, len(raw), 4 * length)):
                     doc.append(i)
@@ -166,7 +167,7 @@ def _cut(tokenizer: str, length: int, end: int):
                     start.append(at // 4)
                     ids.append(raw[at : at + 4 * length])
                 held += len(raw)
-                if held > 8 << 20:
+                if held > 4 << 20:
                     yield rows()
                     row += len(ids)
                     doc, piece, start, ids, held = [], [], [], [], 0

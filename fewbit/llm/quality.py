@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from fewbit.llm._shingles import text_stretches
 from fewbit.llm._store import table
 
 PASSAGE_WORDS = 64
@@ -27,7 +28,7 @@ SEED = 11
 CUT = 0.7
 _EXTRA = 6
 WIDTH = 256 + PAIRS + _EXTRA
-_CHUNK = 1 << 20
+_CHUNK = 1 << 18
 
 
 def _passages(data: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -129,7 +130,7 @@ def train(texts: list[bytes], labels: np.ndarray, epochs: int = EPOCHS, batch: i
     model = AttentionModel(w)
     edge = min(max(share, 0.01), 0.99)
     w["b"][0] = np.log(edge / (1 - edge))
-    if not 0 < share < 1:
+    if not len(labels) or not 0 < share < 1:
         return model
     parts = list(encode_passages(texts))
     x, owner = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
@@ -195,8 +196,8 @@ def score_quality(docs: DataFrame, model: AttentionModel, text_col: str = "text"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [t if t is not None else b"" for t in batch.column(at).cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(model.score(texts))], [*kept, "score"])
+            scores = [np.zeros(0), *(model.score(texts) for _, texts in text_stretches(batch.column(at)))]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(scores))], [*kept, "score"])
 
     schema = T.StructType([*base.schema.fields, T.StructField("score", T.DoubleType())])
     return base.mapInArrow(run, schema)
