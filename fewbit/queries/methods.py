@@ -104,7 +104,7 @@ def geometry(spark, sf_dir):
 
 def task_charge(spark, sf_dir):
     t = tasks.charge_wide(spark, sf_dir)
-    return t.groupBy("worker_id", "split", "cls").agg(F.count("*").alias("n"), F.countDistinct("row_id").alias("ids"), *[F.round(F.sum(f"x{i}"), 5).alias(f"s{i}") for i in range(D)])
+    return t.groupBy("worker_id", "split", "cls").agg(F.count("*").alias("n"), F.countDistinct("row_id").alias("ids"), *[(F.round(F.sum(f"x{i}"), 5) + 0.0).alias(f"s{i}") for i in range(D)])
 
 
 def task_language(spark, sf_dir):
@@ -130,7 +130,7 @@ def task_quality(spark, sf_dir):
 
 
 def task_sensor(spark, sf_dir):
-    return tasks.sensor(spark, sf_dir).groupBy("worker_id", "split", "cls").agg(F.count("*").alias("n"), F.round(F.sum(F.col("x")[0]), 6).alias("s0"), F.round(F.sum(F.col("x")[3]), 6).alias("weekend"))
+    return tasks.sensor(spark, sf_dir).groupBy("worker_id", "split", "cls").agg(F.count("*").alias("n"), (F.round(F.sum(F.col("x")[0]), 6) + 0.0).alias("s0"), F.round(F.sum(F.col("x")[3]), 6).alias("weekend"))
 
 
 def threshold_label(spark, sf_dir):
@@ -177,7 +177,7 @@ ORACLES |= {
     "m17_geometry": f"WITH {CHARGE.strip()} SELECT round(avg(q) / 4 + 0.2, 8) AS average, round(max(q) / 4 + 0.2, 8) AS worst, 0.2::DOUBLE AS mu FROM (SELECT avg({_SQUARE}) AS q FROM charge WHERE split = 'train' GROUP BY worker_id)",
     "m19_threshold_label": "SELECT event_id, CAST(CASE WHEN value > 35 THEN 1 ELSE 0 END AS INTEGER) AS cls FROM events",
     "task_charge": f"WITH {CHARGE.strip()} SELECT worker_id, split, CAST(cls AS INTEGER) AS cls, count(*) AS n, count(DISTINCT row_id) AS ids, "
-    + ", ".join(f"round(sum(x{i}), 5) AS s{i}" for i in range(D))
+    + ", ".join(f"round(sum(x{i}), 5) + 0.0::DOUBLE AS s{i}" for i in range(D))
     + " FROM charge GROUP BY ALL",
     "task_language_cells": f"""WITH own AS ({_DOCS}),
 g AS (SELECT doc_id, unnest(list_transform(range(1, length(substring(text, 1, 1000)) - 1), lambda i: substring(substring(text, 1, 1000), i, 3))) AS g FROM own),
@@ -189,5 +189,5 @@ FROM ({_DOCS}) GROUP BY ALL""",
     "task_anchor10": "SELECT CASE WHEN vec_id % 5 = 0 THEN 'test' ELSE 'train' END AS split, CAST(list_position(embedding[1:10], list_max(embedding[1:10])) - 1 AS INTEGER) AS cls, count(*) AS n, round(sum(embedding[1]::DOUBLE), 6) AS s0 FROM embeddings GROUP BY ALL",
     "task_noise10": "SELECT CASE WHEN vec_id % 5 = 0 THEN 'test' ELSE 'train' END AS split, label AS cls, count(*) AS n FROM embeddings GROUP BY ALL",
     "task_quality": "SELECT quality AS cls, count(*) AS n, round(sum(ln(greatest(length(text), 1)) / 10), 6) AS s0, round(sum(CASE WHEN lang = 'en' THEN 1.0 ELSE 0.0 END::DOUBLE), 6) AS s7 FROM documents JOIN labels USING (doc_id) GROUP BY quality",
-    "task_sensor": "SELECT CAST(user_id % 10 AS INTEGER) AS worker_id, CASE WHEN event_id % 5 = 0 THEN 'test' ELSE 'train' END AS split, CAST(CASE WHEN value > 35 THEN 1 ELSE 0 END AS INTEGER) AS cls, count(*) AS n, round(sum(sin((hour(ts) + minute(ts) / 60.0::DOUBLE) * 0.2617993877991494)), 6) AS s0, round(sum(CASE WHEN dayofweek(ts) IN (0, 6) THEN 1.0 ELSE 0.0 END::DOUBLE), 6) AS weekend FROM events GROUP BY ALL",
+    "task_sensor": "SELECT CAST(user_id % 10 AS INTEGER) AS worker_id, CASE WHEN event_id % 5 = 0 THEN 'test' ELSE 'train' END AS split, CAST(CASE WHEN value > 35 THEN 1 ELSE 0 END AS INTEGER) AS cls, count(*) AS n, round(sum(sin((hour(ts) + minute(ts) / 60.0::DOUBLE) * 0.2617993877991494)), 6) + 0.0::DOUBLE AS s0, round(sum(CASE WHEN dayofweek(ts) IN (0, 6) THEN 1.0 ELSE 0.0 END::DOUBLE), 6) AS weekend FROM events GROUP BY ALL",
 }
