@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fewbit.llm._components import components, spanning_forest
-from fewbit.llm._shingles import U, WordHasher, mix, shingle_set, text_stretches, word_hashes
+from fewbit.llm._shingles import U, WordHasher, mix, release, shingle_set, text_stretches, word_hashes
 from fewbit.llm._store import Stored, sifted, table
 
 WORDS, PERCENT = 5, 80
@@ -150,6 +150,8 @@ def _key_rows(words: int, starts: list[int], plans: list[Allocation]):
                     key, doc, n, held = [], [], [], 0
             if held:
                 yield _rows(key, doc, n)
+            del key, doc, n, every
+            release()
 
     return run
 

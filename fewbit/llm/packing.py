@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from fewbit.llm._shingles import text_stretches
+from fewbit.llm._shingles import release, text_stretches
 from fewbit.llm._store import stored, table
 
 LENGTH = 4096
@@ -174,6 +174,8 @@ def _cut(tokenizer: str, length: int, end: int):
             if ids:
                 yield rows()
                 row += len(ids)
+            del doc, piece, start, ids, every
+            release()
 
     return run
 

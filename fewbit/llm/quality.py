@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from fewbit.llm._shingles import text_stretches
+from fewbit.llm._shingles import release, text_stretches
 from fewbit.llm._store import table
 
 PASSAGE_WORDS = 64
@@ -198,6 +198,8 @@ def score_quality(docs: DataFrame, model: AttentionModel, text_col: str = "text"
         for batch in batches:
             scores = [np.zeros(0), *(model.score(texts) for _, texts in text_stretches(batch.column(at)))]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(scores))], [*kept, "score"])
+            del batch, scores
+            release()
 
     schema = T.StructType([*base.schema.fields, T.StructField("score", T.DoubleType())])
     return base.mapInArrow(run, schema)
