@@ -8,6 +8,8 @@ from the sequence length alone, and the pieces find their places by their rank a
 
 from __future__ import annotations
 
+import json
+import re
 from array import array
 from collections import Counter
 from collections.abc import Iterator
@@ -99,6 +101,48 @@ class Plan:
         return cls({size: tuple(np.array(r).T) for size, r in runs.items()}, base)
 
 
+class PlainChunks:
+    """Ids of chunks of Latin-1 letters, digits and ASCII marks by the tokenizer's model alone, piece by piece.
+
+    On such text the normaliser only lower-cases and the splitter's classes are short ranges, so both are done here; pieces
+    are far fewer than chunks. It serves tokenizers of that one shape; for others, and other chunks, `ids` has no answer.
+    """
+
+    #: How the tokenizer file must normalise and split.
+    SHAPE = ["NFC", "Replace", "Lowercase"], ["Split", "ByteLevel"], r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+    # without what the names of special tokens are made of
+    WHOLE = re.compile(r"[A-Za-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff!-/:;=>?@\[-`{}~]+").fullmatch
+    PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z\u00df-\u00f6\u00f8-\u00ff0-9]+").findall
+
+    def __init__(self, text: str, inner, cache: int):
+        norm, split = (json.loads(text).get(k) or {} for k in ("normalizer", "pre_tokenizer"))
+        norms, splits = norm.get("normalizers", []), split.get("pretokenizers", [])
+        regexp = splits[0].get("pattern", {}).get("Regex") if splits else None
+        self.fits = ([n["type"] for n in norms], [x["type"] for x in splits], regexp) == self.SHAPE and not splits[1]["add_prefix_space"]
+        self.tokenize, self.limit = inner.model.tokenize, cache
+        # the splitter writes each byte as one character; ASCII marks and letters stand for themselves
+        self.bytes = {c: inner.pre_tokenizer.pre_tokenize_str(chr(c))[0][0] for c in range(0xDF, 0x100) if c != 0xF7} if self.fits else {}
+        self.seen: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def ids(self, chunk: str) -> bytes | None:
+        if not self.fits or self.WHOLE(chunk) is None:
+            return None
+        low = chunk.lower()
+        if low.isalpha():
+            return self.seen.get(low) or self._piece(low)
+        return b"".join([self.seen.get(p) or self._piece(p) for p in self.PIECES(low)])
+
+    def _piece(self, piece: str) -> bytes:
+        found = self.old.get(piece)
+        if found is None:
+            found = array("I", [t.id for t in self.tokenize(piece if piece.isascii() else piece.translate(self.bytes))]).tobytes()
+        if len(self.seen) >= self.limit:
+            self.old, self.seen = self.seen, {}
+        self.seen[piece] = found
+        return found
+
+
 class ChunkTokenizer:
     """Ids of texts by a tokenizer whose normaliser and splitter never join what ASCII space parts; chunks are cached."""
 
@@ -106,6 +150,7 @@ class ChunkTokenizer:
         from tokenizers import Tokenizer
 
         self.inner = Tokenizer.from_str(path_or_json)
+        self.plain = PlainChunks(path_or_json, self.inner, cache // 2)
         # two generations: what is used again survives when the younger one is full
         self.seen: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
@@ -119,11 +164,18 @@ class ChunkTokenizer:
                 self.old, self.seen = self.seen, {}
             words = set().union(*parts).difference(self.seen)
             self.seen.update((w, self.old[w]) for w in words & self.old.keys())
-            new = list(words.difference(self.old))
-            for at in range(0, len(new), 4_000):
-                some = new[at : at + 4_000]
-                found = self.inner.encode_batch_fast([w.decode("utf-8", "replace") for w in some], add_special_tokens=False)
-                self.seen.update(zip(some, (array("I", e.ids).tobytes() for e in found), strict=True))
+            rest = []
+            for word in words.difference(self.old):
+                text = word.decode("utf-8", "replace")
+                found = self.plain.ids(text)
+                if found is None:
+                    rest.append((word, text))
+                else:
+                    self.seen[word] = found
+            for at in range(0, len(rest), 4_000):
+                some = rest[at : at + 4_000]
+                found = self.inner.encode_batch_fast([t for _, t in some], add_special_tokens=False)
+                self.seen.update((w, array("I", e.ids).tobytes()) for (w, _), e in zip(some, found, strict=True))
             for p in parts:
                 yield b"".join(map(self.seen.__getitem__, p))
 
