@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import ctypes
 from collections.abc import Iterator, Sequence
 
 import numpy as np
@@ -10,18 +9,10 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 U = np.uint64
-_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
 _BASE = 0x9E3779B97F4A7C15
 _CHUNK = 1 << 18
 
 
-def release() -> None:
-    """Gives the pages that a batch has freed back to the system; a worker lives on through many tasks."""
-    pa.default_memory_pool().release_unused()
-    if _TRIM is not None:
-        _TRIM(0)
-
-
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijection of 64-bit words that spreads every input bit (the public splitmix64 finaliser)."""
     x = x ^ (x >> U(30))

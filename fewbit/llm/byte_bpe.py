@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fewbit.llm._store import table
+from fewbit.llm._worker import kept
 
 CACHE = 200_000
 
@@ -162,18 +163,6 @@ class Encoder:
         return b"".join(made)
 
 
-_ENCODERS: dict[tuple, Encoder] = {}
-
-
-def encoder_of(ranks: dict[bytes, int], pattern: str, path: str) -> Encoder:
-    """This process's encoder: workers serve many tasks, and what one has encoded serves the next."""
-    key = (path, pattern, len(ranks))
-    if key not in _ENCODERS:
-        _ENCODERS.clear()
-        _ENCODERS[key] = Encoder(ranks, pattern)
-    return _ENCODERS[key]
-
-
 def encode_bpe(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATTERN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, ids array<int>), one row per row of docs; null and empty texts have no ids.
 
@@ -184,7 +173,7 @@ def encode_bpe(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATT
     shared = docs.sparkSession.sparkContext.broadcast(read_ranks(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = encoder_of(shared.value, pattern, path)
+        encoder = kept((path, pattern, len(shared.value)), lambda: Encoder(shared.value, pattern))
         for batch in batches:
             made, held, lo = [], 0, 0
             for text in batch.column(1).cast(pa.binary()):

@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 from fewbit.llm._shingles import U, mix, text_stretches
 from fewbit.llm._store import Stored, table
+from fewbit.llm._worker import fresh
 from fewbit.llm.pii import let
 
 MIN_WORDS = 50
@@ -52,6 +53,7 @@ def _fingerprints(min_words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["doc", "lines", "windows"]
         kind = pa.list_(pa.struct([("fp", pa.int64()), ("at", pa.int64()), ("lo", pa.int64()), ("hi", pa.int64())]))
+        fresh()
         for batch in batches:
             raw, windows = [], []
             for text in (t for _, texts in text_stretches(batch.column(1)) for t in texts):
@@ -70,6 +72,7 @@ def _fingerprints(min_words: int):
 
 def _extend(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(doc, [(lo, hi)]) from (doc, source, shift, spans, lines of doc, lines of source): spans grown while lines are equal."""
+    fresh()
     for batch in batches:
         out = []
         shifts = batch.column(2).to_pylist()

@@ -26,8 +26,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fewbit.llm._components import components, spanning_forest
-from fewbit.llm._shingles import U, WordHasher, mix, release, shingle_set, text_stretches, word_hashes
+from fewbit.llm._shingles import U, WordHasher, mix, shingle_set, text_stretches, word_hashes
 from fewbit.llm._store import Stored, sifted, table
+from fewbit.llm._worker import fresh, release
 
 WORDS, PERCENT = 5, 80
 #: Shingles that one block of a family holds, about.
@@ -128,6 +129,7 @@ def _key_rows(words: int, starts: list[int], plans: list[Allocation]):
     """Rows (key, doc, 0) for every key of every document, and one row (hash of the whole set, doc, size + 1)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fresh()
         hasher = WordHasher()
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
@@ -187,6 +189,7 @@ def _sets(words: int):
     """(doc, family, blocks, shingle set as bytes) from (doc, family, blocks, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fresh()
         hasher = WordHasher()
         for batch in batches:
             made, lo, held = [], 0, 0
@@ -198,6 +201,8 @@ def _sets(words: int):
                     lo, made, held = lo + len(made), [], 0
             if made:
                 yield pa.RecordBatch.from_arrays([*(c.slice(lo, len(made)) for c in batch.columns[:3]), pa.array(made, pa.binary())], ["doc", "family", "blocks", "shingles"])
+            del made
+            release()
 
     return run
 
@@ -233,6 +238,7 @@ def _verify(percent: int):
     """Links of each (family, i, j) block pair, of rows sorted by those three; a block pair is held as a whole."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fresh()
         at, ids, sides, sets = None, [], [], []
 
         def links():
@@ -250,6 +256,8 @@ def _verify(percent: int):
                 ids.append(docs[r])
                 sides.append(side[r])
                 sets.append(np.frombuffer(raw[r].as_py(), U))
+            del rows, docs, side, raw
+            release()
         if len(ids) > 1:
             yield links()
 

@@ -22,12 +22,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from fewbit.llm._shingles import release, text_stretches
+from fewbit.llm._shingles import text_stretches
 from fewbit.llm._store import stored, table
+from fewbit.llm._worker import kept, release
 
 LENGTH = 4096
 END = 1
-CACHE = 120_000
+CACHE = 180_000
 #: Rows that one window task ranks, about.
 SHARE = 100_000
 
@@ -105,7 +106,7 @@ class PlainChunks:
     """Ids of chunks of Latin-1 letters, digits and ASCII marks by the tokenizer's model alone, piece by piece.
 
     On such text the normaliser only lower-cases and the splitter's classes are short ranges, so both are done here; pieces
-    are far fewer than chunks. It serves tokenizers of that one shape; for others, and other chunks, `ids` has no answer.
+    are far fewer than chunks. It serves tokenizers of that one shape; for others, and other chunks, it has no answer.
     """
 
     #: How the tokenizer file must normalise and split.
@@ -125,13 +126,18 @@ class PlainChunks:
         self.seen: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
-    def ids(self, chunk: str) -> bytes | None:
-        if not self.fits or self.WHOLE(chunk) is None:
-            return None
-        low = chunk.lower()
-        if low.isalpha():
-            return self.seen.get(low) or self._piece(low)
-        return b"".join([self.seen.get(p) or self._piece(p) for p in self.PIECES(low)])
+    def ids(self, chunks: list[bytes]) -> tuple[dict[bytes, bytes], list[tuple[bytes, str]]]:
+        """(ids by chunk, the others with their text); chunks hold no ASCII space."""
+        done, rest = {}, []
+        joined = b"\n".join(chunks).decode("utf-8", "replace")
+        for chunk, text, low in zip(chunks, joined.split("\n"), joined.lower().split("\n"), strict=True):
+            if not self.fits or not ((letters := text.isascii() and text.isalpha()) or self.WHOLE(text)):
+                rest.append((chunk, text))
+            elif letters or low.isalpha():
+                done[chunk] = self.seen.get(low) or self._piece(low)
+            else:
+                done[chunk] = b"".join([self.seen.get(p) or self._piece(p) for p in self.PIECES(low)])
+        return done, rest
 
     def _piece(self, piece: str) -> bytes:
         found = self.old.get(piece)
@@ -164,14 +170,8 @@ class ChunkTokenizer:
                 self.old, self.seen = self.seen, {}
             words = set().union(*parts).difference(self.seen)
             self.seen.update((w, self.old[w]) for w in words & self.old.keys())
-            rest = []
-            for word in words.difference(self.old):
-                text = word.decode("utf-8", "replace")
-                found = self.plain.ids(text)
-                if found is None:
-                    rest.append((word, text))
-                else:
-                    self.seen[word] = found
+            done, rest = self.plain.ids(list(words.difference(self.old)))
+            self.seen.update(done)
             for at in range(0, len(rest), 4_000):
                 some = rest[at : at + 4_000]
                 found = self.inner.encode_batch_fast([t for _, t in some], add_special_tokens=False)
@@ -180,17 +180,6 @@ class ChunkTokenizer:
                 yield b"".join(map(self.seen.__getitem__, p))
 
 
-_TOKENIZERS: dict[str, ChunkTokenizer] = {}
-
-
-def tokenizer_of(text: str) -> ChunkTokenizer:
-    """This process's tokenizer: workers serve many tasks, and what one has encoded serves the next."""
-    if text not in _TOKENIZERS:
-        _TOKENIZERS.clear()
-        _TOKENIZERS[text] = ChunkTokenizer(text)
-    return _TOKENIZERS[text]
-
-
 def _cut(tokenizer: str, length: int, end: int):
     """Pieces (row, doc, piece, start, length, ids) of each document; row tells stored pieces apart."""
 
@@ -198,7 +187,7 @@ def _cut(tokenizer: str, length: int, end: int):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder, last = tokenizer_of(tokenizer), np.array([end], "<u4").tobytes()
+        encoder, last = kept(("tokenizer", tokenizer), lambda: ChunkTokenizer(tokenizer)), np.array([end], "<u4").tobytes()
         row = TaskContext.get().partitionId() << 33
         names = ["row", "doc_id", "piece", "start", "length", "ids"]
         for batch in batches:

@@ -15,8 +15,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from fewbit.llm._shingles import release, text_stretches
+from fewbit.llm._shingles import text_stretches
 from fewbit.llm._store import table
+from fewbit.llm._worker import fresh, release
 
 PASSAGE_WORDS = 64
 PAIRS = 256
@@ -195,6 +196,7 @@ def score_quality(docs: DataFrame, model: AttentionModel, text_col: str = "text"
     at = kept.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fresh()
         for batch in batches:
             scores = [np.zeros(0), *(model.score(texts) for _, texts in text_stretches(batch.column(at)))]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(scores))], [*kept, "score"])
