@@ -33,6 +33,8 @@ from fewbit.llm._worker import fresh, release
 WORDS, PERCENT = 5, 80
 #: Shingles that one block of a family holds, about.
 BLOCK = 1_000_000
+#: Shingles of a set too small for comparing by a part.
+SMALL = 200
 #: For the cost estimate: chance that a shingle is shared with some other document of the band; cost of a candidate in keys.
 SHARED, CANDIDATE = 0.02, 1.0
 
@@ -185,30 +187,39 @@ def _tie(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1]), none, none], ["doc", "first", "n", "sig"])
 
 
-def _sets(words: int):
-    """(doc, family, blocks, shingle set as bytes) from (doc, family, blocks, text)."""
+def _sets(words: int, part: int):
+    """The same rows with the shingle set as bytes in place of the text, the last column; of it, the first of `part` equal
+    ranges of the universe."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fresh()
         hasher = WordHasher()
         for batch in batches:
+            names = [*batch.schema.names[:-1], "shingles"]
             made, lo, held = [], 0, 0
-            for hashes in (h for _, texts in text_stretches(batch.column(3)) for h in word_hashes(texts, hasher)):
-                made.append(shingle_set(hashes, words).tobytes())
+            for hashes in (h for _, texts in text_stretches(batch.column(len(names) - 1)) for h in word_hashes(texts, hasher)):
+                found = shingle_set(hashes, words)
+                made.append(found[: np.searchsorted(found, U(((1 << 64) - 1) // part), "right")].tobytes())
                 held += len(made[-1])
                 if held > 4 << 20:
-                    yield pa.RecordBatch.from_arrays([*(c.slice(lo, len(made)) for c in batch.columns[:3]), pa.array(made, pa.binary())], ["doc", "family", "blocks", "shingles"])
+                    yield pa.RecordBatch.from_arrays([*(c.slice(lo, len(made)) for c in batch.columns[:-1]), pa.array(made, pa.binary())], names)
                     lo, made, held = lo + len(made), [], 0
             if made:
-                yield pa.RecordBatch.from_arrays([*(c.slice(lo, len(made)) for c in batch.columns[:3]), pa.array(made, pa.binary())], ["doc", "family", "blocks", "shingles"])
+                yield pa.RecordBatch.from_arrays([*(c.slice(lo, len(made)) for c in batch.columns[:-1]), pa.array(made, pa.binary())], names)
             del made
             release()
 
     return run
 
 
-def linked_pairs(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """A spanning forest of the links among sets: all pairs if side is one value, else pairs between the two sides."""
+def linked_pairs(
+    ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, percent: int, whole: np.ndarray | None = None
+) -> tuple[np.ndarray, np.ndarray]:
+    """A spanning forest of the links among sets: all pairs if side is one value, else pairs between the two sides.
+
+    With the sizes of the whole sets, `sets` hold a part of each, and a pair stays unless the parts alone differ in more
+    shingles than linked sets can.
+    """
     two = side.min() != side.max()
     others = np.flatnonzero(side == side.max())
     sizes = np.fromiter(map(len, sets), np.int64, len(sets))
@@ -221,12 +232,15 @@ def linked_pairs(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, perc
         lo, hi = np.searchsorted(flat, sets[i], "left"), np.searchsorted(flat, sets[i], "right")
         n = hi - lo
         total = int(n.sum())
-        if total <= (0 if two else len(sets[i])):
+        if whole is None and total <= (0 if two else len(sets[i])):
             continue
         at = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(total)
         common = np.bincount(owner[at], minlength=len(sets))
-        hit = np.flatnonzero(100 * common >= percent * (sizes[i] + sizes - common))
-        hit = hit[common[hit] > 0] if two else hit[hit > i]
+        if whole is None:
+            hit = np.flatnonzero((100 * common >= percent * (sizes[i] + sizes - common)) & (common > 0))
+        else:
+            hit = np.flatnonzero((sizes[i] + sizes - 2 * common) * (100 + percent) <= (whole[i] + whole) * (100 - percent))
+        hit = hit[side[hit] == side.max()] if two else hit[hit > i]
         a.append(np.full(len(hit), ids[i]))
         b.append(ids[hit])
     if not a:
@@ -234,27 +248,28 @@ def linked_pairs(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, perc
     return spanning_forest(np.concatenate(a).astype(np.int64), np.concatenate(b).astype(np.int64))
 
 
-def _verify(percent: int):
-    """Links of each (family, i, j) block pair, of rows sorted by those three; a block pair is held as a whole."""
+def _verify(percent: int, partly: bool):
+    """Links of each (family, span, i, j) block pair, of rows sorted by those four; a block pair is held as a whole."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fresh()
-        at, ids, sides, sets = None, [], [], []
+        at, ids, sides, whole, sets = None, [], [], [], []
 
         def links():
-            u, v = linked_pairs(np.array(ids), sets, np.array(sides), percent)
+            u, v = linked_pairs(np.array(ids), sets, np.array(sides), percent, np.array(whole) if partly else None)
             return pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], ["a", "b"])
 
         for batch in batches:
-            rows = zip(*(batch.column(c).to_pylist() for c in range(3)), strict=True)
-            docs, side, raw = batch.column(3).to_pylist(), batch.column(4).to_pylist(), batch.column(5)
+            rows = zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True)
+            docs, side, n, raw = *(batch.column(c).to_pylist() for c in (4, 5, 6)), batch.column(7)
             for r, here in enumerate(rows):
                 if here != at:
                     if len(ids) > 1:
                         yield links()
-                    at, ids, sides, sets = here, [], [], []
+                    at, ids, sides, whole, sets = here, [], [], [], []
                 ids.append(docs[r])
                 sides.append(side[r])
+                whole.append(n[r])
                 sets.append(np.frombuffer(raw[r].as_py(), U))
             del rows, docs, side, raw
             release()
@@ -264,6 +279,30 @@ def _verify(percent: int):
     return run
 
 
+def _block_links(texts: DataFrame, copies: DataFrame, words: int, percent: int, block: int, part: int) -> DataFrame:
+    """(a, b): a forest of the links in each family of copies (doc, family, n, span); with part > 1, of the pairs that one range in `part` can't tell apart."""
+    held = copies.groupBy("family", "span").agg(F.count("*").alias("docs"), F.ceil(F.sum("n") / (block * part)).cast("int").alias("own"))
+    beside = lambda step, name: F.coalesce(F.max(F.when(F.col("near") == step, F.col("blocks"))), F.lit(0)).alias(name)
+    met = held.select("family", F.explode(F.array(*[F.struct((F.col("span") - k).alias("span"), F.lit(k).alias("near")) for k in (-1, 0, 1)])).alias("m"), F.col("own").alias("blocks"), "docs")
+    met = met.select("family", "m.*", "blocks", "docs").groupBy("family", "span").agg(
+        beside(0, "own"), beside(1, "above"), beside(-1, "below"), F.max(F.when(F.col("near") == 0, F.col("docs"))).alias("docs")
+    )
+    met = met.where("own > 0 AND (docs > 1 OR above > 0 OR below > 0)").drop("docs")
+    chosen = Stored(copies.join(met, ["family", "span"]).select("doc", "n", "family", "span", "own", "above", "below")).df
+    near_texts = sifted(texts, chosen.select("doc"), "doc").where("__maybe").drop("__maybe")
+    kind = "doc long, n long, family long, span int, own int, above int, below int"
+    sets = near_texts.join(chosen, "doc").select(*chosen.columns, "text").mapInArrow(_sets(words, part), f"{kind}, shingles binary")
+    # each document meets every block of its own span, and those of the spans beside it; 2 * span + 1 names two spans' pairs
+    places = """concat(
+        transform(sequence(0, own - 1), o -> struct(2 * span AS span, least(mine, o) AS i, greatest(mine, o) AS j, mine AS side)),
+        transform(filter(sequence(0, above), o -> o < above), o -> struct(2 * span + 1 AS span, mine AS i, o AS j, 0 AS side)),
+        transform(filter(sequence(0, below), o -> o < below), o -> struct(2 * span - 1 AS span, o AS i, mine AS j, 1 AS side)))"""
+    pairs = sets.withColumn("mine", F.pmod(F.xxhash64("doc"), F.col("own")).cast("int")).withColumn("p", F.explode(F.expr(places)))
+    pairs = pairs.select("family", "p.span", "p.i", "p.j", "doc", "p.side", "n", "shingles")
+    pairs = pairs.repartition("family", "span", "i", "j").sortWithinPartitions("family", "span", "i", "j")
+    return pairs.mapInArrow(_verify(percent, part > 1), "a long, b long")
+
+
 def ngram_groups(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, block: int = BLOCK, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_shingles long, component_id long) of every document; components are those of the exact link graph.
 
@@ -290,16 +329,15 @@ def ngram_groups(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bl
     members = Stored(base.join(family.withColumnRenamed("node", "doc"), "doc").withColumnRenamed("component", "family")).df
     copies = members.groupBy("family", "sig", "n").agg(F.min("doc").alias("doc"), F.count("*").alias("c"))
     same = members.join(copies.where("c > 1").withColumnRenamed("doc", "first"), ["family", "sig", "n"]).select(F.col("doc").alias("a"), F.col("first").alias("b"))
-    blocks = copies.groupBy("family").agg(F.count("*").alias("docs"), F.ceil(F.sum("n") / block).cast("int").alias("blocks")).where("docs > 1")
-    chosen = Stored(copies.join(blocks, "family").select("doc", "family", "blocks")).df
-    near_texts = sifted(own, chosen.select("doc"), "doc").where("__maybe").drop("__maybe")
-    sets = near_texts.join(chosen, "doc").select("doc", "family", "blocks", "text").mapInArrow(_sets(words), "doc long, family long, blocks int, shingles binary")
-    mine = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
-    pairs = sets.withColumn("mine", mine).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
-    pairs = pairs.select("family", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "doc", "mine", "shingles")
-    # a block with itself is a pair as well, and each document meets every block once
-    pairs = pairs.repartition("family", "i", "j").sortWithinPartitions("family", "i", "j")
-    links = pairs.mapInArrow(_verify(percent), "a long, b long")
+    # a quarter of the sets tells unlike documents apart; those that may have a partner are then compared whole
+    # partners lie in one span of sizes or in successive ones; the ratio is a little wide for the logarithm's rounding
+    ratio = math.log(100 / percent * 1.0001)
+    sized = copies.where("n > 0").withColumn("span", F.floor(F.log(F.col("n").cast("double")) / ratio).cast("int"))
+    # small sets are compared whole at once, and so are those that may have a small partner
+    small = math.floor(math.log(SMALL) / ratio)
+    rough = Stored(_block_links(own, sized.where(F.col("span") > small), words, percent, block, 4)).df
+    some = rough.select(F.col("a").alias("doc")).union(rough.select("b")).union(sized.where(F.col("span") <= small + 1).select("doc")).distinct()
+    links = _block_links(own, sized.join(some, "doc", "left_semi"), words, percent, block, 1)
     joined = components(same.unionByName(links), "a", "b")
     return base.join(joined, F.col("doc") == F.col("node"), "left").select(
         F.col("doc").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id")
