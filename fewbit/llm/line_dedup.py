@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from fewbit.llm._shingles import U, mix, text_stretches
 from fewbit.llm._store import Stored, table
-from fewbit.llm._worker import fresh
+from fewbit.llm._worker import fresh, release
 from fewbit.llm.pii import let
 
 MIN_WORDS = 50
@@ -55,17 +55,19 @@ def _fingerprints(min_words: int):
         kind = pa.list_(pa.struct([("fp", pa.int64()), ("at", pa.int64()), ("lo", pa.int64()), ("hi", pa.int64())]))
         fresh()
         for batch in batches:
-            raw, windows = [], []
-            for text in (t for _, texts in text_stretches(batch.column(1)) for t in texts):
-                parts = text.split(b"\n")
-                hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, parts), U, len(parts))
-                words = np.fromiter((len(p.split()) for p in parts), np.int64, len(parts))
-                raw.append(hashes.tobytes())
-                windows.append(line_windows(hashes, words, min_words))
-            sizes = np.cumsum([0, *(len(w[0]) for w in windows)]).astype(np.int32)
-            flat = [pa.array(np.concatenate([w[i] for w in windows])) for i in range(4)]
-            made = pa.ListArray.from_arrays(sizes, pa.StructArray.from_arrays(flat, fields=list(kind.value_type)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary()), made], names)
+            for lo, texts in text_stretches(batch.column(1)):
+                raw, windows = [], []
+                for text in texts:
+                    parts = text.split(b"\n")
+                    hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, parts), U, len(parts))
+                    words = np.fromiter((len(p.split()) for p in parts), np.int64, len(parts))
+                    raw.append(hashes.tobytes())
+                    windows.append(line_windows(hashes, words, min_words))
+                sizes = np.cumsum([0, *(len(w[0]) for w in windows)]).astype(np.int32)
+                flat = [pa.array(np.concatenate([w[i] for w in windows])) for i in range(4)]
+                made = pa.ListArray.from_arrays(sizes, pa.StructArray.from_arrays(flat, fields=list(kind.value_type)))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, len(texts)), pa.array(raw, pa.binary()), made], names)
+            release()
 
     return run
 
