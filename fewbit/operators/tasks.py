@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from fewbit.sources import load
 
 CHARGE_CUT = 50_000.0
-BUCKETS, LANGUAGE_SCALE, LANGUAGE_CHARS = 784, 3.0, 1000
+BUCKETS, LANGUAGE_SCALE, STRETCH = 784, 3.0, 1000
 LANGUAGES = ("en", "fr", "de", "es")
 
 
@@ -82,10 +82,16 @@ def noise10(spark: SparkSession, sf_dir: str, workers: int = 10) -> DataFrame:
 
 
 def language_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, bucket, n): hashed character trigrams of each distinct text's beginning."""
-    docs = load(spark, sf_dir, "documents").select("doc_id", "text", "lang").where("length(text) >= 3")
-    own = docs.groupBy("text").agg(F.min(F.struct("doc_id", "lang")).alias("m")).select("m.doc_id", "m.lang", F.substring("text", 1, LANGUAGE_CHARS).alias("s"), "text")
-    gram = own.select("doc_id", F.explode(F.expr("transform(sequence(1, length(s) - 2), i -> substring(s, i, 3))")).alias("g"))
+    """(doc_id, bucket, n): hashed character trigrams of each distinct text, the whole of it.
+
+    A text is taken apart in stretches first: a trigram's place costs a walk from the beginning of its string.
+    """
+    docs = load(spark, sf_dir, "documents").select("doc_id", "text").where("length(text) >= 3")
+    own = docs.groupBy("text").agg(F.min("doc_id").alias("doc_id"))
+    at = F.explode(F.expr(f"sequence(1, length(text) - 2, {STRETCH})")).alias("at")
+    # a stretch ends with the last trigram that begins in it
+    cut = own.select("doc_id", "text", at).select("doc_id", F.expr(f"substring(text, at, {STRETCH + 2})").alias("s"))
+    gram = cut.select("doc_id", F.explode(F.expr("transform(sequence(1, length(s) - 2), i -> substring(s, i, 3))")).alias("g"))
     counted = gram.groupBy("doc_id", "g").count()
     return counted.select("doc_id", (_hex("g", 8) % BUCKETS).cast("int").alias("bucket"), "count").groupBy("doc_id", "bucket").agg(F.sum("count").alias("n"))
 
