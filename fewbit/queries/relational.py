@@ -55,9 +55,12 @@ def join_asof(s, d):
 
 
 def join_interval(s, d):
-    days = s.range(0, 40).select((F.col("id") * 10).cast("double").alias("lo"), (F.col("id") * 10 + 10).cast("double").alias("hi"))
+    """Events by bins of value: the first and last bin are open, and values that no bin takes (null, NaN) have a row without bin."""
+    lo = F.col("id") * 10
+    days = s.range(-1, 41).select(F.when(F.col("id") < 0, float("-inf")).otherwise(lo).alias("lo"), F.when(F.col("id") == 40, float("inf")).otherwise(lo + 10).alias("hi"))
     e = events(s, d)
-    return e.join(F.broadcast(days), (e.value >= days.lo) & (e.value < days.hi)).groupBy("lo").agg(F.count("*").alias("n"))
+    inside = (e.value >= days.lo) & ((e.value < days.hi) | ((days.hi == float("inf")) & ~F.isnan(e.value)))
+    return e.join(F.broadcast(days), inside, "left").groupBy("lo").agg(F.count("*").alias("n"))
 
 
 def agg_partial(s, d):

@@ -4,6 +4,7 @@ import hashlib
 from collections import Counter
 
 from fewbit.operators import tasks
+from fewbit.queries import relational
 
 
 def test_trigrams_of_whole_texts(spark, tmp_path):
@@ -17,3 +18,10 @@ def test_trigrams_of_whole_texts(spark, tmp_path):
         if i != 3:
             want.update((i, int(hashlib.md5(t[k : k + 3].encode()).hexdigest()[:8], 16) % tasks.BUCKETS) for k in range(len(t) - 2))
     assert {(r.doc_id, r.bucket): r.n for r in tasks.language_cells(spark, str(tmp_path)).collect()} == want
+
+
+def test_every_event_has_an_interval(spark, tmp_path):
+    values = [-3.0, 0.0, 9.5, 10.0, 399.9, 400.0, 560.2, float("inf"), float("-inf"), float("nan"), None]
+    spark.createDataFrame([(i, v) for i, v in enumerate(values)], "event_id long, value double").write.parquet(f"{tmp_path}/events.parquet")
+    got = {r.lo: r.n for r in relational.join_interval(spark, str(tmp_path)).collect()}
+    assert got == {float("-inf"): 2, 0.0: 2, 10.0: 1, 390.0: 1, 400.0: 3, None: 2}
