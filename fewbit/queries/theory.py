@@ -102,10 +102,14 @@ def lattice_points(spark, sf_dir):
 
 
 def cell_join(spark, sf_dir):
-    """Coordinate to lattice cell by a range join against the cells, the plain form of the rounding's position."""
-    cells = spark.range(0, 15).select(F.col("id").cast("int").alias("cell"), (-0.25 + F.col("id") * (0.5 / 15)).alias("lo"), (-0.25 + (F.col("id") + 1) * (0.5 / 15)).alias("hi"))
-    v = _cells(spark, sf_dir).where("dim < 4")
-    hit = v.join(F.broadcast(cells), (v.v >= cells.lo) & (v.v < cells.hi))
+    """Coordinate to lattice cell by a range join against the cells, the plain form of the rounding's position.
+
+    The outer cells are open, as the rounding clamps to the ends of the lattice. A null coordinate has no cell.
+    """
+    end = lambda i, edge, sign: F.when(F.col("id") == edge, float(f"{sign}inf")).otherwise(-0.25 + i * (0.5 / 15))
+    cells = spark.range(0, 15).select(F.col("id").cast("int").alias("cell"), end(F.col("id"), 0, "-").alias("lo"), end(F.col("id") + 1, 14, "").alias("hi"))
+    v = _cells(spark, sf_dir)
+    hit = v.join(F.broadcast(cells), (v.v >= cells.lo) & ((v.v < cells.hi) | (cells.hi == float("inf"))), "left")
     return hit.groupBy("dim", "cell").agg(F.count("*").alias("n"))
 
 

@@ -1,10 +1,11 @@
 """Queries do the whole job: no row, coordinate or character of the input is left out."""
 
 import hashlib
+import math
 from collections import Counter
 
 from fewbit.operators import tasks
-from fewbit.queries import relational
+from fewbit.queries import relational, theory
 
 
 def test_trigrams_of_whole_texts(spark, tmp_path):
@@ -25,3 +26,11 @@ def test_every_event_has_an_interval(spark, tmp_path):
     spark.createDataFrame([(i, v) for i, v in enumerate(values)], "event_id long, value double").write.parquet(f"{tmp_path}/events.parquet")
     got = {r.lo: r.n for r in relational.join_interval(spark, str(tmp_path)).collect()}
     assert got == {float("-inf"): 2, 0.0: 2, 10.0: 1, 390.0: 1, 400.0: 3, None: 2}
+
+
+def test_every_coordinate_has_a_cell(spark, tmp_path):
+    rows = [(0, [-0.9, -0.25, -0.01, 0.01, 0.24, 0.25, 0.9, float("inf")]), (1, [0.1] * 7 + [None])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    place = lambda v: None if v is None else int(min(max(math.floor(min(v, 1.0) / (0.5 / 15) + 7.5), 0), 14))
+    want = Counter((i, place(v)) for _, x in rows for i, v in enumerate(x))
+    assert {(r.dim, r.cell): r.n for r in theory.cell_join(spark, str(tmp_path)).collect()} == want
