@@ -3,8 +3,10 @@
 Each pass orders all vectors by the concatenated signs of random projections, so that close vectors tend to be
 neighbours; vectors within a bounded window of that order are compared exactly. The number of passes follows from the
 number of vectors, the window and the wanted chance of missing a pair that lies right at the threshold (closer pairs are
-missed far more seldom). Pairs found are united over the passes; the links inside each united group are then counted
-exactly, in blocks.
+missed far more seldom). That chance is of a pair whose leading signs differ in every pass: where more vectors share
+their leading signs than a window holds, they are compared with one another in blocks, however the vectors lie. If those
+blocks came to more than all pairs, all pairs are compared once instead. Pairs found are united over the passes; the
+links inside each united group are then counted exactly, in blocks.
 """
 
 from __future__ import annotations
@@ -24,18 +26,24 @@ from fewbit.llm.sharding import global_rank
 THRESHOLD = 0.9
 BLOCK = 1024
 HALO = BLOCK // 2
+SPAN = 8 * BLOCK
 MISS = 1e-3
 BITS = 62
 SEED = 20261
 
 
+def depth_for(n: int, halo: int = HALO) -> int:
+    """Leading signs that leave `halo` of n evenly spread vectors together."""
+    return min(BITS, math.ceil(math.log2(max(n / halo, 1))))
+
+
 def passes_for(n: int, threshold: float = THRESHOLD, halo: int = HALO, miss: float = MISS) -> int:
-    """Passes after which a pair at the threshold has been within `halo` places but for a chance of `miss`.
+    """Passes after which a pair at the threshold has been compared but for a chance of `miss`.
 
-    A pass puts such a pair close if their leading log2(n / halo) signs agree.
+    A pass compares such a pair if their leading `depth_for(n)` signs agree.
     """
     agree = 1 - math.acos(threshold) / math.pi
-    near = agree ** max(0.0, math.log2(max(n, 1) / halo))
+    near = agree ** depth_for(n, halo)
     return 1 if near >= 1 - miss else math.ceil(math.log(miss) / math.log1p(-near))
 
 
@@ -128,6 +136,41 @@ def _neighbours(threshold: float):
     return run
 
 
+def _tiles(threshold: float):
+    """Links (a, b) that tie together the close vectors of each (bucket, i, j) pair of spans, found tile by tile."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for (*_, i, j), rows in _groups_of(batches, 4):
+            ids, side = (np.array([r[k] for r in rows]) for k in (0, 1))
+            for some, x in _by_size([r[2] for r in rows]):
+                left, right = (np.flatnonzero(side[some] == k) for k in (i, j))
+                for p in range(0, len(left), BLOCK):
+                    for q in range(p if i == j else 0, len(right), BLOCK):
+                        one, other = left[p : p + BLOCK], right[q : q + BLOCK]
+                        near = x[one] @ x[other].T >= threshold
+                        if i == j and p == q:
+                            np.fill_diagonal(near, False)
+                        if not near.any():
+                            continue
+                        both, m = np.concatenate([one, other]), len(one)
+                        square = np.zeros((len(both), len(both)), bool)
+                        square[:m, m:], square[m:, :m] = near, near.T
+                        pairs = ids[some[both[np.array(_forest(square))]]]
+                        yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+
+    return run
+
+
+def _in_spans(rows: DataFrame, threshold: float) -> DataFrame:
+    """Links (a, b) among all rows of each (pass, bucket); rows are (pass, bucket, spans, id, v), spans the bucket's number of parts."""
+    mine = rows.withColumn("mine", F.pmod(F.xxhash64("id"), F.col("spans")).cast("int"))
+    pairs = mine.withColumn("other", F.explode(F.expr("sequence(0, spans - 1)"))).select(
+        "pass", "bucket", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "id", "mine", "v"
+    )
+    keys = ["pass", "bucket", "i", "j"]
+    return pairs.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_tiles(threshold), "a long, b long")
+
+
 def _degrees(threshold: float):
     """(id, links) of each (group, i, j) block pair; links count every copy of the other vector."""
 
@@ -161,10 +204,24 @@ def embedding_groups(vectors: DataFrame, threshold: float = THRESHOLD, id_col: s
     n = groups.count()
     passes = passes_for(n, threshold)
     order = groups.select("id", "v").mapInArrow(_keys(passes), "pass int, key long, id long").withColumn("salt", F.xxhash64("id"))
-    placed = global_rank(order, ["pass", "key", "salt"]).select("id", F.expr(f"rank div {BLOCK}").alias("block"), F.expr(f"rank % {BLOCK} < {HALO}").alias("early"))
-    spread = placed.select("id", F.explode(F.expr("CASE WHEN early AND block > 0 THEN array(block, block - 1) ELSE array(block) END")).alias("block"))
-    dealt = spread.join(groups.select("id", "v"), "id").select("block", "id", "v").repartition("block").sortWithinPartitions("block")
-    links = Stored(dealt.mapInArrow(_neighbours(threshold), "a long, b long")).df
+    ranked = global_rank(order, ["pass", "key", "salt"])
+    buckets = ranked.groupBy("pass", F.shiftright("key", BITS - depth_for(n)).alias("bucket")).count().where(F.col("count") > HALO)
+    crowded = Stored(buckets).df
+    products = crowded.agg(F.sum(F.col("count") * F.col("count"))).first()[0] or 0
+    spans = lambda count: F.ceil(count / SPAN).cast("int").alias("spans")
+    if products > n * n:
+        everyone = groups.select(F.lit(0).alias("pass"), F.lit(0).cast("long").alias("bucket"), spans(F.lit(n)), "id", "v")
+        links = Stored(_in_spans(everyone, threshold)).df
+    else:
+        placed = ranked.select("id", F.expr(f"rank div {BLOCK}").alias("block"), F.expr(f"rank % {BLOCK} < {HALO}").alias("early"))
+        spread = placed.select("id", F.explode(F.expr("CASE WHEN early AND block > 0 THEN array(block, block - 1) ELSE array(block) END")).alias("block"))
+        dealt = spread.join(groups.select("id", "v"), "id").select("block", "id", "v").repartition("block").sortWithinPartitions("block")
+        found = dealt.mapInArrow(_neighbours(threshold), "a long, b long")
+        if products:
+            at = ranked.select("pass", F.shiftright("key", BITS - depth_for(n)).alias("bucket"), "id")
+            dense = at.join(crowded.select("pass", "bucket", spans(F.col("count"))), ["pass", "bucket"]).join(groups.select("id", "v"), "id")
+            found = found.unionByName(_in_spans(dense, threshold))
+        links = Stored(found).df
     group = Stored(components(links, "a", "b")).df
     group = group.unionByName(group.select(F.col("component").alias("node"), "component").distinct())
 
