@@ -1,6 +1,6 @@
 """The experiments: methods side by side on the tasks, their measures and ablations.
 
-The queries run fewer rounds than the published 50; `compare` and `f1_table` take any number (see README for 50).
+The queries w03 to w07 run the published 50 rounds; `compare` and `f1_table` take any number.
 """
 
 from __future__ import annotations
@@ -19,6 +19,7 @@ from fewbit.queries.methods import train
 
 COMPARED = ("gd", "sgd", "sag", "avr", "avr_memory", "q_gd", "q_sgd", "q_sag", "qavrm_fixed", "qavrm_adaptive", "qavrm_fixed_plus", "qavrm_adaptive_plus")
 SCALES = (1.0, 0.1)
+ROUNDS = 50
 
 
 def compare(spark, sf_dir, task: str, p: int, steps: int, rounds: int, cls: int = 1, methods=COMPARED, scales=SCALES, engine="epoch"):
@@ -46,23 +47,26 @@ def compare(spark, sf_dir, task: str, p: int, steps: int, rounds: int, cls: int
 
 def few_bits(spark, sf_dir):
     """Binary task at 3 bits a coordinate."""
-    return compare(spark, sf_dir, "charge", 3, 8, 15)
+    return compare(spark, sf_dir, "charge", 3, 8, ROUNDS)
 
 
 def more_bits(spark, sf_dir):
     """Binary task at 9 bits."""
-    return compare(spark, sf_dir, "charge", 9, 8, 15)
+    return compare(spark, sf_dir, "charge", 9, 8, ROUNDS)
 
 
 def _one_class(p):
     def query(spark, sf_dir):
-        return compare(spark, sf_dir, "language", p, 15, 8, cls=3)
+        return compare(spark, sf_dir, "language", p, 15, ROUNDS, cls=3)
 
     return query
 
 
-def anchor_class(spark, sf_dir):
-    return compare(spark, sf_dir, "anchor10", 7, 15, 10, cls=9)
+def _anchor_class(p):
+    def query(spark, sf_dir):
+        return compare(spark, sf_dir, "anchor10", p, 15, ROUNDS, cls=9)
+
+    return query
 
 
 TABLE = ("gd", "avr_memory", "q_gd", "q_sgd", "q_sag", "qavrm_fixed_plus", "qavrm_adaptive_plus")
@@ -83,7 +87,7 @@ def one_vs_all(spark, sf_dir, task: str, p: int, rounds: int, scales=SCALES, met
     return counts, pts
 
 
-def f1_table(spark, sf_dir, task="language", rounds=8, one=3, bits=(7, 10)):
+def f1_table(spark, sf_dir, task="language", rounds=ROUNDS, one=3, bits=(7, 10)):
     """(p, method, radius_scale, rule, f1_one, f1_macro): the comparison of test scores."""
     parts = []
     for p in bits:
@@ -99,17 +103,17 @@ def f1_table(spark, sf_dir, task="language", rounds=8, one=3, bits=(7, 10)):
 
 
 def f1_anchor(spark, sf_dir):
-    return f1_table(spark, sf_dir, "anchor10", 8, 9, (7,))
+    return f1_table(spark, sf_dir, "anchor10", one=9)
 
 
 def f1_noise(spark, sf_dir):
     """The negative control: scores stay at chance."""
-    return f1_table(spark, sf_dir, "noise10", 5, 9, (10,))
+    return f1_table(spark, sf_dir, "noise10", one=9)
 
 
 def f1_pivot(spark, sf_dir):
     """The table in the shape of one row per number of bits, one column per method."""
-    t = f1_table(spark, sf_dir, rounds=5, bits=(7, 10)).where("rule = 'argmax'")
+    t = f1_table(spark, sf_dir).where("rule = 'argmax'")
     best = t.where(F.col("radius_scale") == F.when(F.col("p") == 7, F.when(F.col("method").isin("gd", "avr_memory"), 1.0).otherwise(0.1)).otherwise(1.0))
     return best.groupBy("p").pivot("method", list(TABLE)).agg(F.round(F.first("f1_macro"), 4))
 
@@ -222,8 +226,9 @@ QUERIES = {
     "w03_binary_3_bits": few_bits,
     "w04_binary_9_bits": more_bits,
     "w05_one_class_7_bits": _one_class(7),
-    "w05_anchor_class_7_bits": anchor_class,
+    "w05_anchor_class_7_bits": _anchor_class(7),
     "w06_one_class_10_bits": _one_class(10),
+    "w06_anchor_class_10_bits": _anchor_class(10),
     "w07_m18_f1_table": f1_table,
     "w07_f1_anchor10": f1_anchor,
     "w07_f1_noise10_control": f1_noise,

@@ -9,7 +9,7 @@ import pytest
 
 from fewbit.llm import embedding_dedup
 from fewbit.operators import tasks
-from fewbit.queries import relational, theory
+from fewbit.queries import relational, theory, workloads
 
 
 def test_trigrams_of_whole_texts(spark, tmp_path):
@@ -59,3 +59,25 @@ def test_links_inside_a_dense_cone(spark, cone, spread):
         component = low
     assert [got[i].n_links for i in range(len(u))] == near.sum(1).tolist()
     assert [got[i].component_id for i in range(len(u))] == component.tolist()
+
+
+def test_experiments_run_the_published_rounds(spark, monkeypatch):
+    ran = []
+
+    def fit_many(pts, runs, d, engine="epoch"):
+        ran.append((d, {r.config.rounds for r in runs}, {(r.config.model_bits, r.config.grad_bits) for r in runs}))
+        raise InterruptedError
+
+    class Nothing:
+        persist = lambda self: self
+        where = lambda self, _: self
+
+    for task, (_, d, classes) in workloads.tasks.TASKS.items():
+        monkeypatch.setitem(workloads.tasks.TASKS, task, (lambda *_: Nothing(), d, classes))
+    monkeypatch.setattr(workloads, "fit_many", fit_many)
+    names = [n for n in workloads.QUERIES if n[:3] in ("w03", "w04", "w05", "w06", "w07")]
+    for name in names:
+        with pytest.raises(InterruptedError):
+            workloads.QUERIES[name](spark, "")
+    assert all(rounds == {50} for _, rounds, _ in ran) and len(ran) == len(names)
+    assert {(d, bits) for d, _, b in ran for bits in b} >= {(9, (3, 3)), (9, (9, 9)), (784, (7, 7)), (784, (10, 10)), (64, (7, 7)), (64, (10, 10))}
