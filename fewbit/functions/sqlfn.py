@@ -2,24 +2,35 @@
 
 from __future__ import annotations
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from fewbit.functions import theory
-from fewbit.functions.codec import pack
+from fewbit.functions.codec import pack_column
 
 
 def register_functions(spark: SparkSession) -> None:
-    """fb_pack(array<bigint>, bits): a packed message; fb_epoch_min(target, L, mu, a, d, p): the epoch-length bound."""
-
-    @F.pandas_udf("binary")
-    def fb_pack(index: pd.Series, bits: pd.Series) -> pd.Series:
-        return pd.Series([pack(i, int(b)) for i, b in zip(index, bits, strict=True)])
-
-    @F.pandas_udf("double")
-    def fb_epoch_min(target: pd.Series, smooth: pd.Series, mu: pd.Series, a: pd.Series, d: pd.Series, p: pd.Series) -> pd.Series:
-        return pd.Series([theory.epoch_for_target(*v) for v in zip(target, smooth, mu, a, d, p, strict=True)])
+    """fb_pack(array<bigint>, bits): a packed message; fb_epoch_min(target, L, mu, a, d, p): the epoch-length bound, null where
+    no length does; fb_best_step(target, L, mu, d, p): the step that allows the shortest epoch."""
+
+    @F.arrow_udf("binary")
+    def fb_pack(index: pa.Array, bits: pa.Array) -> pa.Array:
+        width = bits.to_numpy(zero_copy_only=False)
+        if len(np.unique(width)) == 1:
+            return pack_column(index, int(width[0]))
+        out: list = [None] * len(index)
+        for b in np.unique(width):
+            some = np.flatnonzero(width == b)
+            for i, message in zip(some, pack_column(index.take(pa.array(some)), int(b)).to_pylist(), strict=True):
+                out[i] = message
+        return pa.array(out, pa.binary())
 
     spark.udf.register("fb_pack", fb_pack)
-    spark.udf.register("fb_epoch_min", fb_epoch_min)
+    # formulas are SQL functions: no Python worker, and the optimizer sees through them
+    number = lambda *names: ", ".join(f"{n} DOUBLE" for n in names)
+    epoch = theory.epoch_sql("target", "l", "mu", "a", "d", "p")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION fb_epoch_min({number('target', 'l', 'mu', 'a', 'd', 'p')}) RETURNS DOUBLE RETURN {epoch}")
+    best = theory.best_step_sql("target", "l", "mu", "d", "p")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION fb_best_step({number('target', 'l', 'mu', 'd', 'p')}) RETURNS DOUBLE RETURN {best}")

@@ -60,9 +60,9 @@ def gap(trace: DataFrame, optimum: float) -> DataFrame:
 
 
 def contraction(trace: DataFrame) -> DataFrame:
-    """trace of gap() with the ratio of each gap to the one before."""
+    """trace of gap() with the ratio of each gap to the one before; null after a gap of zero."""
     w = Window.partitionBy("run_id").orderBy("k")
-    return trace.withColumn("contraction", F.col("gap") / F.lag("gap").over(w))
+    return trace.withColumn("contraction", F.try_divide("gap", F.lag("gap").over(w)))
 
 
 def plateau(trace: DataFrame, last: int = 5) -> DataFrame:
@@ -84,5 +84,5 @@ def round_error(messages: DataFrame) -> DataFrame:
 
 
 def bits_by_direction(messages: DataFrame) -> DataFrame:
-    """Bits by run, direction and kind, with subtotals."""
-    return messages.rollup("run_id", "direction", "kind").agg(F.sum("bits").alias("bits"), F.count("*").alias("n"))
+    """Bits that travelled, by run, direction and kind, with subtotals."""
+    return messages.where("travels").rollup("run_id", "direction", "kind").agg(F.sum("bits").alias("bits"), F.count("*").alias("n"))

@@ -1,4 +1,4 @@
-"""Ridge logistic loss, its per-worker gradients and its geometry, in four plans with one answer.
+"""Objectives (ridge logistic loss, ridge least squares), their per-worker gradients and geometry, in four plans with one answer.
 
 wide: scalar columns inside code generation; arrow: matrix products over Arrow batches, many models at once; long: one
 row per coordinate, for checks; summarizer: the JVM's weighted vector sum. In each, a task sums what it has read before
@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from typing import Protocol
 
 import numpy as np
 import pyarrow as pa
@@ -16,6 +17,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 ROWS = 8192
+#: Partial rows by worker that a pass sends to the driver as they are; more partitions than this are summed by a shuffle first.
+DIRECT = 64
 
 
 @dataclass(frozen=True)
@@ -59,20 +62,66 @@ def softplus(m: np.ndarray) -> np.ndarray:
     return np.maximum(m, 0) + np.log1p(np.exp(-np.abs(m)))
 
 
-def sums_of(x: np.ndarray, cls: np.ndarray, models: np.ndarray, positive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sums over rows, by model: of gradients without the ridge term, and of losses."""
-    y, m = margins(x, cls, models, positive)
-    pull = np.exp(-softplus(m))
-    return (-(y * pull)).T @ x, softplus(-m).sum(0)
+class Objective(Protocol):
+    """A mean over samples of a convex loss of the signed margin or score, plus the ridge term that all objectives share."""
 
+    #: Largest second derivative of the loss by the score.
+    curvature: float
 
-def worker_sums(pts: DataFrame, models: np.ndarray, positive: np.ndarray) -> dict[int, tuple[int, np.ndarray, np.ndarray]]:
+    def sums(self, x: np.ndarray, cls: np.ndarray, models: np.ndarray, positive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Sums over rows, by model: of gradients without the ridge term, and of losses."""
+
+
+class Logistic:
+    curvature = 0.25
+
+    def sums(self, x, cls, models, positive):
+        y, m = margins(x, cls, models, positive)
+        pull = np.exp(-softplus(m))
+        return (-(y * pull)).T @ x, softplus(-m).sum(0)
+
+
+class LeastSquares:
+    """Half the squared distance of the score from the label -1 or +1; `least_squares_optimum` has its exact minimum."""
+
+    curvature = 1.0
+
+    def sums(self, x, cls, models, positive):
+        off = x @ models.T - np.where(cls[:, None] == positive[None, :], 1.0, -1.0)
+        return off.T @ x, (off * off).sum(0) / 2
+
+
+OBJECTIVES: dict[str, Objective] = {"logistic": Logistic(), "squares": LeastSquares()}
+
+
+def sums_of(x: np.ndarray, cls: np.ndarray, models: np.ndarray, positive: np.ndarray, objective: str = "logistic") -> tuple[np.ndarray, np.ndarray]:
+    return OBJECTIVES[objective].sums(x, cls, models, positive)
+
+
+Sums = dict[int, tuple[int, np.ndarray, np.ndarray]]
+
+
+def worker_sums(pts: DataFrame, models: np.ndarray, positive: np.ndarray, objective: str = "logistic", direct: bool = False) -> Sums:
     """{worker: (rows, gradient sums models x d, loss sums)} by the arrow plan.
 
-    What comes back is workers x models x d numbers, whatever the rows. Feature values must be finite.
+    What comes back is workers x models x d numbers, whatever the rows. Feature values must be finite. direct: partitions
+    are few (DIRECT at most), so their partial rows come to the driver without a shuffle.
     """
     d, r = models.shape[1], len(models)
 
+    def packed(held: dict[int, list]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays(
+            [pa.array([int(w) for w in held], pa.int32()), pa.array([v[0] for v in held.values()], pa.int64()), pa.array([v[1] for v in held.values()], pa.list_(pa.float64()))],
+            ["worker_id", "n", "s"],
+        )
+
+    def added(held: dict[int, list], w: int, n: int, s: np.ndarray) -> None:
+        if w in held:
+            held[w][0] += n
+            held[w][1] += s
+        else:
+            held[w] = [n, s]
+
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list] = {}
         for batch in batches:
@@ -84,30 +133,28 @@ def worker_sums(pts: DataFrame, models: np.ndarray, positive: np.ndarray) -> dic
                 owners = part.column(0).to_numpy()
                 for w in np.unique(owners):
                     some = owners == w
-                    g, s = sums_of(x[some], cls[some], models, positive)
-                    if w in held:
-                        held[w][0] += int(some.sum())
-                        held[w][1] += g
-                        held[w][2] += s
-                    else:
-                        held[w] = [int(some.sum()), g, s]
+                    g, s = sums_of(x[some], cls[some], models, positive, objective)
+                    added(held, int(w), int(some.sum()), np.concatenate([g.ravel(), s]))
         if held:
-            flat = [np.concatenate([v[1].ravel(), v[2]]).tolist() for v in held.values()]
-            yield pa.RecordBatch.from_arrays([pa.array([int(w) for w in held], pa.int32()), pa.array([v[0] for v in held.values()], pa.int64()), pa.array(flat, pa.list_(pa.float64()))], ["worker_id", "n", "s"])
+            yield packed(held)
 
     def total(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list] = {}
         for batch in batches:
-            for w, n, s in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-                s = np.array(s)
-                held[w] = [held[w][0] + n, held[w][1] + s] if w in held else [n, s]
+            for i, (w, n) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
+                added(held, w, n, batch.column(2)[i].values.to_numpy().copy())
         if held:
-            yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), pa.array([v[0] for v in held.values()], pa.int64()), pa.array([v[1].tolist() for v in held.values()], pa.list_(pa.float64()))], ["worker_id", "n", "s"])
+            yield packed(held)
 
     schema = "worker_id int, n long, s array<double>"
     parts = pts.select(*columns_of(pts)).mapInArrow(partial, schema)
-    rows = parts.repartition("worker_id").mapInArrow(total, schema).collect()
-    return {w: (n, np.array(s[: r * d]).reshape(r, d), np.array(s[r * d :])) for w, n, s in rows}
+    if not direct:
+        parts = parts.repartition("worker_id").mapInArrow(total, schema)
+    made: dict[int, list] = {}
+    for batch in parts.toArrow().to_batches():
+        for i, (w, n) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
+            added(made, w, n, batch.column(2)[i].values.to_numpy().copy())
+    return {w: (n, s[: r * d].reshape(r, d), s[r * d :]) for w, (n, s) in made.items()}
 
 
 def dot(w: str = "w", x: str = "x") -> str:
@@ -155,14 +202,53 @@ def gradients_summarizer(pts: DataFrame, model: np.ndarray, lam: float) -> dict[
     return {r.worker_id: -r.s.sum.toArray() / r.n + 2 * lam * np.asarray(model) for r in sums}
 
 
-def geometry(pts: DataFrame, lam: float, weighting: str = "worker") -> Geometry:
+def geometry(pts: DataFrame, lam: float, weighting: str = "worker", objective: str = "logistic") -> Geometry:
     """Smoothness and strong convexity from one scan."""
     values = "val" if "val" in pts.columns else "x"
     square = F.expr(f"aggregate({values}, 0D, (s, v) -> s + v * v)")
     per = pts.groupBy("worker_id").agg(F.avg(square).alias("q"), F.count("*").alias("n"))
     r = per.agg(F.avg("q").alias("even"), (F.sum(F.col("q") * F.col("n")) / F.sum("n")).alias("all"), F.max("q").alias("top")).first()
     mean = r["even"] if weighting == "worker" else r["all"]
-    return Geometry(mean / 4 + 2 * lam, r["top"] / 4 + 2 * lam, 2 * lam)
+    bend = OBJECTIVES[objective].curvature
+    return Geometry(mean * bend + 2 * lam, r["top"] * bend + 2 * lam, 2 * lam)
+
+
+def moments(pts: DataFrame, d: int, cls: int = 1) -> DataFrame:
+    """(i, j, m): means over workers of the workers' mean products x_i x_j for i <= j, and of x_i y with j = d.
+
+    A task adds up its own products before anything is shuffled: d (d + 3) / 2 numbers a worker, whatever the rows.
+    """
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list] = {}
+        for batch in batches:
+            x, owners = matrix(batch, d), batch.column(0).to_numpy()
+            both = np.column_stack([x, np.where(batch.column(1).to_numpy() == cls, 1.0, -1.0)])
+            for w in np.unique(owners):
+                some = owners == w
+                n, s = held.get(int(w), (0, 0.0))
+                held[int(w)] = (n + int(some.sum()), s + x[some].T @ both[some])
+        i, j = np.triu_indices(d, 0, d + 1)
+        for w, (n, s) in held.items():
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.full(len(i), w, np.int32)), pa.array(i.astype(np.int32)), pa.array(j.astype(np.int32)), pa.array(np.full(len(i), n)), pa.array(s[i, j])],
+                ["worker_id", "i", "j", "n", "s"],
+            )
+
+    parts = pts.select(*columns_of(pts)).mapInArrow(partial, "worker_id int, i int, j int, n long, s double")
+    own = parts.groupBy("worker_id", "i", "j").agg((F.sum("s") / F.sum("n")).alias("m"))
+    return own.groupBy("i", "j").agg(F.avg("m").alias("m"))
+
+
+def least_squares_optimum(pts: DataFrame, d: int, lam: float, cls: int = 1) -> np.ndarray:
+    """The exact minimum of the ridge least squares by its normal equations; d squared numbers reach the driver."""
+    gram, pull = np.zeros((d, d)), np.zeros(d)
+    for r in moments(pts, d, cls).collect():
+        if r.j == d:
+            pull[r.i] = r.m
+        else:
+            gram[r.i, r.j] = gram[r.j, r.i] = r.m
+    return np.linalg.solve(gram + 2 * lam * np.eye(d), pull)
 
 
 def loss_sql(margin: str = "m") -> str:

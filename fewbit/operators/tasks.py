@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -10,6 +15,8 @@ from fewbit.sources import load
 CHARGE_CUT = 50_000.0
 BUCKETS, LANGUAGE_SCALE, STRETCH = 784, 3.0, 1000
 LANGUAGES = ("en", "fr", "de", "es")
+#: Event types with a feature each; all others have none of the four.
+EVENT_TYPES = ("click", "view", "purchase", "signup")
 
 
 def threshold_label(value: Column, cut: float) -> Column:
@@ -81,35 +88,81 @@ def noise10(spark: SparkSession, sf_dir: str, workers: int = 10) -> DataFrame:
     return _vectors(spark, sf_dir, F.col("label"), workers)
 
 
-def language_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, bucket, n): hashed character trigrams of each distinct text, the whole of it.
+def distinct_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, lang, fold, text) of each distinct text of three characters or more, that of its smallest doc_id.
 
-    A text is taken apart in stretches first: a trigram's place costs a walk from the beginning of its string.
+    Texts are told apart by 128 bits of hash, so only hashes and ids are shuffled; the rows kept are then found by their ids.
     """
-    docs = load(spark, sf_dir, "documents").select("doc_id", "text").where("length(text) >= 3")
-    own = docs.groupBy("text").agg(F.min("doc_id").alias("doc_id"))
-    at = F.explode(F.expr(f"sequence(1, length(text) - 2, {STRETCH})")).alias("at")
-    # a stretch ends with the last trigram that begins in it
-    cut = own.select("doc_id", "text", at).select("doc_id", F.expr(f"substring(text, at, {STRETCH + 2})").alias("s"))
-    gram = cut.select("doc_id", F.explode(F.expr("transform(sequence(1, length(s) - 2), i -> substring(s, i, 3))")).alias("g"))
-    counted = gram.groupBy("doc_id", "g").count()
-    return counted.select("doc_id", (_hex("g", 8) % BUCKETS).cast("int").alias("bucket"), "count").groupBy("doc_id", "bucket").agg(F.sum("count").alias("n"))
+    docs = load(spark, sf_dir, "documents").select("doc_id", "text", "lang").where("length(text) >= 3")
+    own = docs.groupBy(F.md5("text").alias("h")).agg(F.min("doc_id").alias("doc_id"))
+    return docs.join(own, "doc_id").where(F.md5("text") == F.col("h")).select("doc_id", "lang", (_hex("text", 8) % 5).alias("fold"), "text").dropDuplicates(["doc_id"])
+
+
+def _count_trigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(doc_id, idx, n) of (doc_id, text): non-empty buckets of each whole text and their counts, computed over many texts at once."""
+    known: dict[int, int] = {}
+    for batch in batches:
+        for lo in range(0, batch.num_rows, 64):
+            part = batch.slice(lo, 64)
+            total = np.zeros(part.num_rows * BUCKETS, np.int64)
+            pieces: list[tuple[int, str]] = []
+            for i, text in enumerate(part.column(1).to_pylist()):
+                for at in range(0, len(text) - 2, STRETCH):
+                    # a stretch ends with the last trigram that begins in it
+                    pieces.append((i, text[at : at + STRETCH + 2]))
+                    if len(pieces) == 256:
+                        _add_trigrams(pieces, total, known)
+                        pieces = []
+            if pieces:
+                _add_trigrams(pieces, total, known)
+            rows = total.reshape(part.num_rows, BUCKETS)
+            owner, idx = np.nonzero(rows)
+            ends = pa.array(np.searchsorted(owner, np.arange(part.num_rows + 1)).astype(np.int32))
+            lists = [pa.ListArray.from_arrays(ends, pa.array(v)) for v in (idx.astype(np.int32), rows[owner, idx])]
+            yield pa.RecordBatch.from_arrays([part.column(0), *lists], ["doc_id", "idx", "n"])
+
+
+def _add_trigrams(pieces: list[tuple[int, str]], total: np.ndarray, known: dict[int, int]) -> None:
+    code = np.frombuffer("".join(s for _, s in pieces).encode("utf-32-le"), "<u4").astype(np.int64)
+    size = np.array([len(s) for _, s in pieces])
+    owner = np.repeat([i for i, _ in pieces], size)
+    begins = np.ones(len(code), bool)
+    begins[np.concatenate([np.cumsum(size) - 1, np.cumsum(size) - 2])] = False
+    at = np.flatnonzero(begins)
+    gram, inverse = np.unique(code[at] << 42 | code[at + 1] << 21 | code[at + 2], return_inverse=True)
+    if len(known) > 1 << 17:
+        known.clear()
+    for g in gram.tolist():
+        if g not in known:
+            letters = chr(g >> 42) + chr(g >> 21 & 0x1FFFFF) + chr(g & 0x1FFFFF)
+            known[g] = int(hashlib.md5(letters.encode()).hexdigest()[:8], 16) % BUCKETS
+    bucket = np.array([known[g] for g in gram.tolist()])
+    np.add.at(total, owner[at] * BUCKETS + bucket[inverse], 1)
+
+
+def _counted(own: DataFrame) -> DataFrame:
+    kind = own.schema["doc_id"].dataType.simpleString()
+    return own.select("doc_id", "text").mapInArrow(_count_trigrams, f"doc_id {kind}, idx array<int>, n array<long>")
+
+
+def language_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, bucket, n): hashed character trigrams of each distinct text, the whole of it; counted within the row."""
+    cells = _counted(distinct_texts(spark, sf_dir)).select("doc_id", F.explode(F.arrays_zip("idx", "n")).alias("c"))
+    return cells.select("doc_id", F.col("c.idx").alias("bucket"), F.col("c.n").alias("n"))
 
 
 def language(spark: SparkSession, sf_dir: str, workers: int = 10) -> DataFrame:
     """Which language a text is in, d = 784: trigram counts scaled to norm 3, kept sparse as (idx, val)."""
-    docs = load(spark, sf_dir, "documents").select("doc_id", "text", "lang").where("length(text) >= 3")
-    own = docs.groupBy("text").agg(F.min(F.struct("doc_id", "lang")).alias("m")).select("m.doc_id", "m.lang", (_hex("text", 8) % 5).alias("fold"))
-    cells = language_cells(spark, sf_dir).groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("bucket", "n"))).alias("c"))
-    norm = F.expr("sqrt(aggregate(c, 0D, (s, v) -> s + v.n * v.n))")
+    own = distinct_texts(spark, sf_dir)
+    norm = F.expr("sqrt(aggregate(n, 0D, (s, v) -> s + v * v))")
     cls = F.array_position(F.array(*map(F.lit, LANGUAGES)), F.col("lang")) - 1
-    return own.join(cells.withColumn("norm", norm), "doc_id").select(
+    return own.drop("text").join(_counted(own).withColumn("norm", norm), "doc_id").select(
         F.col("doc_id").cast("string").alias("row_id"),
         F.pmod("doc_id", F.lit(workers)).cast("int").alias("worker_id"),
         F.when(F.col("fold") == 0, "test").otherwise("train").alias("split"),
         cls.cast("int").alias("cls"),
-        F.col("c.bucket").alias("idx"),
-        F.expr(f"transform(c, v -> {LANGUAGE_SCALE}D * v.n / norm)").alias("val"),
+        "idx",
+        F.expr(f"transform(n, v -> {LANGUAGE_SCALE}D * v / norm)").alias("val"),
     )
 
 
@@ -132,7 +185,7 @@ def quality(spark: SparkSession, sf_dir: str, workers: int = 10) -> DataFrame:
 
 def sensor_features() -> list[Column]:
     turn = (F.hour("ts") + F.minute("ts") / 60) * 0.2617993877991494
-    kinds = [F.when(F.pmod(F.xxhash64("event_type"), F.lit(4)) == i, 1.0).otherwise(0.0) for i in range(4)]
+    kinds = [F.when(F.col("event_type") == kind, 1.0).otherwise(0.0) for kind in EVENT_TYPES]
     return [F.sin(turn), F.cos(turn), (F.dayofweek("ts") - 4) / 3.0, F.when(F.dayofweek("ts").isin(1, 7), 1.0).otherwise(0.0), *kinds, F.lit(1.0)]
 
 

@@ -7,6 +7,7 @@ import warnings
 from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field
 
+from fewbit.operators.objective import OBJECTIVES
 from fewbit.plans.methods import METHODS
 
 
@@ -43,6 +44,7 @@ class Config:
     center: Sequence[float] | None = None
     radius: float | None = None
     start: Sequence[float] | None = None
+    objective: str = "logistic"
     stop: Stop = field(default_factory=Stop)
 
     def step_at(self, k: int) -> float:
@@ -59,10 +61,12 @@ class Config:
             raise ValueError("workers and steps must be at least 1, rounds not negative, lam positive")
         if self.weighting not in ("worker", "sample") or self.smoothness not in ("average", "worst_worker"):
             raise ValueError("weighting is worker or sample, smoothness average or worst_worker")
+        if self.objective not in OBJECTIVES:
+            raise ValueError(f"objective is one of {', '.join(OBJECTIVES)}")
         if self.pick not in ("uniform", "last", "mean") or self.rounding not in ("random", "nearest"):
             raise ValueError("pick is uniform, last or mean, rounding random or nearest")
         if METHODS[method].family == "avr" and self.steps == 1 and self.pick == "uniform":
             warnings.warn("with one inner step the pick is always the anchor: the run stands still", stacklevel=2)
-        if smooth is not None and self.step_at(1) >= 1 / (6 * smooth):
+        if smooth is not None and METHODS[method].family == "avr" and self.step_at(1) >= 1 / (6 * smooth):
             # sufficient only; runs beyond it often do well
-            return
+            warnings.warn(f"step {self.step_at(1):g} is beyond {1 / (6 * smooth):.4g}, up to which the bounds hold", stacklevel=2)

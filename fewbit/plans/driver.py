@@ -8,7 +8,8 @@ from __future__ import annotations
 
 import json
 import math
-from collections.abc import Sequence
+import time
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field, replace
 
 import numpy as np
@@ -27,7 +28,9 @@ TRACE = (
     "run_id string, method string, cls int, p int, k int, loss double, grad_norm double, accepted boolean, saturated long, "
     "closing boolean, bits_paper long, bits_wire long, cum_bits_paper long, status string"
 )
-MESSAGES = "run_id string, k int, t int, direction string, kind string, worker_id int, bits long, saturated int, sq_error double, payload binary"
+MESSAGES = "run_id string, k int, t int, direction string, kind string, worker_id int, bits long, saturated int, sq_error double, payload binary, travels boolean"
+LEDGER = "run_id string, method string, k int, bits_paper long, bits_wire long, cum_bits_paper long"
+COSTS = "k int, seconds double, rows_scanned long, bytes_moved long"
 
 
 @dataclass(frozen=True)
@@ -63,6 +66,7 @@ class State:
     trace: list[tuple] = field(default_factory=list)
     models: list[np.ndarray] = field(default_factory=list)
     messages: list[tuple] = field(default_factory=list)
+    keep: bool = False
 
 
 @dataclass
@@ -70,6 +74,8 @@ class Result:
     states: list[State]
     geometry: Geometry
     workers: list[int]
+    costs: list[tuple] = field(default_factory=list)
+    engine: str = ""
 
     def trace_rows(self) -> list[tuple]:
         return [row for s in self.states for row in s.trace]
@@ -82,8 +88,23 @@ class Result:
         return spark.createDataFrame(rows, "run_id string, method string, cls int, k int, w array<double>")
 
     def messages(self, spark: SparkSession) -> DataFrame:
+        """All that was rounded or sent, if the run was asked to keep it; `travels` tells what went over a link."""
         return spark.createDataFrame([m for s in self.states for m in s.messages], MESSAGES)
 
+    def ledger(self, spark: SparkSession) -> DataFrame:
+        rows = [(r[0], r[1], r[4], r[10], r[11], r[12]) for r in self.trace_rows()]
+        return spark.createDataFrame(rows, LEDGER)
+
+    def cost(self, spark: SparkSession) -> DataFrame:
+        """By epoch, for all runs of the batch together: wall time, rows read, bytes of partial sums moved."""
+        return spark.createDataFrame(self.costs, COSTS)
+
+    def views(self, spark: SparkSession, pts: DataFrame) -> None:
+        """The views pts, models, trace, ledger and messages, for SQL."""
+        made = {"pts": pts, "models": self.models(spark), "trace": self.trace(spark), "ledger": self.ledger(spark), "messages": self.messages(spark)}
+        for name, df in made.items():
+            df.createOrReplaceTempView(name)
+
     def final(self) -> dict[str, np.ndarray]:
         return {s.run.name: s.kept.model if s.kept is not None and s.spec.memory else s.models[-1] for s in self.states}
 
@@ -91,11 +112,11 @@ class Result:
 class Rounder:
     """Rounds vectors on lattices with the run's draws, and books each message."""
 
-    def __init__(self, config: Config, k: int):
-        self.config, self.k = config, k
+    def __init__(self, config: Config, k: int, keep: bool = False):
+        self.config, self.k, self.keep = config, k, keep
         self.wire, self.saturated, self.booked = Wire(), 0, []
 
-    def __call__(self, v: np.ndarray, lattice: Lattice, stream: str, t: int, worker: int = -1) -> np.ndarray:
+    def __call__(self, v: np.ndarray, lattice: Lattice, stream: str, t: int, worker: int = -1, travels: bool = True) -> np.ndarray:
         from fewbit.functions.codec import pack
 
         key = stream if worker < 0 else f"{stream}{worker}"
@@ -104,53 +125,72 @@ class Rounder:
         lost = lattice.saturated(v)
         self.saturated += lost
         way = "down" if stream == "model" else "up"
-        self.wire.send(way, stream, lattice.total_bits)
-        payload = None if lattice.exact.any() else pack(lattice.random_index(v, u).astype(np.int64), lattice.bits)
-        self.booked.append((self.k, t, way, stream, worker, lattice.total_bits, lost, float(((out - v) ** 2).sum()), payload))
+        if travels:
+            self.wire.send(way, stream, lattice.total_bits)
+        if self.keep:
+            payload = None if lattice.exact.any() else pack(lattice.random_index(v, u).astype(np.int64), lattice.bits)
+            self.booked.append((self.k, t, way, stream, worker, lattice.total_bits, lost, float(((out - v) ** 2).sum()), payload, travels))
         return out
 
-    def plain(self, way: str, kind: str, d: int, times: int = 1) -> None:
-        self.wire.send(way, kind, WORD * d, times)
+    def plain(self, way: str, kind: str, d: int, t: int, workers: Sequence[int] = (-1,)) -> None:
+        """A vector sent as it is, by each of the workers."""
+        self.wire.send(way, kind, WORD * d, len(workers))
+        if self.keep:
+            self.booked += [(self.k, t, way, kind, w, WORD * d, 0, 0.0, None, True) for w in workers]
 
 
-def fit_many(pts: DataFrame, runs: Sequence[Run], d: int, engine: str | Engine = "epoch", resume: dict | None = None, on_epoch=None) -> Result:
+def fit_many(
+    pts: DataFrame, runs: Sequence[Run], d: int, engine: str | Engine = "rounds", resume: dict | None = None, on_epoch: Callable | None = None, messages: bool = False
+) -> Result:
     """Runs all methods together on the training samples (worker_id, cls, x or idx and val).
 
     resume: what `snapshot` gave after an epoch; the rest of the run is then what it would have been. on_epoch(k, states)
-    is called after each epoch, to keep a snapshot.
+    is called after each epoch, to keep a snapshot, or the messages of the epoch, which are dropped after it. messages:
+    keep each message with its packed bits; what is kept then grows with rounds, steps and dimension.
     """
     first = runs[0].config
     for r in runs:
         c = r.config
-        if (c.seed, c.steps, c.rounds, c.workers) != (first.seed, first.steps, first.rounds, first.workers):
-            raise ValueError("runs of one batch share seed, steps, rounds and workers")
-    at = ENGINES[engine](pts, d) if isinstance(engine, str) else engine
+        if (c.seed, c.steps, c.rounds, c.workers, c.objective) != (first.seed, first.steps, first.rounds, first.workers, first.objective):
+            raise ValueError("runs of one batch share seed, steps, rounds, workers and objective")
+    at = ENGINES[engine](pts, d, first.objective) if isinstance(engine, str) else engine
     if len(at.workers) != first.workers:
         raise ValueError(f"{first.workers} workers are configured, {len(at.workers)} have rows")
-    shape = geometry(pts, first.lam, first.weighting)
-    states = [State(r, METHODS[r.method], np.zeros(d) if r.config.start is None else np.array(r.config.start, float)) for r in runs]
+    shape = geometry(pts, first.lam, first.weighting, first.objective)
+    states = [State(r, METHODS[r.method], np.zeros(d) if r.config.start is None else np.array(r.config.start, float), keep=messages) for r in runs]
     for s in states:
         s.run.config.check(s.run.method, shape.smooth(s.run.config.smoothness))
-    begin = 1
-    if resume:
-        begin = _restore(states, resume)
-    for k in range(begin, first.rounds + 1):
+    begin, costs = _restore(states, resume) if resume else 1, []
+    if on_epoch is None:
+        states, costs = at.run(lambda a: _epochs(a, states, shape, begin, first.rounds + 1))
+    else:
+        for k in range(begin, first.rounds + 2):
+            states, more = at.run(lambda a, k=k, states=states: _epochs(a, states, shape, k, k))
+            costs += more
+            if k <= first.rounds:
+                on_epoch(k, states)
+                for s in states:
+                    s.messages = []
+    for s in states:
+        if s.status == "running":
+            s.status = "done"
+    return Result(states, shape, at.workers, costs, at.name)
+
+
+def _epochs(at: Engine, states: list[State], shape: Geometry, begin: int, end: int) -> tuple[list[State], list[tuple]]:
+    """Epochs begin to end; the one after the last round is the closing pass."""
+    costs, rounds = [], states[0].run.config.rounds
+    for k in range(begin, end + 1):
         live = [s for s in states if s.status == "running"]
         if not live:
             break
-        _exact_pass(at, live, shape, k)
+        since, rows, moved = time.perf_counter(), at.rows, at.moved
+        _exact_pass(at, live, shape, k, closing=k > rounds)
         live = [s for s in live if s.status == "running"]
-        if live:
+        if live and k <= rounds:
             _inner_steps(at, live, shape, k)
-        if on_epoch:
-            on_epoch(k, states)
-    closing = [s for s in states if s.status == "running"]
-    if closing:
-        _exact_pass(at, closing, shape, first.rounds + 1, closing=True)
-    for s in states:
-        if s.status == "running":
-            s.status = "done"
-    return Result(states, shape, at.workers)
+        costs.append((k, time.perf_counter() - since, at.rows - rows, at.moved - moved))
+    return states, costs
 
 
 def _mean(n: np.ndarray, v: np.ndarray, weighting: str) -> np.ndarray:
@@ -183,14 +223,17 @@ def _exact_pass(at: Engine, live: list[State], shape: Geometry, k: int, closing:
         if closing and s.spec.family == "avr":
             paper = WORD * d * len(n)
         s.cum += paper
-        wire = WORD * d * len(n) if s.spec.family == "avr" else 0
+        book = Rounder(c, k, s.keep)
+        if s.spec.family == "avr":
+            book.plain("up", "exact", d, 0, range(len(n)))
         stop = c.stop
         reached = finite and (now.norm <= stop.grad_norm or now.loss <= stop.loss or s.cum >= stop.bits or s.rejected >= stop.rejections or s.kept.norm == 0.0)
         if s.status == "running" and reached and not closing:
             s.status = "stopped" if s.kept.norm > 0 else "converged"
         s.models.append(s.model.copy())
-        row = (s.run.name, s.run.method, s.run.cls, _bits(c.model_bits), k, now.loss if finite else None, now.norm if finite else None, accepted, 0, closing, int(paper), int(wire), int(s.cum), s.status)
+        row = (s.run.name, s.run.method, s.run.cls, _bits(c.model_bits), k, now.loss if finite else None, now.norm if finite else None, accepted, 0, closing, int(paper), 0, int(s.cum), s.status)
         s.trace.append(row)
+        _book(s, 0, book.wire.total(), book.booked)
 
 
 def _vector_bits(bits, d: int) -> int:
@@ -231,7 +274,7 @@ def _inner_steps(at: Engine, live: list[State], shape: Geometry, k: int) -> None
         return
     runs = [s.run for s in avr + single]
     jobs = [
-        {"spec": s.spec, "config": s.run.config, "model": s.model, "anchor": s.kept, "lattices": lattices[id(s)], "avr": s.spec.family == "avr"}
+        {"spec": s.spec, "config": s.run.config, "model": s.model, "anchor": s.kept, "lattices": lattices[id(s)], "avr": s.spec.family == "avr", "keep": s.keep}
         for s in avr + single
     ]
 
@@ -260,24 +303,23 @@ def run_steps(jobs: list[dict], gradient, drawn: list[int], k: int) -> list[dict
                     o["grad"] = g
                 continue
             c, spec, anchor, lat = j["config"], j["spec"], j["anchor"], j["lattices"]
-            d, book = len(g), Rounder(c, k)
+            d, book = len(g), Rounder(c, k, j["keep"])
             old = anchor.grads[w]
             if lat and spec.inner in ("anchor", "both"):
                 # the master made this gradient's lattice from its exact copy, so it need not travel again
                 if not c.exact_anchor:
-                    old = book(old, lat[1][w], "anchorgrad", t, w)
-                    book.wire.messages.pop()
+                    old = book(old, lat[1][w], "anchorgrad", t, w, travels=False)
                 if spec.inner == "both":
                     g = book(g, lat[1][w], "grad", t, w)
                 else:
-                    book.plain("up", "grad", d)
+                    book.plain("up", "grad", d, t, [w])
             else:
-                book.plain("up", "grad", d)
+                book.plain("up", "grad", d, t, [w])
             moved = o["iterates"][-1] - c.step_at(k) * (g - old + anchor.mean)
             if lat:
                 moved = book(moved, lat[0], "model", t)
             else:
-                book.plain("down", "model", d)
+                book.plain("down", "model", d, t)
             o["iterates"].append(moved)
             o["saturated"] += book.saturated
             o["bits"] += book.wire.total()
@@ -294,24 +336,24 @@ def _picked(c: Config, iterates: list[np.ndarray], k: int) -> np.ndarray:
 
 
 def _gd_step(s: State, lattices, k: int) -> None:
-    c, d, book = s.run.config, len(s.model), Rounder(s.run.config, k)
+    c, d, book = s.run.config, len(s.model), Rounder(s.run.config, k, s.keep)
     if lattices:
         grads = np.array([book(g, lat, "grad", 1, w) for w, (g, lat) in enumerate(zip(s.kept.grads, lattices[1], strict=True))])
         s.model = book(s.model - c.step_at(k) * grads.mean(0), lattices[0], "model", 1)
     else:
         s.model = s.model - c.step_at(k) * s.kept.mean
-        book.plain("up", "grad", d, len(s.kept.grads))
-        book.plain("down", "model", d)
+        book.plain("up", "grad", d, 1, range(len(s.kept.grads)))
+        book.plain("down", "model", d, 1)
     _book(s, book.saturated, book.wire.total(), book.booked)
 
 
 def _single_step(s: State, g: np.ndarray, w: int, lattices, k: int, workers: int, out: dict) -> None:
     """One update of the stochastic or the averaged gradient method with worker w's gradient."""
-    c, d, book = s.run.config, len(g), Rounder(s.run.config, k)
+    c, d, book = s.run.config, len(g), Rounder(s.run.config, k, s.keep)
     if lattices:
         g = book(g, lattices[1][w], "grad", 1, w)
     else:
-        book.plain("up", "grad", d)
+        book.plain("up", "grad", d, 1, [w])
     move = g
     if s.spec.family == "sag":
         if s.table is None:
@@ -322,7 +364,7 @@ def _single_step(s: State, g: np.ndarray, w: int, lattices, k: int, workers: int
     if lattices:
         s.model = book(s.model, lattices[0], "model", 1)
     else:
-        book.plain("down", "model", d)
+        book.plain("down", "model", d, 1)
     out["saturated"], out["bits"], out["messages"] = book.saturated, book.wire.total(), book.booked
 
 
@@ -331,7 +373,7 @@ def _book(s: State, saturated: int, bits: int, messages: list) -> None:
     row[8] += int(saturated)
     row[11] += int(bits)
     s.trace[-1] = tuple(row)
-    s.messages += [(s.run.name, k, t, way, kind, w, bits, lost, error, payload) for k, t, way, kind, w, bits, lost, error, payload in messages]
+    s.messages += [(s.run.name, *m) for m in messages]
 
 
 def snapshot(k: int, states: list[State]) -> dict:
@@ -371,26 +413,31 @@ def _restore(states: list[State], kept: dict) -> int:
     return kept["k"] + 1
 
 
-def fit(pts: DataFrame, method: str, config: Config, d: int, engine: str = "epoch", cls: int = 1) -> Result:
+def fit(pts: DataFrame, method: str, config: Config, d: int, engine: str = "rounds", cls: int = 1) -> Result:
     return fit_many(pts, [Run(method, config, cls)], d, engine)
 
 
-def reference_optimum(pts: DataFrame, d: int, lam: float = 0.1, cls: int = 1, engine: str = "epoch", weighting: str = "worker", tol: float = 1e-10, most: int = 400) -> tuple[np.ndarray, float, float]:
+def reference_optimum(
+    pts: DataFrame, d: int, lam: float = 0.1, cls: int = 1, engine: str = "rounds", weighting: str = "worker", tol: float = 1e-10, most: int = 400, objective: str = "logistic"
+) -> tuple[np.ndarray, float, float]:
     """(model, loss, gradient norm) of the optimum, by plain descent with step 1/L and Nesterov's momentum for strong convexity."""
-    at = ENGINES[engine](pts, d)
-    shape = geometry(pts, lam, weighting)
-    w = v = np.zeros(d)
+    shape = geometry(pts, lam, weighting, objective)
     ratio = (math.sqrt(shape.average) - math.sqrt(shape.mu)) / (math.sqrt(shape.average) + math.sqrt(shape.mu))
-    loss = norm = math.inf
-    for _ in range(most):
-        n, g, s = at.full(np.array([v]), np.array([cls]), np.array([lam]))
-        mean, loss = _mean(n, g[:, 0], weighting), float(_mean(n, s[:, 0], weighting))
-        norm = float(np.linalg.norm(mean))
-        if norm <= tol:
-            break
-        after = v - mean / shape.average
-        w, v = after, after + ratio * (after - w)
-    return v, loss, norm
+
+    def descend(at: Engine) -> tuple[np.ndarray, float, float]:
+        w = v = np.zeros(d)
+        loss = norm = math.inf
+        for _ in range(most):
+            n, g, s = at.full(np.array([v]), np.array([cls]), np.array([lam]))
+            mean, loss = _mean(n, g[:, 0], weighting), float(_mean(n, s[:, 0], weighting))
+            norm = float(np.linalg.norm(mean))
+            if norm <= tol:
+                break
+            after = v - mean / shape.average
+            w, v = after, after + ratio * (after - w)
+        return v, loss, norm
+
+    return ENGINES[engine](pts, d, objective).run(descend)
 
 
 def with_bits(config: Config, p: int) -> Config:

@@ -1,29 +1,41 @@
 """Where gradients are computed. All engines give the same numbers; they differ in jobs per epoch and in what moves.
 
-rounds: each pass is a Spark job over the rows it needs, so shards may be larger than an executor.
-epoch: the workers of an epoch are known before it starts, so their shards meet in one task that runs all inner steps.
-local: rows are collected, for tests and tiny inputs; guarded by a limit.
+rounds: each pass is a Spark job over the rows it needs, so shards may be larger than an executor; on the sharded store an
+    inner step reads the folder of its worker alone. The default.
+held: the samples fit in one task, which runs all rounds: one job for a whole run.
+epoch: the workers of an epoch are known before it starts, so their shards meet in one task that runs its inner steps.
+local: rows are collected, for tests and tiny inputs.
+measured: held if the samples, counted first, are within its limit, else rounds; the result names the one taken.
+The engines that hold samples refuse what goes beyond their stated limits.
 """
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Callable, Iterator
-from typing import Protocol
+from typing import Any, Protocol
 
 import numpy as np
 import pyarrow as pa
+from pyspark import cloudpickle
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fewbit.operators.objective import columns_of, matrix, sums_of, worker_sums
+from fewbit.operators.objective import DIRECT, columns_of, matrix, sums_of, worker_sums
 
 LOCAL_LIMIT = 4_000_000
+#: Bytes of features, as doubles, that a task of the held and of the epoch engine may hold.
+TASK_LIMIT = 1 << 30
 Gradient = Callable[[int, np.ndarray], np.ndarray]
 Inner = Callable[[Gradient], list]
 
 
 class Engine(Protocol):
+    name: str
     workers: list[int]
+    #: Rows read and bytes of partial sums moved so far.
+    rows: int
+    moved: int
 
     def full(self, models: np.ndarray, positive: np.ndarray, lam: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(rows of each worker, gradients workers x models x d, losses workers x models)."""
@@ -31,78 +43,107 @@ class Engine(Protocol):
     def inner(self, drawn: list[int], positive: np.ndarray, lam: np.ndarray, run: Inner) -> list:
         """What run returns, given a function (worker, models) -> gradients for the drawn workers."""
 
+    def run(self, work: Callable[[Engine], Any]) -> Any:
+        """What work returns, given an engine; where the samples are held by tasks, work runs beside them."""
+
 
 def _ridge(n, g, s, models, lam):
     return g / n + 2 * lam[:, None] * models, s / n + lam * (models**2).sum(1)
 
 
+def _sizes(pts: DataFrame) -> dict[int, int]:
+    return {r[0]: r[1] for r in pts.groupBy("worker_id").count().collect()}
+
+
 class RoundsEngine:
-    def __init__(self, pts: DataFrame, d: int):
-        self.pts, self.d = pts, d
-        self.workers = sorted(r[0] for r in pts.select("worker_id").distinct().collect())
+    name = "rounds"
+
+    def __init__(self, pts: DataFrame, d: int, objective: str = "logistic", sizes: dict[int, int] | None = None):
+        self.pts, self.d, self.objective, self.rows, self.moved = pts, d, objective, 0, 0
+        self.sizes = sizes or _sizes(pts)
+        self.workers = sorted(self.sizes)
+        self.direct = pts.rdd.getNumPartitions() <= DIRECT
+
+    def _sums(self, pts, models, positive, workers):
+        out = worker_sums(pts, models, positive, self.objective, self.direct)
+        self.rows += sum(n for n, _, _ in out.values())
+        self.moved += 8 * len(workers) * models.size
+        return out
 
     def full(self, models, positive, lam):
-        sums = worker_sums(self.pts, models, positive)
+        sums = self._sums(self.pts, models, positive, self.workers)
         made = [_ridge(*sums[w], models, lam) for w in self.workers]
         return np.array([sums[w][0] for w in self.workers]), np.array([g for g, _ in made]), np.array([s for _, s in made])
 
+    def shard(self, w: int) -> DataFrame:
+        """The rows of one worker: on the sharded store, a filter on the partition column, so other folders aren't read."""
+        return self.pts.where(F.col("worker_id") == self.workers[w])
+
     def inner(self, drawn, positive, lam, run):
         def gradient(w: int, models: np.ndarray) -> np.ndarray:
-            worker = self.workers[w]
-            # a filter on the worker prunes the sharded store to that worker's folder
-            n, g, s = worker_sums(self.pts.where(F.col("worker_id") == worker), models, positive)[worker]
+            n, g, s = self._sums(self.shard(w), models, positive, [w])[self.workers[w]]
             return _ridge(n, g, s, models, lam)[0]
 
         return run(gradient)
 
+    def run(self, work):
+        return work(self)
+
+
+def _held(batches: Iterator[pa.RecordBatch], d: int, ids: list[int]) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    """{worker: (features, classes)} of the rows of ids."""
+    held: dict[int, list] = {i: [(np.zeros((0, d)), np.zeros(0, np.int32))] for i in ids}
+    for b in batches:
+        x, cls, owner = matrix(b, d), b.column(1).to_numpy(), b.column(0).to_numpy()
+        if not np.isfinite(x).all():
+            raise ValueError("a feature isn't finite")
+        for i in ids:
+            if (some := owner == i).any():
+                held[i].append((x[some], cls[some]))
+    return {i: tuple(np.concatenate(c) for c in zip(*parts, strict=True)) for i, parts in held.items()}
+
+
+def _returned(out: Any) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([cloudpickle.dumps(out)], pa.binary())], ["out"])
+
 
 class EpochEngine(RoundsEngine):
+    name = "epoch"
+
     def inner(self, drawn, positive, lam, run):
-        d, workers = self.d, self.workers
+        d, workers, objective = self.d, self.workers, self.objective
         ids = sorted({workers[w] for w in drawn})
+        count = sum(self.sizes[i] for i in ids)
+        if 8 * d * count > TASK_LIMIT:
+            raise ValueError(f"{count} rows of an epoch's workers are beyond the {TASK_LIMIT} bytes of the epoch engine; use rounds")
+        self.rows += count
         rows = self.pts.where(F.col("worker_id").isin(*ids)).select(*columns_of(self.pts))
 
         def all_steps(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            import pickle
-
-            held: dict[int, list] = {i: [] for i in ids}
-            for b in batches:
-                x, cls, owner = matrix(b, d), b.column(1).to_numpy(), b.column(0).to_numpy()
-                for i in ids:
-                    if (some := owner == i).any():
-                        held[i].append((x[some], cls[some]))
-            shard = {i: tuple(np.concatenate(c) for c in zip(*parts, strict=True)) for i, parts in held.items()}
+            shard = _held(batches, d, ids)
 
             def gradient(w: int, models: np.ndarray) -> np.ndarray:
                 x, cls = shard[workers[w]]
-                g, s = sums_of(x, cls, models, positive)
+                g, s = sums_of(x, cls, models, positive, objective)
                 return _ridge(len(cls), g, s, models, lam)[0]
 
-            yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(run(gradient))], pa.binary())], ["out"])
-
-        import pickle
+            yield _returned(run(gradient))
 
         return pickle.loads(rows.repartition(1).mapInArrow(all_steps, "out binary").first()[0])
 
 
-class LocalEngine:
-    def __init__(self, pts: DataFrame, d: int, limit: int = LOCAL_LIMIT):
-        rows = pts.select(*columns_of(pts)).limit(limit // d + 1).toArrow()
-        if rows.num_rows * d > limit:
-            raise ValueError(f"the local engine holds at most {limit} numbers; use rounds or epoch")
-        owner, parts = [], []
-        for b in rows.to_batches():
-            owner.append(b.column(0).to_numpy())
-            parts.append((matrix(b, d), b.column(1).to_numpy()))
-        own = np.concatenate(owner)
-        x, cls = (np.concatenate(c) for c in zip(*parts, strict=True))
-        self.workers = sorted(set(own.tolist()))
-        self.shards = [(x[own == w], cls[own == w]) for w in self.workers]
+class _Held:
+    """Gradients of samples in memory."""
+
+    name = "local"
+
+    def __init__(self, shards: list[tuple[np.ndarray, np.ndarray]], workers: list[int], objective: str):
+        self.shards, self.workers, self.objective, self.rows, self.moved = shards, workers, objective, 0, 0
 
     def _one(self, w, models, positive, lam):
         x, cls = self.shards[w]
-        g, s = sums_of(x, cls, models, positive)
-        return _ridge(len(cls), g, s, models, lam)
+        self.rows += len(cls)
+        return _ridge(len(cls), *sums_of(x, cls, models, positive, self.objective), models, lam)
 
     def full(self, models, positive, lam):
         made = [self._one(w, models, positive, lam) for w in range(len(self.workers))]
@@ -111,5 +152,52 @@ class LocalEngine:
     def inner(self, drawn, positive, lam, run):
         return run(lambda w, models: self._one(w, models, positive, lam)[0])
 
+    def run(self, work):
+        return work(self)
+
+
+class HeldEngine(RoundsEngine):
+    """A lost executor restarts the job from where it began (the whole run, or an epoch with `on_epoch`); as draws follow
+    from their keys, it comes to the same end."""
+
+    name = "held"
+
+    def __init__(self, pts: DataFrame, d: int, objective: str = "logistic", sizes: dict[int, int] | None = None):
+        super().__init__(pts, d, objective, sizes)
+        if not self.fits(self.sizes, d):
+            raise ValueError(f"{sum(self.sizes.values())} rows are beyond the {TASK_LIMIT} bytes of the held engine; use rounds")
+
+    @staticmethod
+    def fits(sizes: dict[int, int], d: int) -> bool:
+        return 8 * d * sum(sizes.values()) <= TASK_LIMIT
+
+    def run(self, work):
+        d, workers, objective = self.d, self.workers, self.objective
+
+        def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            shard = _held(batches, d, workers)
+            at = _Held([shard[w] for w in workers], workers, objective)
+            yield _returned((work(at), at.rows))
+
+        laid = self.pts.select(*columns_of(self.pts)).repartition(1)
+        out, rows = pickle.loads(laid.mapInArrow(whole, "out binary").first()[0])
+        self.rows += rows
+        return out
+
+
+class LocalEngine(_Held):
+    def __init__(self, pts: DataFrame, d: int, objective: str = "logistic", limit: int = LOCAL_LIMIT):
+        rows = pts.select(*columns_of(pts)).limit(limit // d + 1).toArrow()
+        if rows.num_rows * d > limit:
+            raise ValueError(f"the local engine holds at most {limit} numbers; use rounds")
+        ids = sorted(set(rows.column(0).to_pylist()))
+        shard = _held(iter(rows.to_batches()), d, ids)
+        super().__init__([shard[i] for i in ids], ids, objective)
+
+
+def measured(pts: DataFrame, d: int, objective: str = "logistic") -> RoundsEngine:
+    sizes = _sizes(pts)
+    return (HeldEngine if HeldEngine.fits(sizes, d) else RoundsEngine)(pts, d, objective, sizes)
+
 
-ENGINES = {"rounds": RoundsEngine, "epoch": EpochEngine, "local": LocalEngine}
+ENGINES = {"rounds": RoundsEngine, "held": HeldEngine, "epoch": EpochEngine, "local": LocalEngine, "measured": measured}

@@ -4,9 +4,9 @@ from __future__ import annotations
 
 
 def _homes():
-    from fewbit.queries import methods, relational, streams, theory, workloads
+    from fewbit.queries import methods, relational, stores, streams, theory, workloads
 
-    return methods, theory, workloads, relational, streams
+    return methods, theory, workloads, relational, streams, stores
 
 
 def queries() -> dict:

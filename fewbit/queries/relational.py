@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from fewbit.functions.theory import best_step_sql, epoch_sql
 from fewbit.sources import load
 
 
@@ -199,15 +200,77 @@ def null_handling(s, d):
 
 
 def grouped_arrow(s, d):
-    """A worker's mean vector by grouped Arrow batches: one shard, one call."""
+    """A worker's mean vector by grouped Arrow batches: one shard, one call; a row for each coordinate."""
+    import numpy as np
     import pyarrow as pa
 
     def mean(key, t):
-        x = t.column("embedding").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(t.num_rows, -1)
-        return pa.table({"worker": [key[0].as_py()], "n": [t.num_rows], "m0": [round(float(x[:, 0].astype(float).mean()), 6)]})
+        x = t.column("embedding").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(t.num_rows, -1).astype(float).mean(0)
+        return pa.table({"worker": [key[0].as_py()] * len(x), "n": [t.num_rows] * len(x), "dim": np.arange(len(x), dtype=np.int32), "m": np.round(x, 6) + 0.0})
 
     e = embeddings(s, d).select(F.pmod("vec_id", F.lit(10)).alias("worker"), "embedding")
-    return e.groupBy("worker").applyInArrow(mean, "worker long, n long, m0 double")
+    return e.groupBy("worker").applyInArrow(mean, "worker long, n long, dim int, m double")
+
+
+def grouped_aggregate(s, d):
+    """A grouped aggregate function in Python: the spread of a user's readings around their median."""
+    @F.pandas_udf("double", F.PandasUDFType.GROUPED_AGG)
+    def spread(v):
+        return float((v - v.median()).abs().mean())
+
+    return events(s, d).groupBy("user_id").agg(spread("value").alias("s")).select("user_id", F.round("s", 6).alias("spread"))
+
+
+def agg_percentiles(s, d):
+    """Discrete percentiles by a sketch with more room than a group has rows, so that they are exact on small groups."""
+    return events(s, d).groupBy("user_id").agg(*[F.percentile_approx("value", q, 100_000).alias(f"p{int(100 * q)}") for q in (0.1, 0.5, 0.9)])
+
+
+def agg_histogram(s, d):
+    """Ten adaptive bins of the readings; their heights add up to the rows."""
+    h = events(s, d).agg(F.histogram_numeric("value", F.lit(10)).alias("h"))
+    return h.select(F.size("h").alias("bins"), F.expr("CAST(aggregate(h, 0D, (a, b) -> a + b.y) AS BIGINT)").alias("n"))
+
+
+def sample_stratified(s, d):
+    """Every row of the classes taken whole, none of those left out: the ends of stratified sampling, which are certain."""
+    e = events(s, d)
+    return e.sampleBy("event_type", {"click": 1.0, "view": 1.0, "purchase": 0.0}, seed=7).groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def bounds_table_function(s, d):
+    """A Python table function: the epoch lengths for a target over numbers of bits, with the best step of each."""
+    from pyspark.sql.functions import udtf
+
+    from fewbit.functions import theory
+
+    @udtf(returnType="p int, step double, epoch double")
+    class EpochBounds:
+        def eval(self, target: float, smooth: float, mu: float, dim: int, low: int, high: int):
+            for p in range(low, high + 1):
+                a = theory.best_step(target, smooth, mu, dim, p)
+                t = theory.epoch_for_target(target, smooth, mu, a, dim, p)
+                yield p, round(a, 9), None if t == float("inf") else round(t, 4)
+
+    s.udtf.register("epoch_bounds", EpochBounds)
+    return s.sql("SELECT p, step, epoch FROM epoch_bounds(0.5D, 0.967D, 0.2D, 9, 6, 20)")
+
+
+def library_optimum(s, d):
+    """The optimum of the charge task by the ML library's logistic regression, beside ours: both are the same model."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.functions import array_to_vector
+
+    from fewbit.operators import tasks
+    from fewbit.plans.driver import reference_optimum
+
+    # the library gives constant features no weight; its penalty has a half, and it weighs samples alike
+    pts = tasks.charge(s, d).where("split = 'train'").withColumn("x", F.slice("x", 1, 8)).persist()
+    model = LogisticRegression(regParam=0.2, fitIntercept=False, standardization=False, tol=1e-7, maxIter=200).fit(pts.select(array_to_vector("x").alias("features"), F.col("cls").cast("double").alias("label")))
+    own, _, _ = reference_optimum(pts, 8, engine="measured", weighting="sample")
+    pts.unpersist()
+    rows = [(i, bool(abs(a - b) < 1e-4)) for i, (a, b) in enumerate(zip(model.coefficients.toArray(), own, strict=True))]
+    return s.createDataFrame(rows, "dim int, same boolean")
 
 
 def cogrouped(s, d):
@@ -247,17 +310,17 @@ def sql_functions(s, d):
 
 
 def prediction(s, d):
-    """Scores of three fixed linear models and the class of the largest, of equals the smallest class."""
+    """Scores of three fixed linear models over all coordinates and the class of the largest, of equals the smallest class."""
     e = embeddings(s, d).select("vec_id", F.col("embedding").cast("array<double>").alias("x"))
-    score = lambda i: F.col("x")[i] * 2 - F.col("x")[i + 1]
-    best = F.array_max(F.array(*[F.struct(score(i).alias("s"), F.lit(-i).alias("c")) for i in range(3)]))
+    score = lambda c: F.expr(f"aggregate(transform(x, (v, i) -> v * ((i * {2 * c + 3}) % 7 - 3)), 0D, (a, b) -> a + b)")
+    best = F.array_max(F.array(*[F.struct(F.round(score(c), 9).alias("s"), F.lit(-c).alias("c")) for c in range(3)]))
     return e.select("vec_id", (-best["c"]).alias("cls"))
 
 
 QUERIES = {f"op_{f.__name__}": f for f in (
     join_broadcast, join_merge, join_shuffled_hash, join_outer, join_semi_anti, join_self, join_asof, join_interval, agg_partial, agg_salted, agg_sorted_lists, agg_distinct, agg_rollup, agg_cube,
     agg_grouping_sets, agg_pivot, agg_unpivot, agg_statistics, window_ranking, window_analytic, window_cumulative, window_range, top_k, top_k_by_group, set_operations, sample_by_hash, dedup_text,
-    subqueries, string_functions, date_functions, math_functions, array_functions, map_json_functions, null_handling, grouped_arrow, cogrouped, table_function, sql_functions, prediction,
+    subqueries, string_functions, date_functions, math_functions, array_functions, map_json_functions, null_handling, grouped_arrow, grouped_aggregate, agg_percentiles, agg_histogram, sample_stratified, bounds_table_function, library_optimum, cogrouped, table_function, sql_functions, prediction,
 )}
 _W = "PARTITION BY user_id ORDER BY ts, event_id"
 ORACLES = {
@@ -268,7 +331,7 @@ ORACLES = {
     "op_join_semi_anti": "SELECT lang, doc_id IN (SELECT doc_id FROM labels) AS labelled, count(*) AS n FROM documents GROUP BY ALL",
     "op_join_self": "WITH e AS (SELECT DISTINCT user_id, event_type FROM events) SELECT a.event_type AS one, b.event_type AS other, count(*) AS users FROM e a JOIN e b ON a.user_id = b.user_id AND a.event_type < b.event_type GROUP BY ALL",
     "op_join_asof": f"SELECT event_id, last_value(CASE WHEN value > 50 THEN event_id END IGNORE NULLS) OVER ({_W} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS seen FROM events",
-    "op_join_interval": "SELECT floor(value / 10) * 10 AS lo, count(*) AS n FROM events WHERE value >= 0 AND value < 400 GROUP BY 1",
+    "op_join_interval": "SELECT CASE WHEN value < 0 THEN '-Infinity'::DOUBLE WHEN value >= 400 AND NOT isnan(value) THEN 400.0 WHEN NOT isnan(value) THEN floor(value / 10) * 10 END AS lo, count(*) AS n FROM events GROUP BY 1",
     "op_agg_partial": "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS q, round(avg(l_extendedprice), 4) AS p, count(*) AS n FROM lineitem GROUP BY ALL",
     "op_agg_salted": "SELECT l_returnflag, round(sum(l_quantity), 2) AS q, count(*) AS n FROM lineitem GROUP BY ALL",
     "op_agg_sorted_lists": "SELECT user_id, CAST(count(*) AS INTEGER) AS n, min(event_id) AS first, max(event_id) AS last FROM events GROUP BY ALL",
@@ -295,8 +358,16 @@ ORACLES = {
     "op_array_functions": "SELECT vec_id, round(list_sum(list_transform(range(1, 65), lambda i: embedding[i]::DOUBLE * embedding[65 - i]::DOUBLE)), 9) AS dot, CAST(list_position(embedding, list_max(embedding)) AS BIGINT) AS argmax, CAST(len(list_filter(embedding, lambda v: v > 0)) AS INTEGER) AS positive, len(list_filter(embedding, lambda v: v::DOUBLE > 0.4)) > 0 AS large, 5::INTEGER AS five FROM embeddings",
     "op_map_json_functions": "SELECT event_id, CAST(len(json_keys(props)) AS INTEGER) AS keys, array_to_string(list_sort(json_keys(props)), ',') AS names FROM events",
     "op_null_handling": "SELECT doc_id, coalesce(quality, -1) AS q, quality IS NULL AS none FROM documents LEFT JOIN labels USING (doc_id)",
-    "op_grouped_arrow": "SELECT vec_id % 10 AS worker, count(*) AS n, round(avg(embedding[1]::DOUBLE), 6) AS m0 FROM embeddings GROUP BY 1",
+    "op_grouped_arrow": "SELECT vec_id % 10 AS worker, n, dim, round(m, 6) + 0.0::DOUBLE AS m FROM (SELECT vec_id % 10 AS vec_id, count(*) AS n, CAST(i - 1 AS INTEGER) AS dim, avg(embedding[i]::DOUBLE) AS m FROM embeddings, range(1, 65) r(i) GROUP BY vec_id % 10, i)",
+    "op_grouped_aggregate": "SELECT user_id, round(avg(abs(value - m)), 6) AS spread FROM events JOIN (SELECT user_id, median(value) AS m FROM events GROUP BY 1) USING (user_id) GROUP BY user_id",
+    "op_agg_percentiles": "SELECT user_id, quantile_disc(value, 0.1) AS p10, quantile_disc(value, 0.5) AS p50, quantile_disc(value, 0.9) AS p90 FROM events GROUP BY 1",
+    "op_agg_histogram": "SELECT 10::INTEGER AS bins, count(*) AS n FROM events",
+    "op_sample_stratified": "SELECT event_type, count(*) AS n FROM events WHERE event_type IN ('click', 'view') GROUP BY 1",
+    "op_bounds_table_function": "SELECT p, round(a, 9) AS step, round(" + epoch_sql("0.5::DOUBLE", "0.967::DOUBLE", "0.2::DOUBLE", "a", "9.0::DOUBLE", "p") + ", 4) AS epoch FROM (SELECT p, " + best_step_sql("0.5::DOUBLE", "0.967::DOUBLE", "0.2::DOUBLE", "9.0::DOUBLE", "p") + " AS a FROM (SELECT unnest(range(6, 21))::INTEGER AS p))",
+    "op_sql_functions": "SELECT vec_id, 40::INTEGER AS bytes, round(" + epoch_sql("0.5::DOUBLE", "0.967::DOUBLE", "0.2::DOUBLE", "0.07::DOUBLE", "9.0::DOUBLE", "15") + ", 4) AS t FROM embeddings",
     "op_cogrouped": "SELECT worker, coalesce(n, 0) AS rows, coalesce(state, 0) AS state FROM (SELECT user_id % 10 AS worker, count(*) AS n FROM events GROUP BY 1) FULL JOIN (SELECT i AS worker, i * 0.5::DOUBLE AS state FROM range(12) r(i)) USING (worker)",
     "op_table_function": "SELECT CAST(j AS INTEGER) AS j, round(-1.5::DOUBLE + j * (4.0::DOUBLE / 15), 9) AS point FROM range(16) r(j)",
-    "op_prediction": "SELECT vec_id, CAST(CASE WHEN a >= b AND a >= c THEN 0 WHEN b >= c THEN 1 ELSE 2 END AS INTEGER) AS cls FROM (SELECT vec_id, embedding[1]::DOUBLE * 2 - embedding[2]::DOUBLE AS a, embedding[2]::DOUBLE * 2 - embedding[3]::DOUBLE AS b, embedding[3]::DOUBLE * 2 - embedding[4]::DOUBLE AS c FROM embeddings)",
+    "op_prediction": "SELECT vec_id, CAST(CASE WHEN a >= b AND a >= c THEN 0 WHEN b >= c THEN 1 ELSE 2 END AS INTEGER) AS cls FROM (SELECT vec_id, "
+    + ", ".join(f"round(list_sum(list_transform(range(0, 64), lambda i: embedding[i + 1]::DOUBLE * ((i * {2 * c + 3}) % 7 - 3))), 9) AS {n}" for c, n in enumerate("abc"))
+    + " FROM embeddings)",
 }

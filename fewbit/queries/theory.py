@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from fewbit.functions import theory as th
 from fewbit.functions.codec import bit_text_sql, pack_udf, unpack_udf
-from fewbit.functions.lattice import round_sql
+from fewbit.functions.lattice import Lattice, round_sql
 from fewbit.functions.ledger import bits_sql, compression
 from fewbit.functions.rng import duck_uniform, spark_uniform
 from fewbit.plans.methods import METHODS
@@ -43,24 +43,29 @@ def bits_by_dimension(spark, sf_dir):
     return spark.createDataFrame(rows, "d int, p_min int")
 
 
+GRID_STEPS, GRID_BITS, LONG = (0.01, 0.03, 0.05, 0.1), (6, 9, 12), 400
+
+
 def bounds(spark, sf_dir):
-    """All bound functions at a few settings."""
+    """All bound functions at a few settings; null where no epoch length or number of bits does."""
     rows = []
-    for a in (0.01, 0.03, 0.05, 0.1):
-        for p in (6, 9, 12):
-            T = 400
-            rows.append((a, p, th.fixed_epoch_min(L, MU, a), th.fixed_rate(L, MU, a, T), th.adaptive_bits_min(L, MU, a, DIM), th.adaptive_epoch_min(L, MU, a, DIM, p), th.adaptive_rate(L, MU, a, DIM, p, T)))
-    rows = [tuple(None if v == float("inf") else round(float(v), 6) if i != 1 else v for i, v in enumerate(r)) for r in rows]
+    for a in GRID_STEPS:
+        for p in GRID_BITS:
+            made = th.fixed_epoch_min(L, MU, a), th.fixed_rate(L, MU, a, LONG), th.adaptive_bits_min(L, MU, a, DIM), th.adaptive_epoch_min(L, MU, a, DIM, p), th.adaptive_rate(L, MU, a, DIM, p, LONG)
+            rows.append((a, p, *(None if v == float("inf") else round(float(v), 6) for v in made)))
     return spark.createDataFrame(rows, "a double, p int, fixed_epoch double, fixed_rate double, bits double, epoch double, rate double")
 
 
+WINDOW_BITS = (8, 10, 15, 32)
+
+
 def step_windows(spark, sf_dir):
-    """Feasible and best steps by target and bits."""
+    """Feasible and best steps by target and bits; null where there are none."""
     rows = []
     for target in TARGETS:
-        for p in (8, 10, 15, 32):
-            lo, hi = th.step_window(target, L, MU, DIM, p)
-            rows.append((target, p, lo, hi, th.best_step(target, L, MU, DIM, p)))
+        for p in WINDOW_BITS:
+            window = th.step_window(target, L, MU, DIM, p)
+            rows.append((target, p, *(None if v != v else round(v, 9) for v in window), round(th.best_step(target, L, MU, DIM, p), 9)))
     return spark.createDataFrame(rows, "target double, p int, low double, high double, best double")
 
 
@@ -69,7 +74,8 @@ def targets(spark, sf_dir):
     rows = []
     for target in TARGETS:
         a = th.best_step(target, L, MU, DIM, 15)
-        rows.append((target, round(a, 9), int(th.bits_for_target(target, L, MU, a, DIM)), th.epoch_for_target(target, L, MU, a, DIM, 15), th.rounding_variance_cap(th.model_radius(1.0, MU), 15, DIM), th.grad_radius(1.0, L, MU), th.step_limit(L), th.fixed_ball(L, MU, 0.1, 400, 1e-4, [1e-4] * 8)))
+        made = th.epoch_for_target(target, L, MU, a, DIM, 15), th.rounding_variance_cap(th.model_radius(1.0, MU), 15, DIM), th.grad_radius(1.0, L, MU), th.step_limit(L), th.fixed_ball(L, MU, 0.1, LONG, 1e-4, [1e-4] * 8)
+        rows.append((target, round(a, 9), int(th.bits_for_target(target, L, MU, a, DIM)), *(round(v, 9) for v in made)))
     return spark.createDataFrame(rows, "target double, a double, bits int, epoch double, variance_cap double, grad_radius double, step_limit double, ball double")
 
 
@@ -96,9 +102,9 @@ def _rounding(u_spark):
 
 
 def lattice_points(spark, sf_dir):
-    """The points of a lattice, by end-inclusive spacing."""
-    grid = spark.range(1, 7).select(F.col("id").cast("int").alias("p"))
-    return grid.select("p", F.explode(F.expr("sequence(0, int(power(2, p)) - 1)")).alias("j")).select("p", "j", F.round(F.expr("-1 + j * (2.0D / (power(2.0D, p) - 1))"), 9).alias("point"))
+    """The points of lattices of one coordinate with 1 to 6 bits, both ends included."""
+    rows = [(p, j, round(float(v), 9)) for p in range(1, 7) for j, v in enumerate(Lattice.of([0.0], 1.0, p).points(0))]
+    return spark.createDataFrame(rows, "p int, j int, point double")
 
 
 def cell_join(spark, sf_dir):
@@ -121,6 +127,14 @@ def unbiased(spark, sf_dir):
     return q.groupBy("v").agg(F.round(F.abs(F.avg("q") - F.first("v")), 9).alias("abs_bias"), F.round(F.max(F.abs(F.col("q") - F.col("v"))), 9).alias("max_err"), F.round(F.avg((F.col("q") - F.col("v")) ** 2), 9).alias("mse"))
 
 
+def bias_by_coordinate(spark, sf_dir):
+    """The same over the vectors: every coordinate of every vector, 16 roundings each, summed up by coordinate."""
+    runs = _cells(spark, sf_dir).crossJoin(F.broadcast(spark.range(16).withColumnRenamed("id", "s")))
+    kept = runs.withColumn("v", F.greatest(F.least("v", F.lit(0.25)), F.lit(-0.25)))
+    q = kept.withColumn("e", F.expr(round_sql("v", "0.0D", "0.25D", "4.0D", spark_uniform("concat(s, '|model|2|', vec_id, '|', dim)"))) - F.col("v"))
+    return q.groupBy("dim").agg(F.round(F.avg("e"), 9).alias("bias"), F.round(F.max(F.abs("e")), 9).alias("max_err"), F.round(F.avg(F.col("e") ** 2), 9).alias("mse"), F.count("e").alias("n"))
+
+
 def codec_round_trip(spark, sf_dir):
     """Vectors as packed messages and back: sizes in bytes and whether every index came back."""
     e = load(spark, sf_dir, "embeddings")
@@ -164,6 +178,7 @@ QUERIES = {
     "m11_lattice_points": lattice_points,
     "m12_codec": codec_round_trip,
     "c14_w14_rounding_bias": unbiased,
+    "c14_w14_bias_by_coordinate": bias_by_coordinate,
     "op_range_join_cells": cell_join,
     "c05_w13_ledger": ledger,
     "c07_w08_compression": compressed,
@@ -193,6 +208,42 @@ def _ledger_sql() -> str:
     return " UNION ALL ".join(f"SELECT '{m}' AS method, d::BIGINT AS d, n::BIGINT AS n, t::BIGINT AS t, p::BIGINT AS p, CAST({c} AS BIGINT) AS bits FROM (VALUES {values}) s(d, n, t, p)" for m, c in cost.items())
 
 
+def _compressed_sql() -> str:
+    values = ", ".join(f"('{m}', '{spec.parent}')" for m, spec in METHODS.items() if spec.lattice)
+    return f"""WITH b AS ({_ledger_sql()})
+SELECT o.method, CAST(o.d AS INTEGER) AS d, CAST(o.p AS INTEGER) AS p, round(1 - o.p / 64.0::DOUBLE, 9) AS message, round(1 - o.bits / w.bits::DOUBLE, 9) AS iteration
+FROM b o JOIN (VALUES {values}) x(method, parent) ON o.method = x.method JOIN b w ON w.method = x.parent AND w.d = o.d AND w.n = o.n AND w.t = o.t AND w.p = o.p"""
+
+
+def _bounds_sql() -> str:
+    noise = "4 * l * d * (1 + 3 * l * l * a * a) / (mu * power(power(2.0, p) - 1, 2))"
+    room = "(mu * a * (1 - 6 * l * a))"
+    grid = f"(VALUES {', '.join(f'({a}::DOUBLE)' for a in GRID_STEPS)}) s(a), (VALUES {', '.join(f'({p})' for p in GRID_BITS)}) b(p), (SELECT {_NUM[0]} AS l, {_NUM[1]} AS mu, {_NUM[2]} AS d, {LONG}::DOUBLE AS t)"
+    return f"""SELECT a, p, round(CASE WHEN {room} > 0 THEN 1 / {room} END, 6) AS fixed_epoch, round((1 / (mu * t) + 3 * l * a * a) / (a - 3 * l * a * a), 6) AS fixed_rate,
+CASE WHEN 1 - 6 * l * a > 0 THEN ceil(log2(1 + sqrt(4 * l * d * (1 + 3 * l * l * a * a) / (mu * mu * a * (1 - 6 * l * a))))) END AS bits,
+round(CASE WHEN {room} - {noise} > 0 THEN 1 / ({room} - {noise}) END, 6) AS epoch, round((1 / t + 3 * mu * l * a * a + {noise}) / (mu * (a - 3 * l * a * a)), 6) AS rate FROM {grid}"""
+
+
+def _windows_sql() -> str:
+    h = "(4 * l * d / (mu * power(power(2.0, p) - 1, 2)))"
+    bend = f"(3 * l * mu * (1 + target) + 3 * l * l * {h})"
+    root = f"sqrt(mu * mu * target * target - 4 * {bend} * {h})"
+    some = f"mu * mu * target * target > 4 * {bend} * {h}"
+    grid = f"{_T}, (VALUES {', '.join(f'({p})' for p in WINDOW_BITS)}) b(p), (SELECT {_NUM[0]} AS l, {_NUM[1]} AS mu, {_NUM[2]} AS d)"
+    return f"""SELECT target, p, CASE WHEN {some} THEN round((mu * target - {root}) / (2 * {bend}), 9) END AS low, CASE WHEN {some} THEN round((mu * target + {root}) / (2 * {bend}), 9) END AS high,
+round(mu * target / (2 * {bend}), 9) AS best FROM {grid}"""
+
+
+def _targets_sql() -> str:
+    a = th.best_step_sql("target", *_NUM, "15")
+    room = "(target - 3 * l * a * target - 3 * l * a)"
+    return f"""SELECT target, round(a, 9) AS a, CAST(ceil(log2(1 + sqrt(4 * l * d * (1 + 3 * l * l * a * a) / (mu * mu * a * {room})))) AS INTEGER) AS bits,
+round(1 / (mu * a * {room} - 4 * l * d * (1 + 3 * l * l * a * a) / (mu * power(power(2.0, 15) - 1, 2))), 9) AS epoch, round(d * 4 / (mu * mu) / power(power(2.0, 15) - 1, 2), 9) AS variance_cap,
+round(2 * l / mu, 9) AS grad_radius, round(1 / (6 * l), 9) AS step_limit,
+round((3 * {LONG} * 0.01::DOUBLE * 0.0001::DOUBLE + 8 * 0.0001::DOUBLE) / (2 * {LONG} * 0.1::DOUBLE - 12 * l * {LONG} * 0.01::DOUBLE - 2 / mu), 9) AS ball
+FROM (SELECT target, {a} AS a, {_NUM[0]} AS l, {_NUM[1]} AS mu, {_NUM[2]} AS d FROM {_T})"""
+
+
 _ROUND = round_sql("v", "0.0::DOUBLE", "0.25::DOUBLE", "4.0::DOUBLE", "{u}")
 ORACLES = {
     "w01_epoch_by_step": f"SELECT target, p, round(a, 6) AS a, round({th.epoch_sql('target', _NUM[0], _NUM[1], 'a', _NUM[2], 'p')}, 4) AS t_min FROM {_T}, (VALUES (8), (10), (52)) y(p), (SELECT i * 0.0025::DOUBLE AS a FROM range(1, 101) r(i))",
@@ -203,7 +254,17 @@ ORACLES = {
     "m09_random_rounding": f"SELECT vec_id, dim, round({_ROUND.format(u=duck_uniform(chr(39) + '7|model|1|' + chr(39) + ' || vec_id || ' + chr(39) + '|' + chr(39) + ' || dim'))}, 9) AS q, abs(v) > 0.25 AS saturated FROM {_E}",
     "m10_nearest_rounding": f"SELECT vec_id, dim, round({_ROUND.format(u='0.5::DOUBLE')}, 9) AS q, abs(v) > 0.25 AS saturated FROM {_E}",
     "m11_lattice_points": "SELECT p, CAST(j AS INTEGER) AS j, round(-1 + j * (2.0::DOUBLE / (power(2.0::DOUBLE, p) - 1)), 9) AS point FROM (SELECT unnest(range(1, 7))::INTEGER AS p), range(0, 64) r(j) WHERE j < power(2, p)",
-    "op_range_join_cells": f"SELECT dim, cell, count(*) AS n FROM {_E}, (SELECT i::INTEGER AS cell, -0.25::DOUBLE + i * (0.5::DOUBLE / 15) AS lo, -0.25::DOUBLE + (i + 1) * (0.5::DOUBLE / 15) AS hi FROM range(0, 15) c(i)) WHERE dim < 4 AND v >= lo AND v < hi GROUP BY ALL",
+    "op_range_join_cells": f"SELECT dim, CAST(least(greatest(floor(v * 30 + 7.5), 0), 14) AS INTEGER) AS cell, count(*) AS n FROM {_E} GROUP BY ALL",
+    "h01_h08_bounds": _bounds_sql(),
+    "h09_h13_targets": _targets_sql(),
+    "h11_h12_step_windows": _windows_sql(),
+    "c07_w08_compression": _compressed_sql(),
+    "c14_w14_rounding_bias": "SELECT v, round(abs(avg(q) - any_value(v)), 9) AS abs_bias, round(max(abs(q - v)), 9) AS max_err, round(avg((q - v) * (q - v)), 9) AS mse FROM (SELECT v, "
+    + round_sql("v", "0.0::DOUBLE", "1.0::DOUBLE", "3.0::DOUBLE", duck_uniform("s || '|model|1|1|' || v"))
+    + " AS q FROM (VALUES (-0.97::DOUBLE), (-0.31), (0.0), (0.123), (0.5), (0.99)) x(v), range(4096) r(s)) GROUP BY v",
+    "c14_w14_bias_by_coordinate": "SELECT dim, round(avg(e), 9) AS bias, round(max(abs(e)), 9) AS max_err, round(avg(e * e), 9) AS mse, count(e) AS n FROM (SELECT dim, "
+    + _ROUND.format(u=duck_uniform("s || '|model|2|' || vec_id || '|' || dim"))
+    + f" - v AS e FROM (SELECT vec_id, dim, greatest(least(v, 0.25::DOUBLE), -0.25::DOUBLE) AS v FROM {_E}), range(16) r(s)) GROUP BY dim",
     "m12_codec": "SELECT vec_id, 40::INTEGER AS bytes, true AS same, lpad(bin(least(greatest(floor((embedding[1] + 0.5) * 31), 0), 31)::BIGINT), 5, '0') || lpad(bin(least(greatest(floor((embedding[2] + 0.5) * 31), 0), 31)::BIGINT), 5, '0') AS head FROM embeddings",
     "c05_w13_ledger": _ledger_sql(),
 }

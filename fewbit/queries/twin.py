@@ -26,13 +26,17 @@ def _list(made) -> str:
     return "[" + ", ".join(made) + "]"
 
 
-def _gradients(name: str, model: str, where: str = "") -> str:
+def _gradients(name: str, model: str, where: str = "", objective: str = "logistic") -> str:
     """name(worker_id, l, g) at the model of a one-row table."""
+    pull, loss = {
+        "logistic": ("-y / (1 + exp(m))", "greatest(-m, 0) + ln(1 + exp(-abs(m)))"),
+        "squares": ("y * (m - 1)", "(m - 1) * (m - 1) / 2"),
+    }[objective]
     dot = " + ".join(f"x{i} * w[{i + 1}]" for i in range(D))
     square = " + ".join(f"w[{i + 1}] * w[{i + 1}]" for i in range(D))
-    g = _list(f"avg(-y / (1 + exp(m)) * x{i}) + {2 * LAM} * any_value(w[{i + 1}])" for i in range(D))
+    g = _list(f"avg({pull} * x{i}) + {2 * LAM} * any_value(w[{i + 1}])" for i in range(D))
     return (
-        f"{name} AS (SELECT worker_id, avg(greatest(-m, 0) + ln(1 + exp(-abs(m)))) + {LAM} * any_value(sq) AS l, {g} AS g "
+        f"{name} AS (SELECT worker_id, avg({loss}) + {LAM} * any_value(sq) AS l, {g} AS g "
         f"FROM (SELECT p.*, w, y * ({dot}) AS m, {square} AS sq FROM pts p, {model} {where}) GROUP BY worker_id)"
     )
 
@@ -45,16 +49,16 @@ def _round(v: str, center: str, radius: str, p: int, stream: str, k: int, t: int
     )
 
 
-def method_sql(method: str, rounds: int, steps: int, step: float, p: int, seed: int = 42, scale: float = 1.0) -> str:
+def method_sql(method: str, rounds: int, steps: int, step: float, p: int, seed: int = 42, scale: float = 1.0, objective: str = "logistic") -> str:
     """SQL for (k, loss, grad_norm, accepted) of a run on `charge`, its closing pass included."""
     spec = METHODS[method]
     out = [CHARGE.strip(), "pts AS MATERIALIZED (SELECT worker_id, CASE WHEN cls = 1 THEN 1.0 ELSE -1.0 END::DOUBLE AS y, " + ", ".join(f"x{i}" for i in range(D)) + " FROM charge WHERE split = 'train')"]
     square = " + ".join(f"x{i} * x{i}" for i in range(D))
-    out.append(f"geo AS (SELECT avg(q) / 4 + {2 * LAM} AS smooth FROM (SELECT avg({square}) AS q FROM pts GROUP BY worker_id))")
+    out.append(f"geo AS (SELECT avg(q) * {0.25 if objective == 'logistic' else 1.0} + {2 * LAM} AS smooth FROM (SELECT avg({square}) AS q FROM pts GROUP BY worker_id))")
     out.append("w1 AS (SELECT " + _list(["0.0::DOUBLE"] * D) + " AS w)")
     mu = 2 * LAM
     for k in range(1, rounds + 2):
-        out.append(_gradients(f"g{k}", f"w{k}").replace(f"g{k} AS (", f"g{k} AS MATERIALIZED (", 1))
+        out.append(_gradients(f"g{k}", f"w{k}", objective=objective).replace(f"g{k} AS (", f"g{k} AS MATERIALIZED (", 1))
         mean = _list(f"avg(g[{i + 1}])" for i in range(D))
         norm = "sqrt(" + " + ".join(f"g[{i + 1}] * g[{i + 1}]" for i in range(D)) + ")"
         out.append(f"s{k} AS (SELECT w, l, g, {norm} AS n FROM (SELECT avg(l) AS l, {mean} AS g FROM g{k}), w{k})")
@@ -78,7 +82,7 @@ def method_sql(method: str, rounds: int, steps: int, step: float, p: int, seed:
             for t in range(1, (steps if spec.family == "avr" else 1) + 1):
                 before = f"a{k}" if t == 1 else f"i{k}_{t - 1}"
                 out.append(f"d{k}_{t} AS (SELECT CAST(floor({duck_uniform(chr(39) + f'{seed}|worker|{k}|{t}|0' + chr(39))} * {N}) AS INTEGER) AS xi)")
-                out.append(_gradients(f"c{k}_{t}", before, f", d{k}_{t} WHERE p.worker_id = xi"))
+                out.append(_gradients(f"c{k}_{t}", before, f", d{k}_{t} WHERE p.worker_id = xi", objective))
                 new, old = "c.g", "h.g"
                 if q and (spec.family != "avr" or spec.inner == "both"):
                     new = _round("c.g", "f.g", "r.rg", p, "CONCAT('grad', h.worker_id)", k, t, seed)
@@ -107,3 +111,9 @@ def method_sql(method: str, rounds: int, steps: int, step: float, p: int, seed:
         out.append(f"w{k + 1} AS MATERIALIZED (SELECT {made} AS w FROM u{k} u, r{k} r)")
     rows = " UNION ALL ".join(f"SELECT {k} AS k, round(s.l, 6) AS loss, round(s.n, 6) AS grad_norm, a.ok AS accepted FROM s{k} s, a{k} a" for k in range(1, rounds + 2))
     return "WITH " + ",\n".join(out) + f"\n{rows}"
+
+
+def settings_sql(method: str, rounds: int, steps: int, seed: int, settings: dict[str, tuple[int, float]], objective: str = "logistic") -> str:
+    """The runs of a method at several settings {name: (bits, step)}, one below the other."""
+    parts = (f"SELECT '{name}' AS setting, * FROM ({method_sql(method, rounds, steps, step, p, seed, objective=objective)})" for name, (p, step) in settings.items())
+    return "\nUNION ALL\n".join(parts)

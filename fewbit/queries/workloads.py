@@ -15,14 +15,16 @@ from fewbit.operators import metrics, tasks
 from fewbit.plans.config import Config
 from fewbit.plans.driver import Run, fit_many, reference_optimum
 from fewbit.plans.methods import METHODS
-from fewbit.queries.methods import train
+from fewbit.functions.ledger import bits_paper
+from fewbit.queries.methods import SEED, optimum_sql, train
+from fewbit.queries.twin import CHARGE, D, N, method_sql
 
 COMPARED = ("gd", "sgd", "sag", "avr", "avr_memory", "q_gd", "q_sgd", "q_sag", "qavrm_fixed", "qavrm_adaptive", "qavrm_fixed_plus", "qavrm_adaptive_plus")
 SCALES = (1.0, 0.1)
 ROUNDS = 50
 
 
-def compare(spark, sf_dir, task: str, p: int, steps: int, rounds: int, cls: int = 1, methods=COMPARED, scales=SCALES, engine="epoch"):
+def compare(spark, sf_dir, task: str, p: int, steps: int, rounds: int, cls: int = 1, methods=COMPARED, scales=SCALES, engine="measured"):
     """(method, radius_scale, k, loss, grad_norm, gap, f1, bits, rejected): every method at both radii, one batch of runs."""
     make, d, _ = tasks.TASKS[task]
     pts = make(spark, sf_dir).persist()
@@ -31,7 +33,7 @@ def compare(spark, sf_dir, task: str, p: int, steps: int, rounds: int, cls: int
     # methods without a lattice don't depend on the radius
     runs = [Run(m, replace(base, radius_scale=s), cls) for m in methods for s in (scales if METHODS[m].lattice else scales[:1])]
     out = fit_many(fitted, runs, d, engine)
-    _, best, _ = reference_optimum(fitted, d, cls=cls, engine=engine, most=150, tol=1e-8)
+    _, best, _ = reference_optimum(fitted, d, cls=cls, engine=engine)
     last = {s.run.name: {cls: s.kept.model} for s in out.states}
     f1 = metrics.f1(metrics.confusion(pts.where("split = 'test'"), last, d)).where("rule = 'sign'").select(F.col("name").alias("run_id"), F.col("f1"))
     scale = spark.createDataFrame([(r.name, r.config.radius_scale) for r in runs], "run_id string, radius_scale double")
@@ -78,7 +80,7 @@ def one_vs_all(spark, sf_dir, task: str, p: int, rounds: int, scales=SCALES, met
     pts = make(spark, sf_dir).persist()
     base = Config(rounds=rounds, steps=15, model_bits=p, grad_bits=p)
     runs = [Run(m, replace(base, radius_scale=s), c) for m in methods for s in (scales if METHODS[m].lattice else scales[:1]) for c in range(classes)]
-    out = fit_many(pts.where("split = 'train'"), runs, d)
+    out = fit_many(pts.where("split = 'train'"), runs, d, "measured")
     models: dict[str, dict[int, np.ndarray]] = {}
     for s in out.states:
         # a diverged run has no model that scores; its last finite one stands for it
@@ -112,43 +114,61 @@ def f1_noise(spark, sf_dir):
 
 
 def f1_pivot(spark, sf_dir):
-    """The table in the shape of one row per number of bits, one column per method."""
-    t = f1_table(spark, sf_dir).where("rule = 'argmax'")
-    best = t.where(F.col("radius_scale") == F.when(F.col("p") == 7, F.when(F.col("method").isin("gd", "avr_memory"), 1.0).otherwise(0.1)).otherwise(1.0))
-    return best.groupBy("p").pivot("method", list(TABLE)).agg(F.round(F.first("f1_macro"), 4))
+    """The table in the shape of one row per number of bits, one column per method, at both radii and by both rules."""
+    t = f1_table(spark, sf_dir)
+    plain = t.where(~F.col("method").startswith("q")).drop("radius_scale").crossJoin(spark.createDataFrame([(v,) for v in SCALES], "radius_scale double"))
+    every = t.where(F.col("method").startswith("q")).unionByName(plain)
+    return every.groupBy("p", "radius_scale", "rule").pivot("method", list(TABLE)).agg(F.round(F.first("f1_macro"), 4))
+
+
+SWEEP = (1.0, 0.5, 0.25, 0.1, 0.05)
+
+
+def radius_sweep(spark, sf_dir):
+    """Binary task at 3 bits: the same five radii for the fixed lattices and for the adaptive one; last gap and rejected epochs."""
+    methods = ("q_gd", "q_sgd", "q_sag", "qavrm_fixed_plus", "qavrm_adaptive_plus")
+    t = compare(spark, sf_dir, "charge", 3, 8, ROUNDS, methods=methods, scales=SWEEP)
+    last = F.max_by(F.struct("gap", "rejected", "status"), "k").alias("l")
+    return t.groupBy("method", "radius_scale").agg(last).select("method", "radius_scale", "l.*")
 
 
 def memory_effect(spark, sf_dir):
     """With and without the memory, at few and at more bits."""
     methods = ("avr", "avr_memory", "qavr_adaptive", "qavrm_adaptive", "qavr_adaptive_plus", "qavrm_adaptive_plus")
-    parts = [compare(spark, sf_dir, "charge", p, 8, 15, methods=methods, scales=(1.0,)).withColumn("p", F.lit(p)) for p in (5, 9)]
+    parts = [compare(spark, sf_dir, "charge", p, 8, ROUNDS, methods=methods, scales=(1.0,)).withColumn("p", F.lit(p)) for p in (5, 9)]
     return parts[0].unionByName(parts[1])
 
 
 def as_good_as_exact(spark, sf_dir):
     """15 bits and more beside no rounding."""
     pts = train(spark, sf_dir)
-    runs = [Run("qavrm_adaptive_plus", Config(rounds=15, model_bits=p, grad_bits=p)) for p in (15, 32, 52, 64)]
-    out = fit_many(pts, runs, 9).trace(spark).select("p", "k", "loss", "grad_norm")
+    runs = [Run("qavrm_adaptive_plus", Config(rounds=ROUNDS, model_bits=p, grad_bits=p)) for p in (15, 32, 52, 64)]
+    out = fit_many(pts, runs, 9, "measured").trace(spark).select("p", "k", "loss", "grad_norm")
     pts.unpersist()
     return out
 
 
 def practical_steps(spark, sf_dir):
     """The epoch length used beside the least one that the bounds ask for."""
-    pts = train(spark, sf_dir)
     from fewbit.operators.objective import geometry
 
-    g = geometry(pts, 0.1)
+    g = geometry(tasks.charge(spark, sf_dir).where("split = 'train'"), 0.1)
     rows = [(target, 8, float(np.ceil(th.epoch_best(target, g.average, g.mu, 9, 15)))) for target in (0.2, 0.5, 0.9, 0.99)]
-    pts.unpersist()
     return spark.createDataFrame(rows, "target double, used int, bound double")
 
 
+def _practical_sql() -> str:
+    a = th.best_step_sql("target", "smooth", "0.2::DOUBLE", "9.0::DOUBLE", "15")
+    square = " + ".join(f"x{i} * x{i}" for i in range(D))
+    geo = f"(SELECT avg(q) / 4 + 0.2 AS smooth FROM (SELECT avg({square}) AS q FROM charge WHERE split = 'train' GROUP BY worker_id))"
+    best = f"(SELECT target, smooth, {a} AS a FROM {geo}, (VALUES (0.2::DOUBLE), (0.5), (0.9), (0.99)) t(target))"
+    return f"WITH {CHARGE.strip()} SELECT target, 8::INTEGER AS used, ceil({th.epoch_sql('target', 'smooth', '0.2::DOUBLE', 'a', '9.0::DOUBLE', '15')}) AS bound FROM {best}"
+
+
 def ablations(spark, sf_dir):
     """Choices that the methods leave open, on the binary task."""
     pts = train(spark, sf_dir)
-    base = Config(rounds=12, model_bits=7, grad_bits=7)
+    base = Config(rounds=ROUNDS, model_bits=7, grad_bits=7)
     named = {
         "base": base,
         "pick_last": replace(base, pick="last"),
@@ -158,11 +178,11 @@ def ablations(spark, sf_dir):
         "worst_worker": replace(base, smoothness="worst_worker"),
         "by_sample": replace(base, weighting="sample"),
         "more_bits_on_first": replace(base, model_bits=tuple([9] * 4 + [5] * 5), grad_bits=tuple([9] * 4 + [5] * 5)),
-        "falling_step": replace(base, step=tuple(0.2 * 0.95**k for k in range(12))),
+        "falling_step": replace(base, step=tuple(0.2 * 0.95**k for k in range(ROUNDS))),
     }
     runs = [Run("qavrm_adaptive_plus", c, run_id=name) for name, c in named.items()]
     runs += [Run("qavr_model_only", base, run_id="model_only"), Run("sag", replace(base, sag_warm=True), run_id="sag_warm")]
-    trace = fit_many(pts, runs, 9).trace(spark)
+    trace = fit_many(pts, runs, 9, "measured").trace(spark)
     pts.unpersist()
     _, best, _ = _optimum(spark, sf_dir)
     return metrics.contraction(metrics.gap(trace, best)).select("run_id", "k", "loss", "grad_norm", "gap", "contraction", "accepted")
@@ -173,7 +193,7 @@ def workers_effect(spark, sf_dir):
     parts = []
     for n in (2, 10, 100):
         pts = tasks.charge(spark, sf_dir, n).where("split = 'train'").persist()
-        out = fit_many(pts, [Run("qavrm_adaptive_plus", Config(workers=n, rounds=10))], 9)
+        out = fit_many(pts, [Run("qavrm_adaptive_plus", Config(workers=n, rounds=ROUNDS))], 9, "measured")
         parts += [(n, r[4], r[5], r[6], r[12]) for r in out.trace_rows()]
         pts.unpersist()
     return spark.createDataFrame(parts, "workers int, k int, loss double, grad_norm double, bits long")
@@ -181,45 +201,138 @@ def workers_effect(spark, sf_dir):
 
 def _optimum(spark, sf_dir):
     pts = train(spark, sf_dir)
-    out = reference_optimum(pts, 9, most=150, tol=1e-8)
+    out = reference_optimum(pts, 9, engine="measured")
     pts.unpersist()
     return out
 
 
-def message_measures(spark, sf_dir):
-    """Rounding errors, saturation, bits by direction: measures on the messages of a run."""
+def _with_messages(spark, sf_dir, runs):
     pts = train(spark, sf_dir)
-    out = fit_many(pts, [Run("qavrm_adaptive_plus", Config(rounds=5)), Run("qavrm_fixed_plus", Config(rounds=5))], 9)
+    out = fit_many(pts, runs, D, "measured", messages=True)
     pts.unpersist()
-    m = out.messages(spark)
-    errors = metrics.round_error(m)
-    bits = m.groupBy("run_id", "k", "kind").agg(F.sum("bits").alias("bits"), F.sum(F.octet_length("payload")).alias("payload_bytes"))
-    return errors.join(bits, ["run_id", "k", "kind"])
+    return out
+
+
+def message_measures(spark, sf_dir):
+    """Rounding errors, saturation, bits and packed bytes by kind: measures on the messages of two runs."""
+    base = Config(rounds=ROUNDS_SHORT, seed=SEED)
+    m = _with_messages(spark, sf_dir, [Run("qavrm_adaptive_plus", base), Run("qavrm_fixed_plus", base)]).messages(spark)
+    bits = m.groupBy("run_id", "k", "kind").agg(F.sum("bits").alias("bits"), F.sum(F.octet_length("payload")).alias("payload_bytes"), F.bool_and("travels").alias("travels"))
+    return metrics.round_error(m).join(bits, ["run_id", "k", "kind"])
+
+
+ROUNDS_SHORT = 5
+
+
+def _messages_sql() -> str:
+    """Bits, bytes and kinds of messages_sizes from the counts of messages alone."""
+    parts = []
+    for k in range(1, ROUNDS_SHORT + 2):
+        parts.append(f"({k}, 'exact', {64 * D * N}, 0, true)")
+        if k <= ROUNDS_SHORT:
+            for kind, travels in (("grad", "true"), ("anchorgrad", "false"), ("model", "true")):
+                parts.append(f"({k}, '{kind}', {8 * 9 * D}, {8 * -(-9 * D // 8)}, {travels})")
+    runs = ", ".join(f"('{m}')" for m in ("qavrm_adaptive_plus", "qavrm_fixed_plus"))
+    return f"SELECT method, CAST(k AS INTEGER) AS k, kind, CAST(bits AS BIGINT) AS bits, CAST(nullif(payload, 0) AS BIGINT) AS payload_bytes, travels FROM (VALUES {runs}) r(method), (VALUES {', '.join(parts)}) v(k, kind, bits, payload, travels)"
+
+
+def message_sizes(spark, sf_dir):
+    """The countable part of message_measures."""
+    t = message_measures(spark, sf_dir)
+    return t.select(F.split("run_id", "-")[0].alias("method"), "k", "kind", "bits", "payload_bytes", "travels")
 
 
 def bits_cube(spark, sf_dir):
+    """Bits that travelled, by method, direction and kind, with subtotals."""
+    out = _with_messages(spark, sf_dir, [Run(m, Config(rounds=3, seed=SEED), run_id=m) for m in ("qavrm_adaptive_plus", "q_gd")])
+    return metrics.bits_by_direction(out.messages(spark))
+
+
+def _bits_cube_sql() -> str:
+    rows = [("qavrm_adaptive_plus", "up", "exact", 64 * D, 4 * N), ("qavrm_adaptive_plus", "up", "grad", 9 * D, 24), ("qavrm_adaptive_plus", "down", "model", 9 * D, 24), ("q_gd", "up", "grad", 9 * D, 3 * N), ("q_gd", "down", "model", 9 * D, 3)]
+    return f"SELECT run_id, direction, kind, CAST(sum(b * c) AS BIGINT) AS bits, CAST(sum(c) AS BIGINT) AS n FROM (VALUES {', '.join(map(str, rows))}) v(run_id, direction, kind, b, c) GROUP BY ROLLUP (run_id, direction, kind)"
+
+
+def sql_views(spark, sf_dir):
+    """The run's own views asked by SQL: bits that travelled beside the ledger's, and rows of the other views."""
     pts = train(spark, sf_dir)
-    out = fit_many(pts, [Run("qavrm_adaptive_plus", Config(rounds=3)), Run("q_gd", Config(rounds=3))], 9)
+    out = fit_many(pts, [Run("qavrm_adaptive_plus", Config(rounds=3, seed=SEED), run_id="one")], D, "measured", messages=True)
+    out.views(spark, pts)
+    made = spark.sql(
+        "SELECT l.k, l.bits_wire, m.bits AS bits_sent, t.accepted, size(w.w) AS d, (SELECT count(*) FROM pts) AS rows FROM ledger l JOIN trace t USING (run_id, k) "
+        "JOIN models w USING (run_id, k) JOIN (SELECT run_id, k, sum(bits) AS bits FROM messages WHERE travels GROUP BY run_id, k) m USING (run_id, k) WHERE l.run_id = :run",
+        args={"run": "one"},
+    )
+    rows = spark.createDataFrame(made.collect(), made.schema)
     pts.unpersist()
-    return metrics.bits_by_direction(out.messages(spark))
+    return rows
 
 
-def curve_measures(spark, sf_dir):
-    """Plateau of the gap, and rounds and bits to a level."""
+def _sql_views_sql() -> str:
+    wire = f"{64 * D * N} + CASE WHEN k <= 3 THEN {2 * 8 * 9 * D} ELSE 0 END"
+    return f"WITH {CHARGE.strip()} SELECT CAST(k AS INTEGER) AS k, CAST({wire} AS BIGINT) AS bits_wire, CAST({wire} AS BIGINT) AS bits_sent, true AS accepted, {D}::INTEGER AS d, (SELECT count(*) FROM charge WHERE split = 'train') AS rows FROM range(1, 5) r(k)"
+
+
+CURVES = ("gd", "avr_memory", "qavrm_adaptive_plus")
+LEVEL = 0.05
+
+
+def _curves(spark, sf_dir):
     pts = train(spark, sf_dir)
-    runs = [Run(m, Config(rounds=12)) for m in ("gd", "avr_memory", "qavrm_fixed_plus", "qavrm_adaptive_plus")]
-    trace = metrics.gap(fit_many(pts, runs, 9).trace(spark), reference_optimum(pts, 9, most=150, tol=1e-8)[1])
+    runs = [Run(m, Config(rounds=ROUNDS_SHORT, steps=4, seed=SEED), run_id=m) for m in CURVES]
+    trace = fit_many(pts, runs, D, "measured").trace(spark).withColumn("loss", F.round("loss", 6))
+    best = round(reference_optimum(pts, D, engine="measured")[1], 8)
     pts.unpersist()
-    return metrics.plateau(trace).join(metrics.to_target(trace, "gap", 1e-3), "run_id")
+    return metrics.contraction(metrics.gap(trace, best))
+
+
+def curve_measures(spark, sf_dir):
+    """Plateau of the gap, and rounds and bits to a level."""
+    trace = _curves(spark, sf_dir)
+    out = metrics.plateau(trace, 3).join(metrics.to_target(trace, "gap", LEVEL), "run_id")
+    return out.select("run_id", F.round("gap_min", 6).alias("gap_min"), F.round("gap_mean", 6).alias("gap_mean"), "k", "bits")
+
+
+def contraction_measures(spark, sf_dir):
+    return _curves(spark, sf_dir).select("run_id", "k", F.round("gap", 6).alias("gap"), F.round("contraction", 4).alias("contraction"))
+
+
+def _curves_sql() -> str:
+    parts = []
+    for m in CURVES:
+        bits = bits_paper(m, D, N, 4, 9 * D, 9 * D)
+        last = 0 if m == "gd" else 64 * D * N
+        parts.append(f"SELECT '{m}' AS run_id, k, loss, least(k, {ROUNDS_SHORT}) * {bits} + CASE WHEN k > {ROUNDS_SHORT} THEN {last} ELSE 0 END AS cum FROM ({method_sql(m, ROUNDS_SHORT, 4, 0.2, 9, SEED)})")
+    best = f"SELECT any_value(loss) AS best FROM ({optimum_sql()})"
+    return f"WITH t AS ({' UNION ALL '.join(parts)}), o AS ({best}), g AS (SELECT run_id, k, loss - best AS gap, cum FROM t, o)\n"
+
+
+def fixed_model_f1(spark, sf_dir):
+    """F1 of given linear models on the held-out vectors, by class and averaged, by both rules."""
+    pts = tasks.anchor10(spark, sf_dir).where("split = 'test'")
+    at = lambda *on: np.bincount([i for i, _ in on], [v for _, v in on], 64)
+    models = {"given": {c: at((c, 1.0), (c + 10, 1.0)) for c in range(10)}}
+    counts = metrics.confusion(pts, models, 64)
+    return metrics.f1(counts).join(metrics.f1_macro(counts), ["name", "rule"]).select("rule", "cls", "tp", "fp", "fn", F.round("f1", 6).alias("f1"), F.round("f1_macro", 6).alias("f1_macro"))
+
+
+def _f1_sql() -> str:
+    score = "list_transform(range(1, 11), lambda i: embedding[i]::DOUBLE + embedding[i + 10]::DOUBLE)"
+    return f"""WITH s AS (SELECT list_position(embedding[1:10], list_max(embedding[1:10])) - 1 AS cls, {score} AS s FROM embeddings WHERE vec_id % 5 = 0),
+r AS (SELECT s.cls AS own, c, s[c + 1] > 0 AS sign, list_position(s, list_max(s)) - 1 = c AS argmax FROM s, range(10) x(c)),
+u AS (SELECT 'sign' AS rule, c, own = c AS "is", sign AS said FROM r UNION ALL SELECT 'argmax', c, own = c, argmax FROM r),
+t AS (SELECT rule, CAST(c AS INTEGER) AS cls, count(*) FILTER (said AND "is") AS tp, count(*) FILTER (said AND NOT "is") AS fp, count(*) FILTER (NOT said AND "is") AS fn FROM u GROUP BY ALL),
+f AS (SELECT *, CASE WHEN 2 * tp + fp + fn > 0 THEN 2 * tp / (2 * tp + fp + fn)::DOUBLE ELSE 0 END AS v FROM t)
+SELECT rule, cls, tp, fp, fn, round(v, 6) AS f1, round(avg(v) OVER (PARTITION BY rule), 6) AS f1_macro FROM f"""
 
 
 def unbalanced(spark, sf_dir):
     """The unbalanced binary task."""
-    return compare(spark, sf_dir, "quality", 9, 8, 10, scales=(1.0,))
+    return compare(spark, sf_dir, "quality", 9, 8, ROUNDS, scales=(1.0,))
 
 
 def sensor_task(spark, sf_dir):
-    return compare(spark, sf_dir, "sensor", 9, 8, 10, scales=(1.0,))
+    return compare(spark, sf_dir, "sensor", 9, 8, ROUNDS, scales=(1.0,))
 
 
 QUERIES = {
@@ -240,8 +353,23 @@ QUERIES = {
     "w15_workers": workers_effect,
     "w15_quality_task": unbalanced,
     "w15_sensor_task": sensor_task,
+    "w03_radius_sweep": radius_sweep,
+    "c03_c04_f1_of_given_models": fixed_model_f1,
     "c06_c09_c12_messages": message_measures,
+    "c06_message_sizes": message_sizes,
+    "c10_contraction": contraction_measures,
+    "op_sql_views": sql_views,
     "c06_bits_rollup": bits_cube,
     "c08_c11_c13_curves": curve_measures,
 }
-ORACLES: dict[str, str] = {}
+ORACLES = {
+    "w12_practical_steps": _practical_sql(),
+    "c03_c04_f1_of_given_models": _f1_sql(),
+    "c06_message_sizes": _messages_sql(),
+    "c06_bits_rollup": _bits_cube_sql(),
+    "op_sql_views": _sql_views_sql(),
+    "c08_c11_c13_curves": _curves_sql()
+    + f"""SELECT run_id, round(min(gap) FILTER (back <= 3), 6) AS gap_min, round(avg(gap) FILTER (back <= 3), 6) AS gap_mean, CAST(min(k) FILTER (gap <= {LEVEL}) AS INTEGER) AS k, CAST(min(cum) FILTER (gap <= {LEVEL}) AS BIGINT) AS bits
+FROM (SELECT *, row_number() OVER (PARTITION BY run_id ORDER BY k DESC) AS back FROM g) GROUP BY run_id""",
+    "c10_contraction": _curves_sql() + "SELECT run_id, CAST(k AS INTEGER) AS k, round(gap, 6) AS gap, round(gap / lag(gap) OVER (PARTITION BY run_id ORDER BY k), 4) AS contraction FROM g",
+}

@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -59,6 +64,30 @@ def read_shards(spark: SparkSession, path: str, workers: list[int] | None = None
     return pts if workers is None else pts.where(F.col("worker_id").isin(*workers))
 
 
+def work_dir(spark: SparkSession, name: str) -> str:
+    """A new path in the folder all executors share: spark.checkpoint.dir, else the warehouse; a temporary folder in local mode only."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder:
+        folder = tempfile.mkdtemp(prefix="fewbit-") if spark.sparkContext.master.startswith("local") else spark.conf.get("spark.sql.warehouse.dir")
+    return f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+@contextmanager
+def sharded(pts: DataFrame, files_per_worker: int = 1) -> Iterator[DataFrame]:
+    """pts from a sharded store of its own, which is removed at the end."""
+    path = work_dir(pts.sparkSession, "shards")
+    write_shards(pts, path, files_per_worker)
+    try:
+        yield read_shards(pts.sparkSession, path)
+    finally:
+        remove(pts.sparkSession, path)
+
+
 def write_runs(df: DataFrame, path: str) -> None:
     """Traces, ledgers or models by run: writing a run again replaces that run and no other."""
     df.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("run_id").parquet(path)

@@ -1,14 +1,17 @@
+import warnings
+from collections import Counter
 from dataclasses import replace
 
 import numpy as np
 import pytest
 
 from fewbit.operators import metrics, objective, tasks
+from fewbit.plans import engines
 from fewbit.plans.config import Config, Stop
 from fewbit.plans.driver import Run, fit_many, reference_optimum, snapshot
 from fewbit.plans.engines import LocalEngine
 from fewbit.plans.methods import METHODS
-from fewbit.sources import read_samples, read_shards, samples_schema, write_samples, write_shards
+from fewbit.sources import read_samples, read_shards, samples_schema, sharded, write_samples, write_shards
 
 
 @pytest.fixture(scope="module")
@@ -39,6 +42,59 @@ def test_engines_agree(pts, local):
             assert a[:5] == b[:5] and a[5] == pytest.approx(b[5], abs=1e-12) and a[7:] == b[7:]
 
 
+def test_held_samples_in_one_task(pts, local, monkeypatch):
+    runs = [Run(m, Config(rounds=3, steps=3, seed=3)) for m in METHODS]
+    want = fit_many(pts, runs, 9, local)
+    for made in (fit_many(pts, runs, 9, "held"), fit_many(pts, runs, 9, "measured"), fit_many(pts, runs, 9, "held", on_epoch=lambda k, s: None)):
+        assert made.engine == "held"
+        for a, b in zip(made.trace_rows(), want.trace_rows(), strict=True):
+            assert a[:5] == b[:5] and a[5] == pytest.approx(b[5], abs=1e-12) and a[7:] == b[7:]
+    monkeypatch.setattr(engines, "TASK_LIMIT", 1000)
+    for engine in ("held", "epoch"):
+        with pytest.raises(ValueError, match="beyond"):
+            fit_many(pts, runs[:9], 9, engine)
+    assert fit_many(pts, [Run("gd", Config(rounds=1))], 9, "measured").engine == "rounds"
+
+
+def test_inner_steps_read_one_folder_of_the_store(pts):
+    with sharded(pts) as shards:
+        at = engines.RoundsEngine(shards, 9)
+        plan = at.shard(4)._jdf.queryExecution().toString()
+        assert "worker_id" in plan.split("PartitionFilters: [")[1].split("]")[0]
+        read = at.shard(4)
+        read.collect()
+        scans = read._jdf.queryExecution().executedPlan().collectLeaves()
+        assert scans.apply(0).metrics().get("numFiles").get().value() == 1 < len(shards.inputFiles())
+
+
+def test_messages_add_up_to_the_wire(pts, local):
+    out = fit_many(pts, [Run(m, Config(rounds=3, steps=3, seed=3)) for m in METHODS], 9, local, messages=True)
+    sent = Counter()
+    for s in out.states:
+        for m in s.messages:
+            sent[m[0], m[1]] += m[6] * m[10]
+    assert {(r[0], r[4]): r[11] for r in out.trace_rows()} == {(r[0], r[4]): sent[r[0], r[4]] for r in out.trace_rows()}
+    plus = next(s for s in out.states if s.run.method == "qavrm_adaptive_plus")
+    assert any(m[4] == "anchorgrad" and not m[10] for m in plus.messages) and plus.trace[0][11] == plus.trace[0][10]
+    assert not fit_many(pts, [Run("q_gd", Config(rounds=2))], 9, local).states[0].messages
+
+
+def test_a_step_beyond_the_bounds_warns(pts, local):
+    with pytest.warns(UserWarning, match="up to which the bounds hold"):
+        fit_many(pts, [Run("avr", Config(rounds=1, step=5.0))], 9, local)
+    with warnings.catch_warnings():
+        warnings.simplefilter("error")
+        fit_many(pts, [Run("avr", Config(rounds=1, step=0.1))], 9, local)
+
+
+def test_least_squares_has_its_closed_form(pts):
+    exact = objective.least_squares_optimum(pts, 9, 0.1)
+    found, loss, norm = reference_optimum(pts, 9, engine="held", objective="squares")
+    assert norm < 1e-9 and np.allclose(exact, found, atol=1e-8)
+    out = fit_many(pts, [Run("avr_memory", Config(rounds=60, step=0.03, steps=20, seed=3, objective="squares"))], 9, "held")
+    assert out.states[0].kept.loss - loss < 1e-3
+
+
 def test_exact_bits_make_each_method_its_parent(pts, local):
     base = Config(rounds=4, steps=4, model_bits=64, grad_bits=64)
     for m, spec in METHODS.items():
