@@ -58,12 +58,27 @@ def _mark(edges: DataFrame) -> tuple[int, int]:
     return int(row[0]), int(row[1])
 
 
+#: Nodes with more edges than 1 in HUBS of all are joined by broadcast, so there are 2 * HUBS of them at most; none with fewer edges than LEAST is.
+HUBS, LEAST = 100_000, 256
+
+
+def _beside_least(edges: DataFrame, count: int) -> DataFrame:
+    """edges (u, v) with m, the least v of their u. The edges of a hub stay in the tasks they are in; the others meet by u."""
+    low = edges.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("c"))
+    limit = max(LEAST, 2 * count // HUBS)
+    hubs = F.broadcast(low.where(F.col("c") > limit).select("u", F.col("m").alias("hub")))
+    known = edges.join(hubs, "u", "left")
+    rest = known.where("hub IS NULL").select("u", "v").join(low.where(F.col("c") <= limit).select("u", "m"), "u")
+    return known.where("hub IS NOT NULL").select("u", "v", F.col("hub").alias("m")).unionByName(rest)
+
+
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node long, component long) of every linked node; component is its smallest reachable node.
 
-    links: two long columns in any order and number; loops and repeats are harmless, nulls are skipped.
-    Each round does a large-star and a small-star step, so the number of rounds grows with the logarithm of the
-    longest chain. A round's edges are written to the shared folder, and no task or driver holds a component.
+    links: two long columns in any order and number; loops and repeats are harmless, nulls are skipped; no links give an
+    empty table. Each round does a large-star and a small-star step, so the number of rounds grows with the logarithm of
+    the longest chain. A round's edges are written to the shared folder, and no task or driver holds a component; the
+    result is the last round's table there.
     """
     edges = links.select(F.col(a).cast("long").alias("u"), F.col(b).cast("long").alias("v")).where("u <> v")
     kept = Stored(edges.mapInArrow(_contract, "u long, v long").distinct())
@@ -71,16 +86,15 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     while mark[0]:
         e = kept.df
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
-        large = large.distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(
+        low = _beside_least(both, 2 * mark[0]).select("u", "v", F.least("u", "m").alias("m"))
+        large = Stored(low.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct())
+        small = _beside_least(large.df, mark[0]).select(
             F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")
         )
         after = Stored(small.select("e.u", "e.v").where("u <> v").distinct())
         now = _mark(after.df)
         kept.drop()
+        large.drop()
         kept = after
         if now == mark:
             break

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,24 +27,50 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 class Stored:
-    """A DataFrame written as Parquet in the shared folder; its lineage is cut there and it outlives any executor."""
+    """A DataFrame written as Parquet in the shared folder; its lineage is cut there and it outlives any executor.
+
+    It goes with `drop`, with the scope it was made in (`settled`), or when the driver ends.
+    """
 
     def __init__(self, df: DataFrame, codec: str = "zstd"):
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/stored-{uuid.uuid4().hex}"
         df.write.option("compression", codec).parquet(self.path)
         self.df = self.spark.read.schema(df.schema).parquet(self.path)
+        at, files = self._place()
+        files.deleteOnExit(at)
+        if _SCOPES:
+            _SCOPES[-1].append(self)
+
+    def _place(self):
+        at = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.path)
+        return at, at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
 
     def drop(self) -> None:
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        at, files = self._place()
+        files.delete(at, True)
+
+
+_SCOPES: list[list[Stored]] = []
 
 
 def stored(df: DataFrame) -> DataFrame:
     return Stored(df).df
 
 
+def settled(make: Callable[[], DataFrame]) -> Stored:
+    """The table of what make gives; the tables that make kept on the way are dropped once it is written."""
+    _SCOPES.append([])
+    try:
+        out = Stored(make())
+    finally:
+        made = _SCOPES.pop()
+    for other in made:
+        if other is not out:
+            other.drop()
+    return out
+
+
 def sifted(rows: DataFrame, ids: DataFrame, key: str, bits: int = 23) -> DataFrame:
     """rows with `__maybe boolean`: false where key is certainly not among ids (a one-column table).
 

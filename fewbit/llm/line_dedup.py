@@ -16,11 +16,11 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from fewbit.llm._shingles import U, mix, text_stretches
-from fewbit.llm._store import Stored, table
+from fewbit.llm._store import Stored, sifted, table
 from fewbit.llm._worker import fresh, release
-from fewbit.llm.pii import let
 
 MIN_WORDS = 50
 _BASE = 0xD6E8FEB86659FD93
@@ -33,8 +33,11 @@ def line_windows(hashes: np.ndarray, words: np.ndarray, min_words: int) -> tuple
     line = np.arange(n)
     ahead = np.searchsorted(cum, cum[:-1] + min_words, "left") - 1
     back = np.searchsorted(cum, cum[1:] - min_words, "right") - 1
-    lo = np.concatenate([line[ahead < n], back[back >= 0]])
-    hi = np.concatenate([ahead[ahead < n], line[back >= 0]])
+    # windows begin and end with words: lines without any between them are in it, so that no line is in many windows
+    told = words > 0
+    front, rear = told & (ahead < n), told & (back >= 0)
+    lo = np.concatenate([line[front], back[rear]])
+    hi = np.concatenate([ahead[front], line[rear]])
     if not len(lo):
         return (np.zeros(0, np.int64),) * 4
     both = np.unique(lo * n + hi)
@@ -109,25 +112,67 @@ def repeated_runs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     return grown.groupBy("doc").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("runs")))).alias("runs"))
 
 
+def _merged(runs: list[dict]) -> list[tuple[int, int]]:
+    """Disjoint runs in order, of runs sorted by their first lines."""
+    out: list[tuple[int, int]] = []
+    for r in runs:
+        if out and r["lo"] <= out[-1][1] + 1:
+            out[-1] = out[-1][0], max(out[-1][1], r["hi"])
+        else:
+            out.append((r["lo"], r["hi"]))
+    return out
+
+
+def _cut(names: list[str]):
+    """Rows with their text cut by their runs, the last column, which n_removed and removed replace; null runs cut nothing."""
+    at = names.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        fresh()
+        for batch in batches:
+            text, gone, said = [], [], []
+            for i, runs in enumerate(batch.column(len(names)).to_pylist()):
+                own = batch.column(at)[i].as_py()
+                if own is None or not runs:
+                    text.append(own)
+                    gone.append(0)
+                    said.append("")
+                    continue
+                lines, merged, kept, last = own.split("\n"), _merged(runs), [], 0
+                for lo, hi in merged:
+                    kept += lines[last:lo]
+                    last = hi + 1
+                text.append("\n".join(kept + lines[last:]))
+                gone.append(sum(hi - lo + 1 for lo, hi in merged))
+                said.append(",".join(f"{lo}-{hi}" for lo, hi in merged))
+            columns = [*batch.columns[:-1], pa.array(gone, pa.int64()), pa.array(said, pa.string())]
+            columns[at] = pa.array(text, pa.string())
+            yield pa.RecordBatch.from_arrays(columns, [*names, "n_removed", "removed"])
+            del text, columns
+            release()
+
+    return run
+
+
 def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """docs with the later copies of repeated runs cut from the text, and columns n_lines, n_removed, removed.
 
     A line goes if it lies in a run of consecutive lines, with min_words words together at least, that equals an earlier
     run (of a smaller doc_id, or further up in the text); every line's first copy stays. Lines are parted by "\\n" and
-    compared as they are. `removed` lists the deleted runs as lo-hi. Null texts stay null and rows without doc_id stay as
-    they are; repeated doc_ids are one source but each row is cut. Clashing columns of the three names are replaced.
+    compared as they are. `removed` lists the deleted stretches as lo-hi. Null texts stay null and rows without doc_id stay
+    as they are; repeated doc_ids are one source but each row is cut. Clashing columns of the three names are replaced.
+    Texts without anything to delete are not shuffled.
     """
-    base = docs.drop(*[c for c in ("n_lines", "n_removed", "removed", "__runs", "doc") if c in docs.columns])
-    runs = repeated_runs(docs, min_words).withColumnRenamed("runs", "__runs")
-    out = base.join(runs, F.col("doc_id") == F.col("doc"), "left").drop("doc")
-    lines = F.split("text", "\n", -1)
-    kept = let("l", "split(text, '\\n', -1)", "array_join(filter(l, (x, i) -> NOT exists(__runs, r -> i BETWEEN r.lo AND r.hi)), '\\n')")
-    gone = let("l", "split(text, '\\n', -1)", "size(filter(l, (x, i) -> exists(__runs, r -> i BETWEEN r.lo AND r.hi)))")
-    cut = out.withColumn("n_lines", F.size(lines).cast("long")).withColumn(
-        "n_removed", F.expr(f"CASE WHEN __runs IS NULL THEN 0L ELSE bigint({gone}) END")
-    )
-    cut = cut.withColumn("removed", F.expr("coalesce(array_join(transform(__runs, r -> concat(r.lo, '-', r.hi)), ','), '')"))
-    return cut.withColumn("text", F.expr(f"CASE WHEN __runs IS NULL THEN text ELSE {kept} END")).drop("__runs")
+    base = docs.drop("n_lines", "n_removed", "removed")
+    base = base.withColumn("n_lines", F.size(F.split("text", "\n", -1)).cast("long"))
+    runs = Stored(repeated_runs(docs, min_words)).df.withColumnRenamed("doc", "__doc").withColumnRenamed("runs", "__runs")
+    flagged = sifted(base, runs.select("__doc"), "doc_id")
+    whole = [F.lit(0).cast("long").alias("n_removed"), F.lit("").alias("removed")]
+    names, quoted = base.columns, [F.col(f"`{c}`") for c in base.columns]
+    clean = flagged.where("NOT __maybe").select(*quoted, *whole)
+    met = flagged.where("__maybe").join(runs, F.col("doc_id") == F.col("__doc"), "left").select(*quoted, "__runs")
+    schema = T.StructType([*base.schema.fields, T.StructField("n_removed", T.LongType()), T.StructField("removed", T.StringType())])
+    return clean.unionByName(met.mapInArrow(_cut(names), schema))
 
 
 def without_repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:

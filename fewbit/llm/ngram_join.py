@@ -128,7 +128,11 @@ def band_keys(shingles: np.ndarray, band: int, plan: Allocation) -> np.ndarray:
 
 
 def _key_rows(words: int, starts: list[int], plans: list[Allocation]):
-    """Rows (key, doc, 0) for every key of every document, and one row (hash of the whole set, doc, size + 1)."""
+    """Rows (key, doc, 0) for the keys of documents, and one row (hash of the whole set, doc, size + 1) for each.
+
+    Documents of one task that share a key are tied there, as rows (first, doc, -1), and only the first keeps the key; a
+    key that very many documents have is so thinned out before anything is shuffled.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fresh()
@@ -161,11 +165,24 @@ def _key_rows(words: int, starts: list[int], plans: list[Allocation]):
 
 
 def _rows(key, doc, n) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.concatenate(key).view(np.int64)), pa.array(np.concatenate(doc)), pa.array(np.concatenate(n))], ["key", "doc", "n"])
+    key, doc, n = np.concatenate(key).view(np.int64), np.concatenate(doc), np.concatenate(n)
+    bare = np.flatnonzero(n == 0)
+    order = bare[np.lexsort((doc[bare], key[bare]))]
+    again = np.flatnonzero(key[order[1:]] == key[order[:-1]]) + 1
+    if len(again):
+        new = np.ones(len(order), bool)
+        new[again] = False
+        first = doc[order[np.maximum.accumulate(np.where(new, np.arange(len(order)), 0))[again]]]
+        tied = first != doc[order[again]]
+        ties = np.unique(np.stack([first[tied], doc[order[again]][tied]]), axis=1)
+        stay = np.ones(len(key), bool)
+        stay[order[again]] = False
+        key, doc, n = np.concatenate([key[stay], ties[0]]), np.concatenate([doc[stay], ties[1]]), np.concatenate([n[stay], np.full(ties.shape[1], -1)])
+    return pa.RecordBatch.from_arrays([pa.array(key), pa.array(doc), pa.array(n)], ["key", "doc", "n"])
 
 
 def _tie(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Of rows sorted by key and doc: (doc, first doc of its key, null, null) for the others of a key; set rows as they are."""
+    """Of rows sorted by key and doc: (doc, first doc of its key, null, null) for the others of a key; ties and set rows as they are."""
     last_key, last_doc = None, None
     for batch in batches:
         key, doc, n = (c.to_numpy(zero_copy_only=False) for c in batch.columns)
@@ -173,7 +190,12 @@ def _tie(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if whole.any():
             none = pa.nulls(int(whole.sum()), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(doc[whole]), none, pa.array(n[whole] - 1), pa.array(key[whole])], ["doc", "first", "n", "sig"])
-        key, doc = key[~whole], doc[~whole]
+        ready = n < 0
+        if ready.any():
+            none = pa.nulls(int(ready.sum()), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(doc[ready]), pa.array(key[ready]), none, none], ["doc", "first", "n", "sig"])
+        bare = n == 0
+        key, doc = key[bare], doc[bare]
         if not len(key):
             continue
         new = np.concatenate([[last_key is None or key[0] != last_key], key[1:] != key[:-1]])

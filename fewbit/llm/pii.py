@@ -18,7 +18,10 @@ NEAR = 40
 
 @dataclass(frozen=True)
 class Kind:
-    """pattern proposes; `valid` is SQL over the match `m`; `score` changes by `boost` where a word of `context` is near."""
+    """pattern proposes; `valid` is SQL over the match `m`; `score` changes by `boost` where a whole word of `context` is near.
+
+    Kinds that aren't base need ACCEPT: those that begin below it are taken for what they are by their surroundings alone.
+    """
 
     name: str
     pattern: str
@@ -45,11 +48,14 @@ _LUHN = let(
 _OCTET = "(?:0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5]))"
 _MOD97 = let(
     "r",
-    "concat(substring(m, 5), substring(m, 1, 4))",
+    "concat(substring(replace(m, ' '), 5), substring(m, 1, 4))",
     "aggregate(split(array_join(transform(split(r, ''), c -> CASE WHEN c >= 'A' THEN string(ascii(c) - 55) ELSE c END), ''), ''), "
     "0, (s, x) -> (s * 10 + int(x)) % 97) = 1",
 )
 
+# letters and digits, and not few of them only
+_MIXED = "m RLIKE '[0-9]' AND m RLIKE '[A-Za-z]' AND size(array_distinct(split(m, ''))) >= 8"
+
 # The base patterns may only begin where a run of their first class begins or where the last match ended: a start inside
 # such a run can't succeed where the run's own start has failed. With possessive runs this finds the same leftmost spans
 # in linear time, and no repeated group recurses on very long runs.
@@ -57,16 +63,42 @@ _EMAIL = r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-
 _IP = r"(?:(?<![0-9])|\G)[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++"
 _CARD = r"[0-9](?:[\x20-]?[0-9])++"
 _PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
-_IBAN = r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}(?![A-Za-z0-9])"
+
+#: The length of an IBAN by country, by the public registry.
+IBAN_LENGTHS = (
+    "AD24 AE23 AL28 AT20 AZ28 BA20 BE16 BG22 BH22 BR29 BY28 CH21 CR22 CY28 CZ24 DE22 DK18 DO28 EE20 EG29 ES24 FI18 FO18 FR27 GB22 GE22 GI23 GL18 GR27 GT28 "
+    "HR21 HU28 IE22 IL23 IS26 IT27 JO30 KW30 KZ20 LB28 LI21 LT20 LU20 LV21 MC27 MD24 ME22 MK19 MR27 MT31 MU30 NL18 NO15 PK24 PL28 PS29 PT25 QA29 RO24 RS22 "
+    "SA24 SC31 SE24 SI19 SK24 SM27 TN24 TR26 UA29 VA22 VG24 XK20"
+)
+
+
+def iban_pattern() -> str:
+    """IBANs as written, with a space after every four characters or without; each country's own length."""
+    by_length: dict[int, list[str]] = {}
+    for item in IBAN_LENGTHS.split():
+        by_length.setdefault(int(item[2:]), []).append(item[:2])
+    forms = []
+    for length, countries in sorted(by_length.items()):
+        fours, rest = divmod(length - 4, 4)
+        tail = rf"\x20?[A-Z0-9]{{{rest}}}" if rest else ""
+        forms.append(rf"(?:{'|'.join(countries)})[0-9]{{2}}(?:\x20?[A-Z0-9]{{4}}){{{fours}}}{tail}")
+    return rf"(?<![A-Za-z0-9])(?:{'|'.join(forms)})(?![A-Za-z0-9])"
+
+
+# keys that say what they are by their first letters, and long runs that only their surroundings can call a secret
+_KEY = r"(?<![A-Za-z0-9])(?:AKIA[A-Z0-9]{16}|gh[oprsu]_[A-Za-z0-9]{36}|sk-[A-Za-z0-9_-]{20,}+|xox[abps]-[A-Za-z0-9-]{10,}+|-----BEGIN (?:[A-Z]+ )?PRIVATE KEY-----)"
+_SECRET = r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{16,}+=*+"
 _SOCIAL = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
 
 KINDS = (
-    Kind("email", _EMAIL, "instr(t, '@') > 0", score=0.9, boost=0.1, context="mail|contact|write"),
+    Kind("email", _EMAIL, "instr(t, '@') > 0", score=0.9, boost=0.1, context="e-?mails?|mail|contact|write"),
     Kind("ip", _IP, "t RLIKE '[0-9][.][0-9]'", f"m RLIKE '^{_OCTET}([.]{_OCTET}){{3}}$'", context="ip|host|server|address"),
     Kind("card", _CARD, "t RLIKE '[0-9]'", _LUHN, score=0.8, boost=0.2, context="card|visa|credit|pay"),
     Kind("phone", _PHONE, "instr(t, '+') > 0", f"length({_DIGITS}) BETWEEN 10 AND 15", context="phone|call|tel|fax"),
-    Kind("iban", _IBAN, "t RLIKE '[A-Z][0-9]{2}'", _MOD97, score=0.8, boost=0.2, context="iban|bank|account", base=False),
+    Kind("iban", iban_pattern(), "t RLIKE '[A-Z][0-9]{2}'", _MOD97, score=0.8, boost=0.2, context="iban|bank|account", base=False),
     Kind("social", _SOCIAL, "t RLIKE '[0-9]-[0-9]'", score=0.3, context="ssn|social|security", base=False),
+    Kind("key", _KEY, "t RLIKE '[a-zA-Z]{2}[A-Z_-]'", score=0.9, boost=0.1, context="key|token|secret", base=False),
+    Kind("secret", _SECRET, "t RLIKE '[A-Za-z0-9+/_-]{16}'", _MIXED, score=0.2, boost=0.5, context="secrets?|tokens?|passwords?|passwd|pwd|credentials?|(?:api|access|private)?[_-]?keys?", base=False),
 )
 ACCEPT = 0.5
 
@@ -85,7 +117,7 @@ def _spans(kind: Kind, rank: int) -> str:
     score = f"{kind.score}D"
     if kind.context:
         # the words just before and after, within the neighbouring stretches between matches
-        words = _quoted(f"(?i)(?:{kind.context})")
+        words = _quoted(f"(?i)(?<![A-Za-z])(?:{kind.context})(?![A-Za-z])")
         near = f"(right(seg[i], {NEAR}) RLIKE {words} OR left(seg[i + 1], {NEAR}) RLIKE {words})"
         score = f"CASE WHEN {near} THEN {kind.score}D + {kind.boost}D ELSE {kind.score}D END"
     start = f"base[int(i div {CHUNK})] + aggregate(slice(len, int(i - i % {CHUNK}) + 1, int(i % {CHUNK})), 0, (s, x) -> s + x) + length(seg[i])"
@@ -118,8 +150,8 @@ def spans_sql(text: str) -> str:
 def find_pii(docs: DataFrame, text_col: str = "text", spans_col: str = "pii_spans") -> DataFrame:
     """docs with one array column of (start, rank, end, kind, score) structs; a clashing column of that name is replaced.
 
-    Base kinds (email, ip, card, phone) stay whatever their score; the added kinds (iban by mod-97, social by context)
-    need ACCEPT. Kinds are searched apart, so spans of two kinds may overlap. Null and empty texts have no spans.
+    Base kinds (email, ip, card, phone) stay whatever their score; the added kinds (iban by mod-97, social and secret by
+    context, key by its first letters) need ACCEPT. Kinds are searched apart, so spans of two kinds may overlap. Null and empty texts have no spans.
     """
     return docs.withColumn(spans_col, F.expr(spans_sql(f"coalesce(`{text_col}`, '')")))
 
@@ -157,6 +189,7 @@ def op10_pii(spark, sf_dir):
     return found.select(
         "doc_id",
         *[F.expr(f"bigint(size(filter(pii_spans, s -> s.kind = '{k.name}')))").alias(f"n_{k.name}") for k in KINDS if k.base],
+        F.size("pii_spans").cast("long").alias("n_spans"),
         F.expr(f"sha2({base}, 256)").alias("base_sha256"),
         F.expr(joined.format(a="pii_spans")).alias("spans"),
         F.expr("array_join(transform(pii_spans, s -> string(round(s.score, 2))), ',')").alias("scores"),

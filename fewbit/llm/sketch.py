@@ -1,8 +1,9 @@
 """Document fingerprints by a threshold-scaled sketch: every shingle hash below a fixed share of the hash range is kept.
 
 Sketches of any two documents, however unequal, hold the same share of their shingles, so unions, intersections and
-containment follow from the sketches alone, and the sketch of a union is the union of sketches. The smallest hash is
-always kept as well, so no text with words has an empty sketch. Everything is DataFrame and SQL functions.
+containment follow from the sketches alone. A text with fewer than LEAST hashes below the threshold keeps its LEAST
+smallest ones (all, if it has no more), so short texts have sketches too. Sketches stay mergeable: the sketch of a union
+is the union of sketches cut by the same rule. Everything is DataFrame and SQL functions.
 """
 
 from __future__ import annotations
@@ -17,9 +18,17 @@ from fewbit.llm.pii import let
 WORDS = 5
 #: One hash in SCALE is kept.
 SCALE = 8
+#: Hashes that a sketch holds at least, if the text has as many.
+LEAST = 16
+#: Hashes are of 31 bits.
+TOP = 2**31
 
 
-def sketch_sql(text: str, words: int = WORDS, scale: int = SCALE) -> str:
+def threshold(scale: int = SCALE) -> int:
+    return TOP // scale
+
+
+def sketch_sql(text: str, words: int = WORDS, scale: int = SCALE, least: int = LEAST) -> str:
     """SQL for the sorted int array of a text expression; empty for texts without words.
 
     Words are runs of non-space characters after lower-casing; a text with fewer words than a shingle is one shingle.
@@ -35,7 +44,11 @@ def sketch_sql(text: str, words: int = WORDS, scale: int = SCALE) -> str:
         + let(
             "h",
             f"CASE WHEN size(w) < {words} THEN array(int(xxhash64(array_join(w, ' ')) & 2147483647L)) ELSE {hashes} END",
-            f"array_sort(array_distinct(filter(concat(array(array_min(h)), h), (x, i) -> i = 0 OR x < {2**31 // scale})))",
+            let(
+                "below",
+                f"array_sort(array_distinct(filter(h, x -> x < {threshold(scale)})))",
+                f"CASE WHEN size(below) >= {least} THEN below ELSE slice(array_sort(array_distinct(h)), 1, {least}) END",
+            ),
         )
         + " END",
     )
@@ -46,15 +59,33 @@ def as_text(sketch: Column) -> Column:
     return F.array_join(F.transform(sketch, lambda x: F.lpad(F.lower(F.hex(x)), 8, "0")), "")
 
 
-def likeness(a: Column, b: Column) -> Column:
-    """Estimated Jaccard similarity of two sketches; two empty ones are alike."""
-    common = F.size(F.array_intersect(a, b))
-    return F.when((F.size(a) == 0) & (F.size(b) == 0), F.lit(1.0)).otherwise(common / (F.size(a) + F.size(b) - common)).cast("double")
+def _told(a: str, scale: int, least: int) -> str:
+    """SQL for the hash up to which a sketch knows all of its text's hashes."""
+    return f"(CASE WHEN size({a}) < {least} THEN {TOP} ELSE greatest(element_at({a}, -1), {threshold(scale) - 1}) END)"
+
+
+def _compared(a: str, b: str, body: str, scale: int, least: int) -> Column:
+    """body over p.a and p.b: the hashes of both sketches up to the greatest hash up to which both know all of theirs."""
+    top = f"least({_told('s.a', scale, least)}, {_told('s.b', scale, least)})"
+    kept = "named_struct('a', filter(s.a, x -> x <= top), 'b', filter(s.b, x -> x <= top))"
+    return F.expr(let("s", f"named_struct('a', {a}, 'b', {b})", let("top", top, let("p", kept, body))))
 
 
-def containment(a: Column, b: Column) -> Column:
+def likeness(a: str, b: str, scale: int = SCALE, least: int = LEAST) -> Column:
+    """Estimated Jaccard similarity of the texts of two sketch columns; exact where both hold all hashes. Two empty ones are alike."""
+    body = let("n", "size(array_intersect(p.a, p.b))", "CASE WHEN size(p.a) + size(p.b) = 0 THEN double(size(s.a) = size(s.b)) ELSE n / double(size(p.a) + size(p.b) - n) END")
+    return _compared(a, b, body, scale, least)
+
+
+def containment(a: str, b: str, scale: int = SCALE, least: int = LEAST) -> Column:
     """Estimated share of a's shingles that b has; an empty a is contained in all."""
-    return F.when(F.size(a) == 0, F.lit(1.0)).otherwise(F.size(F.array_intersect(a, b)) / F.size(a)).cast("double")
+    return _compared(a, b, "CASE WHEN size(p.a) = 0 THEN double(size(s.a) = 0) ELSE size(array_intersect(p.a, p.b)) / double(size(p.a)) END", scale, least)
+
+
+def merge(sketches: Column, scale: int = SCALE, least: int = LEAST) -> Column:
+    """Aggregate: the sketch of the union of documents, the very one that all their shingles together would have."""
+    union = F.array_sort(F.array_distinct(F.flatten(F.collect_list(sketches))))
+    return F.filter(union, lambda x, i: (x < threshold(scale)) | (i < least))
 
 
 def merge(sketches: Column) -> Column:
@@ -121,14 +152,13 @@ def edited_pairs(docs: DataFrame) -> DataFrame:
 
 def op9_scaled_sketch(spark, sf_dir):
     pairs = edited_pairs(table(spark, sf_dir, "documents"))
-    fp, ed, nx = F.col("fingerprint"), F.col("edited_fingerprint"), F.col("next_fingerprint")
     return pairs.select(
         "doc_id",
         "n_chars",
         F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
-        as_text(fp).alias("fingerprint"),
-        as_text(ed).alias("edited_fingerprint"),
-        likeness(fp, ed).alias("near_edited"),
-        likeness(fp, nx).alias("near_next"),
-        containment(fp, ed).alias("contained_in_edited"),
+        as_text(F.col("fingerprint")).alias("fingerprint"),
+        as_text(F.col("edited_fingerprint")).alias("edited_fingerprint"),
+        likeness("fingerprint", "edited_fingerprint").alias("near_edited"),
+        likeness("fingerprint", "next_fingerprint").alias("near_next"),
+        containment("fingerprint", "edited_fingerprint").alias("contained_in_edited"),
     )
