@@ -4,7 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,6 +27,22 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.conf.get("spark.sql.warehouse.dir").rstrip("/")
 
 
+#: Bytes that a batch of rows on its way to a Python worker holds, about; a longer row is a batch by itself.
+BATCH = "4m"
+
+
+@contextmanager
+def small_batches(spark: SparkSession) -> Iterator[None]:
+    """While a job is run: batches bounded by bytes, so that neither side holds thousands of long texts at a time."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, BATCH)
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 class Stored:
     """A DataFrame written as Parquet in the shared folder; its lineage is cut there and it outlives any executor.
 
@@ -35,7 +52,8 @@ class Stored:
     def __init__(self, df: DataFrame, codec: str = "zstd"):
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark)}/stored-{uuid.uuid4().hex}"
-        df.write.option("compression", codec).parquet(self.path)
+        with small_batches(self.spark):
+            df.write.option("compression", codec).parquet(self.path)
         self.df = self.spark.read.schema(df.schema).parquet(self.path)
         at, files = self._place()
         files.deleteOnExit(at)

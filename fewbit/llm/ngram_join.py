@@ -359,7 +359,8 @@ def ngram_groups(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bl
     small = math.floor(math.log(SMALL) / ratio)
     rough = Stored(_block_links(own, sized.where(F.col("span") > small), words, percent, block, 4)).df
     some = rough.select(F.col("a").alias("doc")).union(rough.select("b")).union(sized.where(F.col("span") <= small + 1).select("doc")).distinct()
-    links = _block_links(own, sized.join(some, "doc", "left_semi"), words, percent, block, 1)
+    # stored, so that no task runs the workers of two operators at a time
+    links = Stored(_block_links(own, sized.join(some, "doc", "left_semi"), words, percent, block, 1)).df
     joined = components(same.unionByName(links), "a", "b")
     return base.join(joined, F.col("doc") == F.col("node"), "left").select(
         F.col("doc").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id")

@@ -164,16 +164,16 @@ class ChunkTokenizer:
 
     def encode(self, texts: list[bytes]) -> Iterator[bytes]:
         """Ids as unsigned 32-bit words."""
-        for lo in range(0, len(texts), 256):
-            parts = [t.split() for t in texts[lo : lo + 256]]
+        for lo in range(0, len(texts), 64):
+            parts = [t.split() for t in texts[lo : lo + 64]]
             if len(self.seen) > self.limit:
                 self.old, self.seen = self.seen, {}
             words = set().union(*parts).difference(self.seen)
             self.seen.update((w, self.old[w]) for w in words & self.old.keys())
             done, rest = self.plain.ids(list(words.difference(self.old)))
             self.seen.update(done)
-            for at in range(0, len(rest), 4_000):
-                some = rest[at : at + 4_000]
+            for at in range(0, len(rest), 1_000):
+                some = rest[at : at + 1_000]
                 found = self.inner.encode_batch_fast([t for _, t in some], add_special_tokens=False)
                 self.seen.update((w, array("I", e.ids).tobytes()) for (w, _), e in zip(some, found, strict=True))
             for p in parts:
@@ -208,7 +208,7 @@ def _cut(tokenizer: str, length: int, end: int, cache: int):
                     start.append(at // 4)
                     ids.append(raw[at : at + 4 * length])
                 held += len(raw)
-                if held > 4 << 20:
+                if held > 1 << 20:
                     yield rows()
                     row += len(ids)
                     doc, piece, start, ids, held = [], [], [], [], 0

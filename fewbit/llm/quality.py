@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from fewbit.llm._shingles import text_stretches
-from fewbit.llm._store import table
+from fewbit.llm._store import stored, table
 from fewbit.llm._worker import fresh, release
 
 PASSAGE_WORDS = 64
@@ -282,5 +282,5 @@ def keep_good(docs: DataFrame, labels: DataFrame, cut: float = CUT) -> DataFrame
 def op6_attention_quality(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     model = fit_quality(docs, table(spark, sf_dir, "labels"))
-    scored = score_quality(docs, model)
+    scored = stored(score_quality(docs, model).select("doc_id", "score"))
     return scored.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= CUT).cast("int").alias("predicted"))
