@@ -115,11 +115,20 @@ def hilbert_shards(docs: DataFrame, shards: int = 40, labels: Sequence[str] = ("
     )
 
 
-def write_shards(docs: DataFrame, placed: DataFrame, path: str) -> None:
-    """Whole documents as one Parquet folder per shard, each file in slot order; footers then prune on every dimension."""
+#: Bytes of text that one file of a shard holds, about.
+FILE = 512 << 20
+
+
+def write_shards(docs: DataFrame, placed: DataFrame, path: str, file_bytes: int = FILE) -> None:
+    """Whole documents as one Parquet folder per shard, its files successive runs of slots; footers then prune on every dimension.
+
+    placed: doc_id, size, shard and slot of each document. A shard larger than a file is dealt to several tasks by ranges.
+    """
     own = placed.select("doc_id", "shard", "slot")
+    whole = placed.agg(F.countDistinct("shard").alias("shards"), F.coalesce(F.sum("size"), F.lit(0)).alias("size")).first()
+    files = max(whole["shards"], 1) + int(whole["size"] // file_bytes)
     full = docs.drop(*[c for c in ("shard", "slot") if c in docs.columns]).join(own, "doc_id")
-    full.repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    full.repartitionByRange(files, "shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
 
 
 def op7_hilbert_sharding(spark, sf_dir):

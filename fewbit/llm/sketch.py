@@ -88,11 +88,6 @@ def merge(sketches: Column, scale: int = SCALE, least: int = LEAST) -> Column:
     return F.filter(union, lambda x, i: (x < threshold(scale)) | (i < least))
 
 
-def merge(sketches: Column) -> Column:
-    """Aggregate: the sketch of the union of documents."""
-    return F.array_sort(F.array_distinct(F.flatten(F.collect_list(sketches))))
-
-
 def fingerprints(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """(id, fingerprint int array), one row per row of docs; null text has the empty sketch."""
     return docs.select(id_col, F.expr(sketch_sql(f"coalesce(`{text_col}`, '')")).alias("fingerprint"))
