@@ -35,6 +35,8 @@ WORDS, PERCENT = 5, 80
 BLOCK = 1_000_000
 #: Shingles of a set too small for comparing by a part.
 SMALL = 200
+#: Sets with more documents than LEAST and than one in MANY of all that share theirs meet them by broadcast.
+MANY, LEAST = 100_000, 256
 #: For the cost estimate: chance that a shingle is shared with some other document of the band; cost of a candidate in keys.
 SHARED, CANDIDATE = 0.02, 1.0
 
@@ -350,7 +352,13 @@ def ngram_groups(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, bl
 
     members = Stored(base.join(family.withColumnRenamed("node", "doc"), "doc").withColumnRenamed("component", "family")).df
     copies = members.groupBy("family", "sig", "n").agg(F.min("doc").alias("doc"), F.count("*").alias("c"))
-    same = members.join(copies.where("c > 1").withColumnRenamed("doc", "first"), ["family", "sig", "n"]).select(F.col("doc").alias("a"), F.col("first").alias("b"))
+    # sets that very many documents share are joined by broadcast: there are MANY of them at most
+    alike = Stored(copies.where("c > 1").withColumnRenamed("doc", "first")).df
+    limit = max(LEAST, (alike.agg(F.sum("c")).first()[0] or 0) // MANY)
+    hot = F.broadcast(alike.where(F.col("c") > limit).select("family", "sig", "n", F.col("first").alias("hot")))
+    known = members.join(hot, ["family", "sig", "n"], "left")
+    rest = known.where("hot IS NULL").drop("hot").join(alike.where(F.col("c") <= limit), ["family", "sig", "n"])
+    same = known.where("hot IS NOT NULL").select(F.col("doc").alias("a"), F.col("hot").alias("b")).unionByName(rest.select(F.col("doc").alias("a"), F.col("first").alias("b")))
     # a quarter of the sets tells unlike documents apart; those that may have a partner are then compared whole
     # partners lie in one span of sizes or in successive ones; the ratio is a little wide for the logarithm's rounding
     ratio = math.log(100 / percent * 1.0001)

@@ -278,3 +278,16 @@ def test_every_stage_on_awkward_rows(spark, awkward):
             else:
                 assert set(i for i, _ in got) <= set(i for i, _ in before)
     assert corpus_pipeline.run(spark, awkward).count() > 0
+
+
+def test_tokenizer_on_texts_it_has_seen():
+    import public_tokenizers
+
+    from fewbit.llm.packing import ChunkTokenizer
+
+    with open(public_tokenizers.path("word_bpe_49k.json"), encoding="utf-8") as file:
+        encoder = ChunkTokenizer(file.read(), cache=40)
+    texts = [(t or "").encode() for t in TEXTS[:9] * 40]
+    for many in (texts, [b"", b" "] * 100, texts[::-1]):
+        want = [encoder.inner.encode(t.decode(), add_special_tokens=False).ids for t in many]
+        assert [np.frombuffer(i, "<u4").tolist() for i in encoder.encode(many)] == want
