@@ -61,17 +61,21 @@ def run_on_store(method: str):
 
 
 def flagship(spark, sf_dir):
-    """The adaptive lattice that rounds both gradients, with memory, on the sharded store: trace of ten rounds."""
+    """The adaptive lattice that rounds both gradients, with memory, on the sharded store: trace of ten rounds.
+
+    The engine is named in the result: samples that one task may hold are held there, others are read shard by shard.
+    """
     pts = tasks.charge(spark, sf_dir).where("split = 'train'").drop("split")
     with sharded(pts) as shards:
-        out = fit_many(shards, [Run("qavrm_adaptive_plus", FLAGSHIP)], D, "rounds").trace(spark)
-    return out.select("method", "p", "k", F.round("loss", 6).alias("loss"), F.round("grad_norm", 6).alias("grad_norm"), "accepted", "closing", "bits_paper", "cum_bits_paper")
+        out = fit_many(shards, [Run("qavrm_adaptive_plus", FLAGSHIP)], D, "measured")
+    t = out.trace(spark).withColumn("engine", F.lit(out.engine))
+    return t.select("method", "engine", "p", "k", F.round("loss", 6).alias("loss"), F.round("grad_norm", 6).alias("grad_norm"), "accepted", "closing", "bits_paper", "cum_bits_paper")
 
 
 def _flagship_sql() -> str:
     c = FLAGSHIP
     bits = bits_paper("qavrm_adaptive_plus", D, N, c.steps, 9 * D, 9 * D)
-    return f"""SELECT 'qavrm_adaptive_plus' AS method, 9::INTEGER AS p, k, loss, grad_norm, accepted, k > {c.rounds} AS closing,
+    return f"""SELECT 'qavrm_adaptive_plus' AS method, 'held' AS engine, 9::INTEGER AS p, k, loss, grad_norm, accepted, k > {c.rounds} AS closing,
 CASE WHEN k > {c.rounds} THEN {64 * D * N} ELSE {bits} END::BIGINT AS bits_paper, (least(k, {c.rounds}) * {bits} + CASE WHEN k > {c.rounds} THEN {64 * D * N} ELSE 0 END)::BIGINT AS cum_bits_paper
 FROM ({method_sql("qavrm_adaptive_plus", c.rounds, c.steps, c.step, 9, SEED)})"""
 
