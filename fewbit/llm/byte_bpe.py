@@ -21,9 +21,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fewbit.llm._store import table
-from fewbit.llm._worker import kept
+from fewbit.llm._worker import kept, release
 
 CACHE = 200_000
+#: Bytes of ids that are given on at a time, about; a longer text is given on by itself.
+STRETCH = 4 << 20
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -112,6 +114,7 @@ class Encoder:
         self.ranks, self.limit = ranks, cache
         self.keys = list(ranks)
         self.ids = list(ranks.values())
+        self.tokens = dict(zip(self.ids, self.keys, strict=True))
         self.whole = PerfectHash(self.keys)
         # the class as in the Unicode table, whatever the regular expression library takes for space
         space = r"\p{White_Space}"
@@ -163,6 +166,37 @@ class Encoder:
         return b"".join(made)
 
 
+def _encoded(batches: Iterator[pa.RecordBatch], encoder: Encoder, id_col: str) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        made, held, lo = [], 0, 0
+        for text in batch.column(1).cast(pa.binary()):
+            made.append(encoder.encode((text.as_py() or b"").decode("utf-8", "replace")))
+            held += len(made[-1])
+            if held > STRETCH:
+                yield _lists(batch.column(0).slice(lo, len(made)), made, id_col)
+                lo, made, held = lo + len(made), [], 0
+        yield _lists(batch.column(0).slice(lo, len(made)), made, id_col)
+        del made, batch
+        release()
+
+
+def _decoded(batches: Iterator[pa.RecordBatch], token: dict[int, bytes], id_col: str) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        decoded = [b"".join(map(token.__getitem__, x.values.to_numpy().tolist())) if x.is_valid else None for x in batch.column(1)]
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(decoded, pa.binary())], [id_col, "ids", "decoded"])
+        del decoded, batch
+        release()
+
+
+def _lists(ids: pa.Array, made: list[bytes], id_col: str) -> pa.RecordBatch:
+    ends = np.cumsum([0, *(len(m) // 4 for m in made)]).astype(np.int32)
+    return pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(ends, pa.array(np.frombuffer(b"".join(made), np.int32)))], [id_col, "ids"])
+
+
+def _encoder(path: str, pattern: str, ranks: dict[bytes, int]) -> Encoder:
+    return kept((path, pattern, len(ranks)), lambda: Encoder(ranks, pattern))
+
+
 def encode_bpe(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATTERN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, ids array<int>), one row per row of docs; null and empty texts have no ids.
 
@@ -173,42 +207,37 @@ def encode_bpe(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATT
     shared = docs.sparkSession.sparkContext.broadcast(read_ranks(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = kept((path, pattern, len(shared.value)), lambda: Encoder(shared.value, pattern))
-        for batch in batches:
-            made, held, lo = [], 0, 0
-            for text in batch.column(1).cast(pa.binary()):
-                made.append(encoder.encode((text.as_py() or b"").decode("utf-8", "replace")))
-                held += len(made[-1])
-                if held > 16 << 20:
-                    yield _lists(batch.column(0).slice(lo, len(made)), made, id_col)
-                    lo, made, held = lo + len(made), [], 0
-            yield _lists(batch.column(0).slice(lo, len(made)), made, id_col)
+        return _encoded(batches, _encoder(path, pattern, shared.value), id_col)
 
     return own.mapInArrow(run, f"`{id_col}` {own.schema[id_col].dataType.simpleString()}, ids array<int>")
 
 
-def _lists(ids: pa.Array, made: list[bytes], id_col: str) -> pa.RecordBatch:
-    ends = np.cumsum([0, *(len(m) // 4 for m in made)]).astype(np.int32)
-    return pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(ends, pa.array(np.frombuffer(b"".join(made), np.int32)))], [id_col, "ids"])
-
-
-def decode_bpe(encoded: DataFrame, path: str, id_col: str = "doc_id", keep_ids: bool = True) -> DataFrame:
-    """encoded's id and ids, with `decoded binary`: the bytes that the ids stand for."""
+def decode_bpe(encoded: DataFrame, path: str, id_col: str = "doc_id") -> DataFrame:
+    """encoded's id and ids, with `decoded binary`: the bytes that the ids stand for; null ids give null."""
     own = encoded.select(id_col, "ids")
     shared = encoded.sparkSession.sparkContext.broadcast(read_ranks(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        token = {i: t for t, i in shared.value.items()}
-        for batch in batches:
-            decoded = [b"".join(map(token.__getitem__, x.values.to_numpy().tolist())) if x.is_valid else None for x in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(decoded, pa.binary())], [id_col, "ids", "decoded"])
+        return _decoded(batches, {i: t for t, i in shared.value.items()}, id_col)
+
+    return own.mapInArrow(run, f"`{id_col}` {own.schema[id_col].dataType.simpleString()}, ids array<int>, decoded binary")
+
+
+def round_trip(docs: DataFrame, path: str, pattern: str = public_tokenizers.PATTERN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """What decode_bpe gives for what encode_bpe gives, by one Python worker a task instead of two; rows as in encode_bpe."""
+    own = docs.select(id_col, text_col)
+    shared = docs.sparkSession.sparkContext.broadcast(read_ranks(path))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = _encoder(path, pattern, shared.value)
+        return _decoded(_encoded(batches, encoder, id_col), encoder.tokens, id_col)
 
     return own.mapInArrow(run, f"`{id_col}` {own.schema[id_col].dataType.simpleString()}, ids array<int>, decoded binary")
 
 
 def op5_two_tier_bpe(spark, sf_dir):
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")
-    both = decode_bpe(encode_bpe(table(spark, sf_dir, "documents"), path), path)
+    both = round_trip(table(spark, sf_dir, "documents"), path)
     return both.select(
         "doc_id",
         F.size("ids").cast("long").alias("n_tokens"),

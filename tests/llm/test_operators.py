@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers as P
 import pytest
 
@@ -203,6 +204,7 @@ def test_bytes(spark, docs, none):
     for r in out:
         text = TEXTS[r.doc_id] or ""
         assert list(r.ids) == plain.encode_ordinary(text) and bytes(r.decoded).decode() == text
+    assert sorted(byte_bpe.round_trip(docs, path).collect()) == sorted(out) and byte_bpe.round_trip(none, path).count() == 0
     encoder = byte_bpe.Encoder(ranks, P.PATTERN, cache=50)
     rng = np.random.default_rng(2)
     bits = ["'s", " ", "  ", "\n", "a", "É", "1", "!", "\t", "don't", " word", "　", "😀", "'", "<|endoftext|>", "\x1c", "é" * 40, "ab" * 30]
@@ -210,6 +212,12 @@ def test_bytes(spark, docs, none):
         s = "".join(bits[i] for i in rng.integers(0, len(bits), rng.integers(0, 9)))
         assert np.frombuffer(encoder.encode(s), "<u4").tolist() == plain.encode_ordinary(s)
     assert {encoder.whole(k) for k in encoder.keys} == set(range(len(encoder.keys)))
+    # a batch whose ids exceed a stretch is given on in several, and no row is lost or cut
+    long = pa.record_batch([pa.array(range(5)), pa.array(["word " * 600_000, None, "", "word " * 600_000, "end"])], ["doc_id", "text"])
+    parts = list(byte_bpe._decoded(byte_bpe._encoded(iter([long]), encoder, "doc_id"), encoder.tokens, "doc_id"))
+    rows = [r for part in parts for r in part.to_pylist()]
+    assert [len(part) for part in parts] == [4, 1] and [r["doc_id"] for r in rows] == list(range(5))
+    assert [r["decoded"].decode() for r in rows] == [t or "" for t in long.column(1).to_pylist()]
     assert byte_bpe.encode_bpe(none, path).count() == 0
 
 
