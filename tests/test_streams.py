@@ -6,6 +6,7 @@ from fewbit import streaming as st
 from fewbit.operators.tasks import sensor_of
 from fewbit.plans.config import Config
 from fewbit.plans.driver import Run, fit_many
+from fewbit.queries import streams
 from fewbit.sources import load
 
 
@@ -50,3 +51,8 @@ def test_streamed_and_batch_sums_agree(spark, sf, tmp_path):
     got = {(r.w.start, r.worker_id): (r.n, round(r.s, 6)) for r in spark.table("fb_test_sums").collect()}
     want = e.selectExpr("date_trunc('day', ts) AS d", "int(user_id % 10) AS w", "value").groupBy("d", "w").agg({"value": "sum", "*": "count"}).collect()
     assert got == {(r.d, r.w): (r["count(1)"], round(r["sum(value)"], 6)) for r in want}
+
+
+def test_results_of_sessions_stay_off_the_driver(spark, sf):
+    """The result lies in files; a table in the driver's memory has none."""
+    assert streams.session_windows(spark, sf).inputFiles()
