@@ -56,3 +56,7 @@ def test_streamed_and_batch_sums_agree(spark, sf, tmp_path):
 def test_results_of_sessions_stay_off_the_driver(spark, sf):
     """The result lies in files; a table in the driver's memory has none."""
     assert streams.session_windows(spark, sf).inputFiles()
+
+
+def test_unique_events_stay_off_the_driver(spark, sf):
+    assert streams.deduplicated(spark, sf).inputFiles()
