@@ -223,3 +223,29 @@ def test_sharded_store_prunes_partitions(spark, sf, tmp_path):
         write_samples(wide, str(tmp_path / fmt), fmt)
         back = read_samples(spark, str(tmp_path / fmt), fmt, samples_schema(9))
         assert back.exceptAll(wide).count() == 0
+
+
+def test_equal_samples_are_held_once(spark, pts, local, monkeypatch):
+    """Copies change neither a mean nor the engine, however little a task may hold beyond the distinct samples."""
+    distinct = engines.merged(pts)
+    many = pts.unionByName(pts).unionByName(pts)
+    monkeypatch.setattr(engines, "TASK_LIMIT", 8 * 9 * distinct.count())
+    runs = [Run(m, Config(rounds=3, steps=3, seed=3)) for m in METHODS]
+    made, want = fit_many(many, runs, 9, "measured"), fit_many(pts, runs, 9, local)
+    assert made.engine == "held" and distinct.count() <= pts.count()
+    for a, b in zip(made.trace_rows(), want.trace_rows(), strict=True):
+        assert a[:5] == b[:5] and a[5] == pytest.approx(b[5], abs=1e-9) and a[7:] == b[7:]
+
+
+def test_sparse_samples_are_held_sparse(spark, sf, monkeypatch):
+    p = tasks.language(spark, sf).where("split = 'train'").persist()
+    runs = [Run(m, Config(rounds=2, steps=3), 3) for m in METHODS]
+    monkeypatch.setattr(engines, "DENSE_ROWS", 7)
+    cells = p.selectExpr("sum(size(idx)) AS n").first()[0]
+    monkeypatch.setattr(engines, "TASK_LIMIT", engines.SPARSE_BYTES * cells)
+    made = fit_many(p, runs, tasks.BUCKETS, "measured")
+    assert made.engine == "held" and engines.SPARSE_BYTES * cells < 8 * tasks.BUCKETS * p.count()
+    want = fit_many(p, runs, tasks.BUCKETS, "rounds")
+    p.unpersist()
+    for a, b in zip(made.trace_rows(), want.trace_rows(), strict=True):
+        assert a[:5] == b[:5] and a[5] == pytest.approx(b[5], abs=1e-9) and a[7:] == b[7:]
