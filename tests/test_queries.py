@@ -39,6 +39,7 @@ def test_same_rows_as_sql(spark, sf, name):
 #: Queries that once made up their data: each reads a given table now.
 READ = [
     "c05_w13_ledger",
+    "c07_w08_compression",
 ]
 
 
