@@ -40,6 +40,7 @@ def test_same_rows_as_sql(spark, sf, name):
 READ = [
     "c05_w13_ledger",
     "c07_w08_compression",
+    "c14_w14_rounding_bias",
 ]
 
 
