@@ -41,6 +41,7 @@ READ = [
     "c05_w13_ledger",
     "c07_w08_compression",
     "c14_w14_rounding_bias",
+    "h01_h08_bounds",
 ]
 
 
