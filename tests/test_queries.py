@@ -42,6 +42,7 @@ READ = [
     "c07_w08_compression",
     "c14_w14_rounding_bias",
     "h01_h08_bounds",
+    "h09_h13_targets",
 ]
 
 
