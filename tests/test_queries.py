@@ -43,6 +43,7 @@ READ = [
     "c14_w14_rounding_bias",
     "h01_h08_bounds",
     "h09_h13_targets",
+    "h11_h12_step_windows",
 ]
 
 
