@@ -44,6 +44,7 @@ READ = [
     "h01_h08_bounds",
     "h09_h13_targets",
     "h11_h12_step_windows",
+    "m11_lattice_points",
 ]
 
 
