@@ -45,6 +45,7 @@ READ = [
     "h09_h13_targets",
     "h11_h12_step_windows",
     "m11_lattice_points",
+    "m14_draws",
 ]
 
 
