@@ -46,6 +46,7 @@ READ = [
     "h11_h12_step_windows",
     "m11_lattice_points",
     "m14_draws",
+    "op_bounds_table_function",
 ]
 
 
