@@ -47,6 +47,7 @@ READ = [
     "m11_lattice_points",
     "m14_draws",
     "op_bounds_table_function",
+    "op_table_function",
 ]
 
 
