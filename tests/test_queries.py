@@ -48,6 +48,7 @@ READ = [
     "m14_draws",
     "op_bounds_table_function",
     "op_table_function",
+    "w01_epoch_by_step",
 ]
 
 
