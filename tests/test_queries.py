@@ -49,6 +49,7 @@ READ = [
     "op_bounds_table_function",
     "op_table_function",
     "w01_epoch_by_step",
+    "w02_epoch_by_bits",
 ]
 
 
