@@ -55,3 +55,12 @@ def test_threads_add_the_same_sums_in_the_same_order(monkeypatch):
         threads = engines._Held(shards, [0, 1, 2], "logistic", pool.map).full(models, one, one)
     for a, b in zip(plain, threads, strict=True):
         assert (a == b).all()
+
+
+@pytest.mark.parametrize("name, make", [("w11_memory", "charge_wide")])
+def test_a_table_is_made_into_samples_once(spark, sf, monkeypatch, name, make):
+    was, calls = getattr(tasks, make), []
+    monkeypatch.setattr(tasks, make, lambda *a, **k: calls.append(a) or was(*a, **k))
+    monkeypatch.setattr(workloads, "ROUNDS", 1)
+    assert workloads.QUERIES[name](spark, sf).count() > 0
+    assert len(calls) == 1
