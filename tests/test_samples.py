@@ -64,3 +64,55 @@ def test_a_table_is_made_into_samples_once(spark, sf, monkeypatch, name, make):
     monkeypatch.setattr(workloads, "ROUNDS", 1)
     assert workloads.QUERIES[name](spark, sf).count() > 0
     assert len(calls) == 1
+
+
+def _shards(d, sizes, seed=1):
+    draw = np.random.default_rng(seed)
+    return [engines.Shard(d, [(draw.integers(0, 2, n), draw.integers(1, 4, n).astype(float), draw.normal(size=(n, d)))]) for n in sizes]
+
+
+def test_forks_give_the_same_sums_and_end(monkeypatch):
+    monkeypatch.setattr(engines, "ALONE", 0)
+    monkeypatch.setattr(engines, "DENSE_ROWS", 16)
+    shards = _shards(3, (500, 1, 200))
+    # equal models are summed up once
+    models, one, lam = np.array([[0.1, 2, -3], [1, 1, 1], [0.1, 2, -3]]), np.ones(3), np.full(3, 0.1)
+    at = engines._Held(shards, [0, 1, 2], "logistic")
+    plain = at.full(models, one, lam)
+    at.fork(3)
+    pids = [pid for _, pid in at.forks.ends]
+    forked = at.full(models, one, lam)
+    at.join()
+    assert all(np.allclose(a, b, rtol=1e-13, atol=1e-15) for a, b in zip(plain, forked, strict=True))
+    for pid in pids:
+        with pytest.raises(ChildProcessError):
+            engines.os.waitpid(pid, engines.os.WNOHANG)
+
+
+@pytest.mark.parametrize("size", [1, 600, 3000])
+def test_logistic_sums_are_those_of_the_plain_formula(size):
+    draw = np.random.default_rng(size)
+    x, models, cls = draw.normal(size=(size, 4)) * 20, draw.normal(size=(3, 4)), draw.integers(0, 3, size)
+    weight, factor, positive = draw.integers(1, 5, size).astype(float), draw.random(size) + 0.1, np.array([0, 2, 2])
+    for w, f in ((None, None), (weight, factor)):
+        v, n = x if f is None else x * f[:, None], np.ones(size) if w is None else w
+        y = np.where(cls == positive[:, None], 1.0, -1.0)
+        m = y * (models @ v.T)
+        loss, pull = (np.logaddexp(0, -m) * n).sum(1), -y * n / (1 + np.exp(m))
+        made = objective.sums_of(x, cls, models, positive, "logistic", w, True, f)
+        assert np.allclose(made[0], pull @ v) and np.allclose(made[1], loss, rtol=1e-12)
+        assert np.allclose(objective.sums_of(x, cls, models, positive, "logistic", w, False, f)[0], pull @ v)
+
+
+def test_the_first_inner_step_takes_no_pass():
+    from fewbit.plans import driver
+    from fewbit.plans.methods import METHODS
+
+    at, asked = engines._Held(_shards(3, (50, 40)), [0, 1], "logistic"), []
+    was = at._sums
+    at._sums = lambda ws, *a, **k: asked.append(len(ws)) or was(ws, *a, **k)
+    runs = [Run(m, Config(workers=2, rounds=2, steps=3)) for m in ("avr_memory", "sgd", "sag")]
+    states = [driver.State(r, METHODS[r.method], np.zeros(3)) for r in runs]
+    driver._epochs(at, states, objective.Geometry(1.0, 1.0, 0.2), 1, 3)
+    # a pass over both workers a round and one at the end, and two of the three steps
+    assert asked == [2, 1, 1, 2, 1, 1, 2]
