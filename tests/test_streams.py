@@ -60,3 +60,14 @@ def test_results_of_sessions_stay_off_the_driver(spark, sf):
 
 def test_unique_events_stay_off_the_driver(spark, sf):
     assert streams.deduplicated(spark, sf).inputFiles()
+
+
+def test_repeats_are_told_by_state_on_disk(spark, sf, monkeypatch):
+    from fewbit.queries import streams
+
+    was, seen, before = streams._each_batch, [], spark.conf.get(streams.PROVIDER, None)
+    monkeypatch.setattr(streams, "_each_batch", lambda s, *a: seen.append(s.conf.get(streams.PROVIDER)) or was(s, *a))
+    made = streams.deduplicated(spark, sf).collect()
+    want = spark.read.parquet(f"{sf}/events.parquet").selectExpr("event_type", "event_id").distinct().groupBy("event_type").count().collect()
+    assert sorted(map(tuple, made)) == sorted(map(tuple, want))
+    assert seen == [streams.ROCKSDB] and spark.conf.get(streams.PROVIDER, None) == before
