@@ -11,8 +11,8 @@ from fewbit.llm.packing import pack, packed_rows
 from fewbit.llm.pii import redact_pii
 from fewbit.llm.quality import keep_good
 
-#: Chunks that a packing worker remembers; fewer than alone, as executors are full of what earlier stages left in them.
-CACHE = 30_000
+#: Pieces that a packing worker remembers; fewer than alone, as executors are full of what earlier stages left in them.
+CACHE = 45_000
 
 
 def quality(spark, docs, sf_dir):

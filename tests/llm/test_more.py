@@ -291,3 +291,26 @@ def test_tokenizer_on_texts_it_has_seen():
     for many in (texts, [b"", b" "] * 100, texts[::-1]):
         want = [encoder.inner.encode(t.decode(), add_special_tokens=False).ids for t in many]
         assert [np.frombuffer(i, "<u4").tolist() for i in encoder.encode(many)] == want
+
+
+def test_chunks_are_kept_by_their_pieces():
+    import random
+
+    import public_tokenizers
+
+    from fewbit.llm.packing import ChunkTokenizer
+
+    with open(public_tokenizers.path("word_bpe_49k.json"), encoding="utf-8") as file:
+        text = file.read()
+    encoder, draw = ChunkTokenizer(text), random.Random(1)
+    assert len(list(encoder.encode([b"Ab ab, ab. AB (ab)", b"ab,"]))) == 2
+    # one entry for a word in whatever case and beside whatever marks
+    assert {k for k in encoder.seen if not k.isspace()} == {b"ab", b",", b".", b"(", b")"}
+    signs = ["a", "B", "É", "ß", "ÿ", "×", "÷", "7", "'", "'s", "'LL", "<", "|", "<|endoftext|>", ".", "--", " ", "̇", "İ", "İ", "漢", "\x1c", "\x0b", "\x00", " ", "  ", "\n", "€"]
+    texts = ["".join(draw.choices(signs, k=draw.randrange(30))).encode() for _ in range(1500)]
+    want = [encoder.inner.encode(t.decode(), add_special_tokens=False).ids for t in texts]
+    assert [np.frombuffer(i, "<u4").tolist() for i in encoder.encode(texts)] == want
+    # of a shape that it doesn't know, chunks are looked up as they are
+    other = ChunkTokenizer(text.replace("'re|", "'re|'re|"))
+    assert not other.plain.fits
+    assert [np.frombuffer(i, "<u4").tolist() for i in other.encode(texts)] == want
