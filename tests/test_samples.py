@@ -116,3 +116,18 @@ def test_the_first_inner_step_takes_no_pass():
     driver._epochs(at, states, objective.Geometry(1.0, 1.0, 0.2), 1, 3)
     # a pass over both workers a round and one at the end, and two of the three steps
     assert asked == [2, 1, 1, 2, 1, 1, 2]
+
+
+def test_counts_are_shared_by_forks_too(spark, sf, monkeypatch):
+    own = tasks.samples(spark, sf, "language").where("split = 'train'").persist()
+
+    def alone(at):
+        # in the task that holds the samples
+        return at.forks is not None and len(at.forks.ends) > 1
+
+    for pts in (own, own.withColumn("val", engines.F.expr("transform(n, v -> scale * v / norm)")).drop("n", "scale", "norm")):
+        monkeypatch.setattr(engines, "_cores", lambda spark: 2)
+        assert engines.HeldEngine(pts, tasks.BUCKETS).run(alone)
+        monkeypatch.setattr(engines, "_cores", lambda spark: 1)
+        assert not engines.HeldEngine(pts, tasks.BUCKETS).run(alone)
+    own.unpersist()
