@@ -131,3 +131,21 @@ def test_counts_are_shared_by_forks_too(spark, sf, monkeypatch):
         monkeypatch.setattr(engines, "_cores", lambda spark: 1)
         assert not engines.HeldEngine(pts, tasks.BUCKETS).run(alone)
     own.unpersist()
+
+
+def test_items_are_merged_before_they_are_features(spark, sf, tmp_path):
+    """Also odd ones: nulls, negative zeros, a time of day, an item that comes twice and one that only its key tells from it."""
+    items = spark.read.parquet(f"{sf}/lineitem.parquet").limit(300).collect()
+    odd = [r.asDict() | c for r, c in zip(items, [{"l_tax": None}, {"l_discount": -0.0}, {"l_discount": 0.0}, {"l_orderkey": None}, {"l_extendedprice": 1e9 / 7}], strict=False)]
+    odd += [r.asDict() | {"l_suppkey": r.l_suppkey + i} for i in range(3) for r in items[:50]]
+    odd += [items[7].asDict() | {"l_shipdate": items[7].l_shipdate.replace(hour=13, microsecond=5)}]
+    schema = spark.read.parquet(f"{sf}/lineitem.parquet").schema
+    spark.createDataFrame([tuple(r[c] for c in schema.names) for r in [*map(lambda r: r.asDict(), items), *odd]], schema).write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.read.parquet(f"{sf}/part.parquet").write.parquet(f"{tmp_path}/part.parquet")
+    rows = tasks.charge(spark, str(tmp_path)).drop("row_id")
+    own = tasks.samples(spark, str(tmp_path), "charge")
+    key = lambda r: tuple(map(repr, r))
+    assert sorted(map(key, own.collect())) == sorted(map(key, rows.groupBy(*rows.columns).agg(engines.F.count("*").alias("weight")).collect()))
+    # grouped by what the features are made of: neither texts nor features are compared
+    groups = next(line for line in own._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Aggregate" in line).split("], [")[0]
+    assert "l_extendedprice" in groups and "split" not in groups and "x0" not in groups
